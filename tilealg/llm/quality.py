@@ -209,19 +209,23 @@ def _unpacked(pattern: np.ndarray) -> np.ndarray:
 JUDGED = "doc_id long, n_words long, bad_votes int, posterior double, score double, kept boolean"
 
 
+def _verdicts(column: pa.Array, labels: Labels, weights: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Words, votes and scores of texts."""
+    words = Words(column, SPACED)
+    n = words.counts()
+    code, size = np.unique(words.owner() * BUCKETS + shapes(words), return_counts=True)
+    owner = code // BUCKETS
+    sums = np.bincount(owner, np.sqrt(size / n[owner]) * weights[code % BUCKETS], len(n))
+    return n, votes(measures(words)), np.where(n > 0, 1 / (1 + np.exp(-np.clip(sums + weights[-1], -30, 30))), 0.0)
+
+
 def _judge(shipped, least: float):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         labels, weights = opened(shipped)
         for batch in batches:
             for a, b in text_blocks(batch.column("text"), 2 << 20):
                 part = batch.slice(a, b - a)
-                words = Words(part.column("text"), SPACED)
-                own = votes(measures(words))
-                n = words.counts()
-                code, size = np.unique(words.owner() * BUCKETS + shapes(words), return_counts=True)
-                owner = code // BUCKETS
-                sums = np.bincount(owner, np.sqrt(size / n[owner]) * weights[code % BUCKETS], len(n))
-                score = np.where(n > 0, 1 / (1 + np.exp(-np.clip(sums + weights[-1], -30, 30))), 0.0)
+                n, own, score = _verdicts(part.column("text"), labels, weights)
                 yield pa.RecordBatch.from_arrays(
                     [part.column("doc_id"), pa.array(n), pa.array((own < 0).sum(axis=1).astype(np.int32)), pa.array(labels.posterior(own)), pa.array(score), pa.array(score >= least)],
                     ["doc_id", "n_words", "bad_votes", "posterior", "score", "kept"],
@@ -230,17 +234,31 @@ def _judge(shipped, least: float):
     return run
 
 
+def _sift(shipped, least: float):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        labels, weights = opened(shipped)
+        for batch in batches:
+            text = batch.column("text").cast(pa.string())
+            for a, b in text_blocks(text, 2 << 20):
+                score = _verdicts(text.slice(a, b - a), labels, weights)[2]
+                yield batch.slice(a, b - a).filter(pa.array(score >= least))
+
+    return run
+
+
+def _scorer(docs: DataFrame, most_docs: int):
+    return ship(docs.sparkSession.sparkContext, fit(docs, most_docs))
+
+
 def judged(docs: DataFrame, least: float = 0.5, most_docs: int = 3000) -> DataFrame:
     """n_words, bad_votes, posterior of the votes, the scorer's score and kept, for each row of ``docs`` (doc_id, text).
 
     Texts without words (null ones too) score 0.
     """
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    shipped = ship(docs.sparkSession.sparkContext, fit(docs, most_docs))
-    return docs.mapInArrow(_judge(shipped, least), JUDGED)
+    return docs.mapInArrow(_judge(_scorer(docs, most_docs), least), JUDGED)
 
 
 def good_documents(docs: DataFrame, least: float = 0.5, most_docs: int = 3000) -> DataFrame:
-    """``docs`` without the rows that the scorer rejects.  Keeps all columns."""
-    bad = judged(docs, least, most_docs).where("not kept").select("doc_id").distinct()
-    return docs.join(bad, "doc_id", "left_anti").select(docs.columns)
+    """``docs`` without the rows that the scorer rejects.  Keeps all columns; no shuffle of texts."""
+    return docs.mapInArrow(_sift(_scorer(docs, most_docs), least), docs.schema)

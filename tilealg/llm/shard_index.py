@@ -9,7 +9,6 @@ then searched backwards at once, their occurrences located by walking to sampled
 
 from __future__ import annotations
 
-import hashlib
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -20,7 +19,7 @@ from pyspark.sql import functions as F
 
 from tilealg.llm.bytewords import ALNUM, Words, opened, segment_sum, ship, text_blocks
 
-STEP = 8
+STEP, SHARD = 8, 6 << 20
 FOUND = "doc_id long, n_words long, n_hit long, n_items long, item_ids array<string>, span_start array<int>, span_end array<int>"
 
 
@@ -183,29 +182,36 @@ def _occurrences(words: Words, phrases: Phrases) -> tuple[np.ndarray, np.ndarray
     return origin[index.locate(at)], window
 
 
+def _marks(column: pa.Array, opens: list[Phrases]) -> tuple[Words, np.ndarray, list[set[str]]]:
+    """The words of texts, which of them are hit, and the items found in each text."""
+    words = Words(column, ALNUM)
+    n = len(words.hash)
+    owner, edges = words.owner(), np.zeros(n + 1, np.int64)
+    names: list[set[str]] = [set() for _ in range(len(words.offset) - 1)]
+    for phrases in opens:
+        place, window = _occurrences(words, phrases)
+        np.add.at(edges, place, 1)
+        np.add.at(edges, place + phrases.size[window], -1)
+        for code in np.unique(owner[place] * max(1, len(phrases.size)) + window).tolist():
+            doc, w = divmod(code, len(phrases.size))
+            names[doc].update(phrases.names[i] for i in phrases.item_of[w])
+    return words, np.cumsum(edges[:n]) > 0, names
+
+
 def _scanner(blocks: list):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         opens = [opened(x) for x in blocks]
         for batch in batches:
-            for a, b in text_blocks(batch.column("text"), 6 << 20):
+            for a, b in text_blocks(batch.column("text"), SHARD):
                 part = batch.slice(a, b - a)
-                words = Words(part.column("text"), ALNUM)
-                n = len(words.hash)
-                owner, edges = words.owner(), np.zeros(n + 1, np.int64)
-                names: list[set[str]] = [set() for _ in range(part.num_rows)]
-                for phrases in opens:
-                    place, window = _occurrences(words, phrases)
-                    np.add.at(edges, place, 1)
-                    np.add.at(edges, place + phrases.size[window], -1)
-                    for code in np.unique(owner[place] * max(1, len(phrases.size)) + window).tolist():
-                        doc, w = divmod(code, len(phrases.size))
-                        names[doc].update(phrases.names[i] for i in phrases.item_of[w])
-                hit = np.cumsum(edges[:n]) > 0
+                words, hit, names = _marks(part.column("text"), opens)
+                owner = words.owner()
                 # Spans end where the text does, though hits of neighbouring texts may touch.
-                starts = np.flatnonzero(hit & np.append(True, ~hit[:-1] | (owner[1:] != owner[:-1]))) if n else np.zeros(0, int)
-                ends = np.flatnonzero(hit & np.append(~hit[1:] | (owner[1:] != owner[:-1]), True)) + 1 if n else starts
+                fresh = np.append(True, owner[1:] != owner[:-1])[: len(hit)]
+                starts = np.flatnonzero(hit & (fresh | ~np.append(False, hit[:-1])[: len(hit)]))
+                ends = np.flatnonzero(hit & (np.append(fresh[1:], True)[: len(hit)] | ~np.append(hit[1:], False)[: len(hit)])) + 1
                 span = np.searchsorted(starts, words.offset).astype(np.int32)
-                base = words.offset[owner[starts]] if len(starts) else np.zeros(0, np.int64)
+                base = words.offset[owner[starts]]
                 yield pa.RecordBatch.from_arrays(
                     [
                         part.column("doc_id"),
@@ -222,15 +228,21 @@ def _scanner(blocks: list):
     return run
 
 
-def contaminated_spans(docs: DataFrame, items: DataFrame, width: int = 13, block_bytes: int = 4 << 20, most_bytes: int = 256 << 20) -> DataFrame:
-    """For each row of ``docs`` (doc_id, text): n_words, n_hit, n_items, item_ids and merged spans of hit words.
+def _sift(blocks: list, least_share: int):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        opens = [opened(x) for x in blocks]
+        for batch in batches:
+            text = batch.column("text").cast(pa.string())
+            for a, b in text_blocks(text, SHARD):
+                words, hit, _ = _marks(text.slice(a, b - a), opens)
+                n_hit = segment_sum(hit.astype(np.int64), words.offset)
+                yield batch.slice(a, b - a).filter(pa.array((n_hit == 0) | (least_share * n_hit < words.counts())))
 
-    ``items`` has item_id and text.  A window is ``width`` words in a row of an item, or the whole item if it has
-    fewer; items without words have none.  Null texts have no words.  Items are test sets, so they are shipped
-    to the workers, in blocks of ``block_bytes``; over ``most_bytes`` in all is an error, before anything is sent.
-    Repeated item ids count as one item.
-    """
-    context = docs.sparkSession.sparkContext
+    return run
+
+
+def _shipped(items: DataFrame, width: int, block_bytes: int, most_bytes: int) -> list:
+    context = items.sparkSession.sparkContext
     items = items.select(F.col("item_id").cast("string").alias("item_id"), F.col("text").cast("string").alias("text"))
     total = items.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()[0]
     if total > most_bytes:
@@ -244,15 +256,24 @@ def contaminated_spans(docs: DataFrame, items: DataFrame, width: int = 13, block
             part, filled = [], 0
     if part:
         blocks.append(ship(context, Phrases.of(part, width)))
-    docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    return docs.mapInArrow(_scanner(blocks), FOUND)
+    return blocks
+
+
+def contaminated_spans(docs: DataFrame, items: DataFrame, width: int = 13, block_bytes: int = 4 << 20, most_bytes: int = 256 << 20) -> DataFrame:
+    """For each row of ``docs`` (doc_id, text): n_words, n_hit, n_items, item_ids and merged spans of hit words.
 
+    ``items`` has item_id and text.  A window is ``width`` words in a row of an item, or the whole item if it has
+    fewer; items without words have none.  Null texts have no words.  Items are test sets, so they are shipped
+    to the workers, in blocks of ``block_bytes``; over ``most_bytes`` in all is an error, before anything is sent.
+    Repeated item ids count as one item; a null id counts as the empty string.
+    """
+    docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
+    return docs.mapInArrow(_scanner(_shipped(items, width, block_bytes, most_bytes)), FOUND)
 
-def decontaminated(docs: DataFrame, items: DataFrame, width: int = 13, least_share: int = 20) -> DataFrame:
-    """``docs`` without contaminated rows: n_hit > 0 and ``least_share`` * n_hit >= n_words.  Keeps all columns."""
-    bad = contaminated_spans(docs, items, width).where(F.expr(f"n_hit > 0 and {least_share} * n_hit >= n_words")).select("doc_id").distinct()
-    return docs.join(bad, "doc_id", "left_anti").select(docs.columns)
 
+def decontaminated(docs: DataFrame, items: DataFrame, width: int = 13, least_share: int = 20, block_bytes: int = 4 << 20, most_bytes: int = 256 << 20) -> DataFrame:
+    """``docs`` without contaminated rows: n_hit > 0 and ``least_share`` * n_hit >= n_words.
 
-def digest(ids: list[str]) -> str:
-    return hashlib.sha256(",".join(sorted(ids)).encode()).hexdigest()
+    Keeps all columns; no shuffle of texts.
+    """
+    return docs.mapInArrow(_sift(_shipped(items, width, block_bytes, most_bytes), least_share), docs.schema)
