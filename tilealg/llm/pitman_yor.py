@@ -244,7 +244,8 @@ def scores(docs: DataFrame, model: Model, counts: DataFrame, slice_bytes: int =
     n = max(1, -(-int(size) // slice_bytes))
     shipped = ship(docs.sparkSession.sparkContext, model)
     dealt = docs.select("doc_id", "held_out", "text", F.pmod(F.xxhash64("doc_id", "text"), F.lit(n)).cast("int").alias("slice")).repartitionById(n, "slice")
-    asked = dealt.select("slice", "text").mapInArrow(_distinct_rare(shipped), "slice int, word long")
+    # With all its columns, so that both branches read one exchange.
+    asked = dealt.mapInArrow(_distinct_rare(shipped), "slice int, word long")
     known = asked.distinct().join(counts, "word").select("slice", "word", "n").repartitionById(n, "slice")
     return dealt.groupBy("slice").cogroup(known.groupBy("slice")).applyInArrow(_score(shipped), SCORED)
 
