@@ -44,6 +44,8 @@ def mix(x: np.ndarray) -> np.ndarray:
 #: A random value for every byte; upper and lower case of a letter share one.
 BYTE_VALUE = mix(np.arange(1, 257, dtype=np.uint64) * ODD)[LOWER]
 
+#: Bytes that are hashed at once.
+PIECE = 1 << 18
 _POWERS: dict[str, np.ndarray] = {}
 
 
@@ -98,10 +100,16 @@ class Words:
         inside = kind[buffer]
         edge = np.flatnonzero(np.diff(inside.view(np.int8), prepend=0, append=0))
         self.start, self.end = edge[0::2], edge[1::2]
-        up, down = _powers(len(buffer) + 1)
-        total = np.zeros(len(buffer) + 1, np.uint64)
-        np.cumsum(values[buffer] * up[: len(buffer)], out=total[1:])
-        self.hash = mix((total[self.end] - total[self.start]) * down[self.start] + (self.end - self.start).astype(np.uint64))
+        self.hash = np.zeros(len(self.start), np.uint64)
+        # In pieces that stay in the processor's cache: a hash doesn't depend on where a piece begins.
+        cuts = np.unique(np.append(np.searchsorted(self.start, np.arange(0, len(buffer), PIECE)), len(self.start)))
+        for i, j in zip(cuts[:-1].tolist(), cuts[1:].tolist(), strict=True):
+            first = self.start[i]
+            begin, end = self.start[i:j] - first, self.end[i:j] - first
+            up, down = _powers(int(end[-1]) + 1)
+            total = np.zeros(end[-1] + 1, np.uint64)
+            np.cumsum(values[buffer[first : first + end[-1]]] * up[: end[-1]], out=total[1:])
+            self.hash[i:j] = mix((total[end] - total[begin]) * down[begin] + (end - begin).astype(np.uint64))
         self.offset = np.searchsorted(self.start, texts)
 
     def counts(self) -> np.ndarray:
