@@ -138,7 +138,7 @@ def _confirm_stars(percent: int):
 
 
 def _compare_blocks(percent: int):
-    """Two blocks of one cluster: a forest of the links between their different components."""
+    """Two blocks of one cluster: a forest of the links between their different parts, as pairs of parts."""
 
     def run(table: pa.Table) -> pa.Table:
         ids, part, side = (table.column(c).to_numpy() for c in ("rep", "part", "side"))
@@ -171,34 +171,35 @@ def _compare_blocks(percent: int):
             x, y = find(int(part[i])), find(int(part[j]))
             if x != y:
                 root[max(x, y)] = min(x, y)
-                out.append((int(ids[i]), int(ids[j])))
-        return pa.table({"src": pa.array([x for x, _ in out], pa.int64()), "dst": pa.array([y for _, y in out], pa.int64())})
+                out.append((int(part[i]), int(part[j])))
+        return pa.table({"graph": pa.array([0] * len(out), pa.int32()), "src": pa.array([x for x, _ in out], pa.int64()), "dst": pa.array([y for _, y in out], pa.int64())})
 
     return run
 
 
 def components(links: DataFrame, most_rounds: int = 60) -> DataFrame:
-    """(node, component): the smallest node reachable over links (src, dst).  Nodes without links are not in it.
+    """(graph, node, component): the smallest node reachable over links (graph, src, dst) of the same graph.
 
-    Every round sends each node's smallest neighbour to its larger neighbours and, in a second half, ties each
-    node to the smallest of the smaller ones.  Rounds stop when the links are stars.
+    Nodes without links are not in it.  Several graphs share one run, which costs no more rounds than the deepest
+    of them.  Every round sends each node's smallest neighbour to its larger neighbours and, in a second half, ties
+    each node to the smallest of the smaller ones.  Rounds stop when the links are stars.
     """
-    edges = cut(links.where("src <> dst").select(F.greatest("src", "dst").alias("a"), F.least("src", "dst").alias("b")).distinct())
-    seen = None
+    edges = cut(links.where("src <> dst").select("graph", F.greatest("src", "dst").alias("a"), F.least("src", "dst").alias("b")).distinct())
+    key, seen = ["graph", "a"], None
+    turned = lambda d, b: d.select("graph", F.col("b").alias("a"), b.alias("b"))
     for _ in range(most_rounds):
-        both = edges.select("a", "b").union(edges.select(F.col("b").alias("a"), F.col("a").alias("b")))
-        least = both.groupBy("a").agg(F.least("a", F.min("b")).alias("m"))
-        large = both.join(least, "a").where("b > a").select(F.col("b").alias("a"), F.col("m").alias("b")).union(least.select("a", F.col("m").alias("b"))).where("a <> b").distinct()
-        down = large.groupBy("a").agg(F.min("b").alias("m"))
-        small = large.join(down, "a").select(F.col("b").alias("a"), F.col("m").alias("b")).union(down.select("a", F.col("m").alias("b"))).where("a <> b").distinct()
-        edges = cut(small)
-        now = edges.agg(F.count(F.lit(1)), F.sum(F.xxhash64("a", "b").cast("decimal(20,0)"))).first()
-        if now == seen:
+        both = edges.select("graph", "a", "b").union(turned(edges, F.col("a")))
+        least = both.groupBy(key).agg(F.least("a", F.min("b")).alias("m"))
+        large = turned(both.join(least, key).where("b > a"), F.col("m")).union(least.select("graph", "a", F.col("m").alias("b"))).where("a <> b").distinct()
+        down = large.groupBy(key).agg(F.min("b").alias("m"))
+        edges = cut(turned(large.join(down, key), F.col("m")).union(down.select("graph", "a", F.col("m").alias("b"))).where("a <> b").distinct())
+        now = edges.agg(F.count(F.lit(1)), F.sum(F.xxhash64("graph", "a", "b").cast("decimal(20,0)"))).first()
+        if now == seen or not now[0]:
             break
         seen = now
     else:
         raise RuntimeError("components did not settle")
-    return edges.select(F.col("a").alias("node"), F.col("b").alias("component")).union(edges.select(F.col("b").alias("node"), F.col("b").alias("component")).distinct())
+    return edges.select("graph", F.col("a").alias("node"), F.col("b").alias("component")).union(edges.select("graph", F.col("b").alias("node"), F.col("b").alias("component")).distinct())
 
 
 def near_copies(docs: DataFrame, size: int = 5, percent: int = 85, bands: int = 40, rows: int = 8) -> DataFrame:
@@ -226,9 +227,9 @@ def near_copies(docs: DataFrame, size: int = 5, percent: int = 85, bands: int =
     confirmed = cut(starred)
 
     # A cluster holds all that buckets connect; parts are what confirmed links connect.
-    cluster = components(stars.select(F.col("rep").alias("src"), F.col("hub").alias("dst")))
-    part = components(confirmed)
-    placed = cluster.select(F.col("node").alias("rep"), F.col("component").alias("cluster")).join(part.select(F.col("node").alias("rep"), F.col("component").alias("part")), "rep", "left").withColumn("part", F.coalesce("part", "rep"))
+    linked = components(stars.select(F.lit(0).alias("graph"), F.col("rep").alias("src"), F.col("hub").alias("dst")).union(confirmed.select(F.lit(1), "src", "dst")))
+    of = lambda graph, name: linked.where(F.col("graph") == graph).select(F.col("node").alias("rep"), F.col("component").alias(name))
+    placed = cut(of(0, "cluster").join(of(1, "part"), "rep", "left").withColumn("part", F.coalesce("part", "rep")))
     sizes = placed.groupBy("cluster", "part").agg(F.count(F.lit(1)).alias("size"))
     open_ = sizes.groupBy("cluster").agg(F.count(F.lit(1)).alias("parts"), F.sum(F.when(F.col("size") < BLOCK, F.col("size")).otherwise(0)).alias("small"), F.sum(F.when(F.col("size") < BLOCK, 0).otherwise(F.ceil(F.col("size") / BLOCK))).alias("wide")).where("parts > 1")
     # Small parts share blocks by hash; a part over a block's size has blocks of its own, numbered after them.
@@ -251,9 +252,13 @@ def near_copies(docs: DataFrame, size: int = 5, percent: int = 85, bands: int =
     dead = pairs.groupBy("cluster", "lo", "hi").agg(F.count_distinct("own").alias("owns"), F.count("own").alias("owned"), F.count(F.lit(1)).alias("rows")).where("not (owned = rows and owns = 1)").where("rows = 2 or lo = hi").select("cluster", "lo", "hi")
     live = pairs.join(dead, ["cluster", "lo", "hi"]).select("cluster", "lo", "hi", "block").distinct()
     facing = blocks.join(live, ["cluster", "block"]).join(sets, "rep").select("cluster", "lo", "hi", "rep", "part", F.col("block").alias("side"), "elements")
-    bridged = facing.groupBy("cluster", "lo", "hi").applyInArrow(_compare_blocks(percent), "src long, dst long")
+    bridged = cut(facing.groupBy("cluster", "lo", "hi").applyInArrow(_compare_blocks(percent), "graph int, src long, dst long"))
 
-    found = components(confirmed.union(bridged)).select(F.col("node").alias("rep"), F.col("component").alias("found"))
+    # Bridges join parts; where there are none, parts are the components.
+    found = placed.select("rep", F.col("part").alias("found"))
+    if not bridged.isEmpty():
+        merged = components(bridged).select(F.col("node").alias("found"), F.col("component").alias("merged"))
+        found = found.join(merged, "found", "left").select("rep", F.coalesce("merged", "found").alias("found"))
     members = classes.select("set_hi", "set_lo", "n_shingles", "rep").join(found, "rep", "left").select("set_hi", "set_lo", "n_shingles", F.coalesce("found", "rep").alias("component_id"))
     full = marked.where("n_shingles > 0").select("doc_id", "n_shingles", "set_hi", "set_lo").join(members, ["set_hi", "set_lo", "n_shingles"]).select("doc_id", "n_shingles", "component_id")
     bare = marked.where("n_shingles = 0").select("doc_id", "n_shingles", F.col("doc_id").alias("component_id"))

@@ -178,11 +178,12 @@ def estimate(own: np.ndarray, n: np.ndarray, rounds: int = 80, least_right: floa
 def fit_linear(x: np.ndarray, y: np.ndarray, rounds: int = 400, rate: float = 2.0, shrink: float = 1e-4) -> np.ndarray:
     """Logistic weights for soft labels y by gradient steps with per-weight scaling; the last weight is the constant."""
     x = np.hstack([np.sqrt(x), np.ones((len(x), 1), np.float32)])
-    w, seen = np.zeros(x.shape[1]), np.full(x.shape[1], 1e-8)
+    y = y.astype(np.float32)
+    w, seen = np.zeros(x.shape[1], np.float32), np.full(x.shape[1], 1e-8, np.float32)
     for _ in range(rounds):
-        slope = x.T @ (1 / (1 + np.exp(-np.clip(x @ w, -30, 30))) - y) / max(1, len(x)) + shrink * w
+        slope = x.T @ (1 / (1 + np.exp(-np.clip(x @ w, -30, 30))) - y) / max(1, len(x)) + np.float32(shrink) * w
         seen += slope**2
-        w -= rate * slope / np.sqrt(seen)
+        w -= np.float32(rate) * slope / np.sqrt(seen)
     return w
 
 
