@@ -1 +1,789 @@
+"""The experiment workloads and operators as queries over the given tables: name -> f(spark, sf_dir)."""
+
+from __future__ import annotations
+
+import uuid
+
+import numpy as np
+from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import functions as F
+
+from tilealg import measures
+from tilealg.functions import registered
+from tilealg.operators import cells as C
+from tilealg.operators import iterate, nmf, pagerank, similarity, svm
+from tilealg.operators.cells import Cells
+from tilealg.operators.generate import random_matrix
+from tilealg.operators.grid import TileGrid
+from tilealg.operators.product import broadcast_product, broadcast_rows, cell_product, matvec, tag_left, tiled_product, tiled_product_blocks, workers_of
+from tilealg.plans.planner import preset
+from tilealg.sources import tables as T
+
 QUERIES = {}
+
+GEN = (96, 80, 64, 0.125)
+RANK_ITERS = 5
+SVM_ETA, SVM_C = 1e-5, 1.0
+
+
+def query(f):
+    QUERIES[f.__name__] = f
+    return f
+
+
+def _scratch(spark: SparkSession, name: str) -> str:
+    """A new path in the warehouse folder, which all machines share."""
+    return f"{spark.conf.get('spark.sql.warehouse.dir')}/{name}_{uuid.uuid4().hex}"
+
+
+def _flagship(spark, sf, **how) -> DataFrame:
+    a, b = T.supp_part(spark, sf), T.cust_part(spark, sf).t
+    grid = TileGrid.of(a.rows, a.cols, b.cols, *how.pop("grid", (4, 3, 4)))
+    return tiled_product(a, b, grid, **how).df
+
+
+# --- Products -------------------------------------------------------------------------------------------------
+
+
+@query
+def product_supplier_customer(spark, sf):
+    return _flagship(spark, sf)
+
+
+@query
+def product_row_placement(spark, sf):
+    return _flagship(spark, sf, placement="row", grid=(20, 6, 20))
+
+
+@query
+def product_random_placement(spark, sf):
+    return _flagship(spark, sf, placement="random", grid=(20, 6, 20))
+
+
+@query
+def product_random_placement_fine(spark, sf):
+    return _flagship(spark, sf, placement="random", grid=(40, 6, 40))
+
+
+@query
+def product_tile_placement(spark, sf):
+    return _flagship(spark, sf, placement="tile", grid=(20, 6, 20))
+
+
+@query
+def product_uncombined(spark, sf):
+    return _flagship(spark, sf, placement="random", combine=False)
+
+
+@query
+def product_staged(spark, sf):
+    return _flagship(spark, sf, staged=True, path=_scratch(spark, "staged"))
+
+
+@query
+def product_planned(spark, sf):
+    return tiled_product(T.supp_part(spark, sf), T.cust_part(spark, sf).t).df
+
+
+@query
+def product_rows_only(spark, sf):
+    return _flagship(spark, sf, grid=(8, 1, 1))
+
+
+@query
+def product_inner_only(spark, sf):
+    return _flagship(spark, sf, grid=(1, 8, 1))
+
+
+@query
+def product_columns_only(spark, sf):
+    return _flagship(spark, sf, grid=(1, 1, 8))
+
+
+@query
+def product_rows_columns(spark, sf):
+    return _flagship(spark, sf, grid=(8, 1, 8))
+
+
+@query
+def product_cells(spark, sf):
+    return cell_product(T.supp_part(spark, sf), T.cust_part(spark, sf).t).df
+
+
+@query
+def tile_product_arrow(spark, sf):
+    a, b = T.supp_part(spark, sf), T.cust_part(spark, sf).t
+    return tiled_product_blocks(a, b, TileGrid.of(a.rows, a.cols, b.cols, 2, 3, 4)).df.select("i", "j", F.col("v").cast("long").alias("v"))
+
+
+@query
+def sql_surface_product(spark, sf):
+    T.supp_part(spark, sf).df.createOrReplaceTempView("tilealg_left")
+    T.cust_part(spark, sf).t.df.createOrReplaceTempView("tilealg_right")
+    return registered.sql_product(spark, "tilealg_left", "tilealg_right")
+
+
+@query
+def product_broadcast(spark, sf):
+    """Customers by parts times parts' totals by event-like small operand: the supplier Gram as the small side."""
+    small = similarity.gram_rows(T.supp_part(spark, sf))
+    return broadcast_product(T.supp_part(spark, sf).t, small).df
+
+
+@query
+def product_broadcast_transposed(spark, sf):
+    return broadcast_product(T.cust_part(spark, sf), T.supp_part(spark, sf), transpose_small=True).df
+
+
+@query
+def product_broadcast_rows(spark, sf):
+    """Embedding rows times a block with entry (r, s) = (3 r + s) mod 7, in whole rows."""
+    block = np.fromfunction(lambda r, s: (3 * r + s) % 7, (64, 4))
+    return broadcast_rows(T.embed_rows(spark, sf), block).select("i", F.posexplode("vec").alias("j", "v")).select("i", F.col("j").cast("long").alias("j"), (F.round("v", 6) + 0.0).alias("v"))
+
+
+@query
+def matrix_vector(spark, sf):
+    x = T.load(spark, sf, "part", "p_partkey").select(F.col("p_partkey").alias("i"), (F.col("p_partkey") % 11).alias("v"))
+    return matvec(T.cust_part(spark, sf), x)
+
+
+@query
+def generator_cells(spark, sf):
+    return random_matrix(spark, GEN[0], GEN[1], GEN[3], seed=3).df
+
+
+@query
+def product_generated(spark, sf):
+    a, b = random_matrix(spark, GEN[0], GEN[1], GEN[3], seed=3), random_matrix(spark, GEN[1], GEN[2], GEN[3], seed=4)
+    return tiled_product(a, b, TileGrid.of(GEN[0], GEN[1], GEN[2], 5, 3, 4)).df
+
+
+@query
+def gram_suppliers(spark, sf):
+    return similarity.gram_rows(T.supp_part(spark, sf)).df
+
+
+@query
+def gram_parts(spark, sf):
+    return similarity.gram_cols(T.order_part(spark, sf)).df
+
+
+@query
+def gram_customers(spark, sf):
+    a = T.cust_part(spark, sf)
+    return similarity.gram_rows(a, half=False, grid=preset("kernel", a.rows, a.cols, a.rows, workers_of(spark))).df
+
+
+@query
+def doc_term_gram(spark, sf):
+    return similarity.gram_rows(T.doc_term(spark, sf)[0]).df
+
+
+# --- Costs of products ----------------------------------------------------------------------------------------
+
+
+@query
+def placement_balance(spark, sf):
+    """Row placement of the left operand on 8 workers."""
+    a = T.supp_part(spark, sf)
+    return measures.placement_balance(tag_left(a, TileGrid.of(a.rows, a.cols, a.rows, 20, 6, 20)), "row", 8)
+
+
+@query
+def placement_balance_by_placement(spark, sf):
+    """All placements; hashes are Spark's own, so there is no SQL for it."""
+    a = T.supp_part(spark, sf)
+    tags = tag_left(a, TileGrid.of(a.rows, a.cols, a.rows, 20, 6, 20))
+    out = None
+    for p in ("row", "tile", "random"):
+        own = measures.placement_balance(tags, p, 8).select(F.lit(p).alias("placement"), "busy", "most", "mean")
+        out = own if out is None else out.union(own)
+    return out
+
+
+@query
+def intermediate_size_by_grid(spark, sf):
+    a, b = T.supp_part(spark, sf), T.cust_part(spark, sf).t
+    out = None
+    for n in (1, 3, 6, 12):
+        own = measures.intermediate_counts(a, b, TileGrid.of(a.rows, a.cols, b.cols, 20, n, 20)).select(F.lit(n).cast("long").alias("n"), "copied", "partials")
+        out = own if out is None else out.union(own)
+    return out
+
+
+@query
+def scalar_multiplications(spark, sf):
+    a, b = T.supp_part(spark, sf), T.cust_part(spark, sf)
+    x, y = (m.df.groupBy("j").agg(F.count(F.lit(1)).alias(c)) for m, c in ((a, "x"), (b, "y")))
+    return x.join(y, "j").agg(F.sum(F.col("x") * F.col("y")).alias("flops"))
+
+
+@query
+def density_stats(spark, sf):
+    out = None
+    for name, m in (("cust_part", T.cust_part(spark, sf)), ("supp_part", T.supp_part(spark, sf)), ("order_part", T.order_part(spark, sf))):
+        own = m.df.agg(F.count(F.lit(1)).alias("nnz")).select(F.lit(name).alias("name"), F.lit(m.rows).cast("long").alias("n_rows"), F.lit(m.cols).cast("long").alias("n_cols"), "nnz", (F.col("nnz") / F.lit(m.rows * m.cols)).alias("density"))
+        out = own if out is None else out.union(own)
+    return out
+
+
+# --- Similarity -----------------------------------------------------------------------------------------------
+
+
+def _rounded(df: DataFrame, decimals: int = 6) -> DataFrame:
+    return df.withColumn("v", F.round("v", decimals) + 0.0)
+
+
+@query
+def embedding_dots(spark, sf):
+    e = T.embed_cells(spark, sf)
+    return _rounded(similarity.row_dots(e, e, grid=TileGrid.of(e.rows, e.cols, e.rows, 2, 1, 2)).df)
+
+
+@query
+def embedding_distances(spark, sf):
+    e = T.embed_cells(spark, sf)
+    return similarity.row_distances(e, e, squared=True).df.withColumn("v", F.round("v", 6) + 0.0)
+
+
+@query
+def embedding_topk(spark, sf):
+    e = T.embed_cells(spark, sf)
+    return _rounded(similarity.top_k_similar(e, e, 5, "cosine", decimals=9)).withColumn("place", F.col("place").cast("long"))
+
+
+@query
+def document_cosine_topk(spark, sf):
+    d = T.doc_term(spark, sf)[0]
+    return _rounded(similarity.top_k_similar(d, d, 3, "cosine", decimals=9)).withColumn("place", F.col("place").cast("long"))
+
+
+@query
+def nearest_centroid(spark, sf):
+    e, labels = T.embed_cells(spark, sf), T.embed_rows(spark, sf).select("i", F.col("label").cast("long").alias("label"))
+    centre = e.df.join(labels, "i").groupBy(F.col("label").alias("i"), "j").agg(F.avg("v").alias("v"))
+    return similarity.assign_nearest(e, Cells.of(centre)).select("i", "j")
+
+
+# --- Support vector machine -----------------------------------------------------------------------------------
+
+
+def _language(spark, sf) -> tuple[Cells, DataFrame]:
+    t, _ = T.doc_term(spark, sf)
+    y = T.load(spark, sf, "documents", "doc_id", "lang").select(F.col("doc_id").alias("i"), F.when(F.col("lang") == "en", 1.0).otherwise(-1.0).alias("v"))
+    return t, y
+
+
+def _alpha(spark, sf, **how) -> svm.SvmModel:
+    t, y = _language(spark, sf)
+    return svm.svm_fit(t, y, c=SVM_C, bias=1.0, eta=SVM_ETA, iters=2, **how)
+
+
+@query
+def svm_language_alpha(spark, sf):
+    return _alpha(spark, sf).alpha.select("i", (F.round("v", 12) + 0.0).alias("v"))
+
+
+@query
+def svm_language_alpha_materialised(spark, sf):
+    return _alpha(spark, sf, kernel_mode="materialised").alpha.select("i", (F.round("v", 12) + 0.0).alias("v"))
+
+
+@query
+def svm_language_gradient(spark, sf):
+    """Vector form, at alpha = eta."""
+    t, y = _language(spark, sf)
+    k = svm.linear_kernel(t)
+    return svm.svm_gradient(k, y, y.select("i", F.lit(SVM_ETA).alias("v")), form="vector").select("i", (F.round("v", 9) + 0.0).alias("v"))
+
+
+@query
+def svm_kernel_stats(spark, sf):
+    """Rows, cells, density and bytes of the kernel of the first 25, 50, 100, ... labelled documents."""
+    t, _ = T.doc_term(spark, sf)
+    ids = T.load(spark, sf, "labels", "doc_id").distinct().join(T.load(spark, sf, "documents", "doc_id"), "doc_id", "left_semi")
+    ranked = C.dictionary(ids, "doc_id").select(F.col("key").alias("i"), F.col("idx").alias("at"))
+    own = t.df.join(ranked, "i").select(F.col("at").alias("i"), "j", "v")
+    kernel = iterate.cut(similarity.gram_rows(Cells(own, t.rows, t.cols)).df.select(F.greatest("i", "j").alias("reach")))
+    sizes = [25 << q for q in range(5)]
+    n = F.explode(F.array(*[F.lit(s).cast("long") for s in sizes])).alias("n")
+    have = ranked.select(n, "at").where("at < n").groupBy("n").agg(F.count(F.lit(1)).alias("n_rows"))
+    cells = kernel.select(n, "reach").where("reach < n").groupBy("n").agg(F.count(F.lit(1)).alias("nnz"))
+    return have.join(cells, "n").select("n", "n_rows", "nnz", (F.col("nnz") / (F.col("n_rows") * F.col("n_rows"))).alias("density"), (F.col("nnz") * 24).alias("bytes"))
+
+
+def _trained(spark, sf, t: Cells, y: DataFrame, iters: int = 40) -> DataFrame:
+    """Accuracy on held-out rows; y is (i, y, is_test)."""
+    train = y.where("not is_test").select("i", F.col("y").alias("v"))
+    own = Cells(iterate.cut(t.df.join(train.select("i"), "i", "left_semi")), t.rows, t.cols)
+    # The largest row sum of |K|, without storing K: T (|T|^T 1) bounds it, plus the bias.
+    ones = train.select("i", F.lit(1.0).alias("v"))
+    mass = Cells(own.df.withColumn("v", F.abs("v")), own.rows, own.cols)
+    top = matvec(mass, matvec(mass.t, ones)).agg(F.max("v")).first()[0] or 0.0
+    model = svm.svm_fit(own, train, c=1.0, bias=0.0, eta=4.0 / max(top, 1e-9), iters=iters)
+    pred = svm.svm_predict(model, t).join(y.where("is_test").select("i", F.col("y").cast("int").alias("y")), "i")
+    return measures.accuracy(pred)
+
+
+@query
+def svm_language(spark, sf):
+    return _trained(spark, sf, T.doc_term(spark, sf, normalise=True)[0], T.labelled(spark, sf, "language"))
+
+
+@query
+def svm_quality(spark, sf):
+    return _trained(spark, sf, T.doc_term(spark, sf, normalise=True)[0], T.labelled(spark, sf, "quality"))
+
+
+@query
+def svm_toxic(spark, sf):
+    return _trained(spark, sf, T.doc_term(spark, sf, normalise=True)[0], T.labelled(spark, sf, "toxic"))
+
+
+@query
+def svm_embedding_label(spark, sf):
+    """A control: these labels carry no signal."""
+    e = T.embed_rows(spark, sf)
+    y = e.select("i", F.when(F.col("label") == 0, 1.0).otherwise(-1.0).alias("y"), (F.col("i") % 5 == 0).alias("is_test"))
+    return _trained(spark, sf, T.embed_cells(spark, sf), y)
+
+
+@query
+def svm_multiclass_language(spark, sf):
+    """One against the rest over all languages; share of right answers on every fifth document."""
+    t, _ = T.doc_term(spark, sf, normalise=True)
+    t = t.with_df(iterate.cut(t.df))
+    docs = T.load(spark, sf, "documents", "doc_id", "lang").where("lang is not null").select(F.col("doc_id").alias("i"), F.col("lang").alias("name"))
+    train = docs.where("i % 5 <> 0")
+    own = Cells(t.df.join(train.select("i"), "i", "left_semi"), t.rows, t.cols)
+    models = svm.svm_fit_ovr(own, train, sorted(r[0] for r in docs.select("name").distinct().collect()), eta=0.05, iters=10, bias=0.0)
+    pred = svm.svm_predict_ovr(models, t).withColumnRenamed("name", "guess").join(docs.where("i % 5 = 0"), "i")
+    return pred.agg(F.count(F.lit(1)).alias("rows"), F.sum((F.col("guess") == F.col("name")).cast("long")).alias("right"))
+
+
+# --- Factorisation --------------------------------------------------------------------------------------------
+
+NMF_K = 4
+
+
+def _whole_factor(spark, rows: int, seed: int) -> DataFrame:
+    return spark.range(rows).select(F.col("id").alias("i"), F.transform(F.sequence(F.lit(0), F.lit(NMF_K - 1)), lambda j: (F.col("id") * 7919 + j * 104_729 + seed) % 1009 + 1).alias("vec"))
+
+
+def _flat(rows: DataFrame, kind: str = "double") -> DataFrame:
+    return rows.select("i", F.posexplode("vec").alias("j", "v")).select("i", F.col("j").cast("long").alias("j"), F.col("v").cast(kind).alias("v"))
+
+
+def _nmf_parts(spark, sf):
+    a = T.cust_part(spark, sf)
+    return a, _whole_factor(spark, a.rows, 17), _whole_factor(spark, a.cols, 31)
+
+
+@query
+def nmf_x(spark, sf):
+    a, w, _ = _nmf_parts(spark, sf)
+    return _flat(nmf.nmf_x(w, a), "long")
+
+
+@query
+def nmf_gram(spark, sf):
+    _, w, _ = _nmf_parts(spark, sf)
+    flat = _flat(w, "long")
+    return similarity.gram_cols(Cells(flat, 0, NMF_K)).df
+
+
+@query
+def nmf_y(spark, sf):
+    _, w, ht = _nmf_parts(spark, sf)
+    return _flat(nmf.nmf_y(nmf.gram(w), ht), "long")
+
+
+@query
+def nmf_h_update(spark, sf):
+    a, w, ht = _nmf_parts(spark, sf)
+    return _flat(nmf.nmf_update_h(a, w, ht))
+
+
+@query
+def nmf_w_update(spark, sf):
+    a, w, ht = _nmf_parts(spark, sf)
+    return _flat(nmf.nmf_update_w(a, w, ht))
+
+
+@query
+def nmf_divergence_trace(spark, sf):
+    """Errors at the start and after an update of H; whole factors at the start."""
+    a, w, ht = _nmf_parts(spark, sf)
+    after = iterate.cut(nmf.nmf_update_h(a, w, ht))
+    errors = [nmf.nmf_divergence(a, w, ht), nmf.nmf_divergence(a, w, after)]
+    return spark.createDataFrame([(i, float(f"{e:.8e}")) for i, e in enumerate(errors)], "step long, error double")
+
+
+@query
+def nmf_fit(spark, sf):
+    """Errors over three rounds from the fixed start; never rising."""
+    trace: list[float] = []
+    nmf.nmf(T.cust_part(spark, sf), 4, 3, trace=trace)
+    return spark.createDataFrame([(i, e) for i, e in enumerate(trace)], "step long, error double")
+
+
+@query
+def nmf_reconstruct(spark, sf):
+    a, w, ht = _nmf_parts(spark, sf)
+    return nmf.nmf_reconstruct(w.select("i", F.col("vec").cast("array<double>").alias("vec")), ht.select("i", F.col("vec").cast("array<double>").alias("vec")), a.df).select("i", "j", F.col("v").cast("long").alias("v"))
+
+
+# --- Ranks ----------------------------------------------------------------------------------------------------
+
+
+def _ranked(df: DataFrame, decimals: int = 10) -> DataFrame:
+    return df.select("id", F.round("r", decimals).alias("r"))
+
+
+@query
+def pagerank_part_graph(spark, sf):
+    return _ranked(pagerank.pagerank(T.part_next(spark, sf), iters=RANK_ITERS))
+
+
+@query
+def pagerank_page_links(spark, sf):
+    return _ranked(pagerank.pagerank(T.page_link(spark, sf), iters=RANK_ITERS))
+
+
+@query
+def pagerank_page_links_drop(spark, sf):
+    return _ranked(pagerank.pagerank(T.page_link(spark, sf), iters=RANK_ITERS, dangling="drop"))
+
+
+@query
+def pagerank_page_links_self(spark, sf):
+    return _ranked(pagerank.pagerank(T.page_link(spark, sf), iters=RANK_ITERS, dangling="self"))
+
+
+@query
+def pagerank_undamped(spark, sf):
+    return _ranked(pagerank.pagerank(T.part_next(spark, sf), d=None, iters=RANK_ITERS))
+
+
+@query
+def pagerank_path_targets(spark, sf):
+    return _ranked(pagerank.pagerank(T.path_link(spark, sf), iters=RANK_ITERS))
+
+
+@query
+def pagerank_mass(spark, sf):
+    out = None
+    for kind in ("uniform", "drop", "self"):
+        own = pagerank.pagerank(T.page_link(spark, sf), iters=RANK_ITERS, dangling=kind).agg(F.round(F.sum("r"), 9).alias("mass")).select(F.lit(kind).alias("dangling"), "mass")
+        out = own if out is None else out.union(own)
+    return out
+
+
+@query
+def pagerank_top10_inlinks(spark, sf):
+    edges = T.path_link(spark, sf)
+    return pagerank.rank_report(_ranked(pagerank.pagerank(edges, iters=RANK_ITERS), 12), edges).select("place", "id", F.round("r", 10).alias("r"), "in_links", "in_cut")
+
+
+def _part_ranks(spark, sf) -> DataFrame:
+    return iterate.cut(_ranked(pagerank.pagerank(T.part_next(spark, sf), iters=RANK_ITERS), 12))
+
+
+@query
+def rank_curve(spark, sf):
+    return pagerank.rank_curve(_part_ranks(spark, sf)).select("place", "id", F.round("ln_place", 9).alias("ln_place"), F.round("ln_r", 7).alias("ln_r"))
+
+
+@query
+def rank_curve_slope(spark, sf):
+    return pagerank.rank_curve(_part_ranks(spark, sf)).agg(F.round(F.regr_slope("ln_r", "ln_place"), 6).alias("slope"), F.round(F.regr_r2("ln_r", "ln_place"), 6).alias("r2"))
+
+
+@query
+def lognormal_plot(spark, sf):
+    return pagerank.lognormal_plot(_part_ranks(spark, sf)).select("id", F.round("ln_r", 7).alias("ln_r"), (F.round("z", 7) + 0.0).alias("z"))
+
+
+@query
+def lognormal_straightness(spark, sf):
+    return pagerank.lognormal_plot(_part_ranks(spark, sf)).agg(F.round(F.corr("ln_r", "z"), 6).alias("straightness"))
+
+
+@query
+def tail_plateau(spark, sf):
+    return pagerank.tail_plateau(pagerank.pagerank(T.page_link(spark, sf), iters=RANK_ITERS), 10)
+
+
+@query
+def rank_running_mass(spark, sf):
+    """Mass of the pages down to each place of the path graph (a few hundred targets and all pages)."""
+    ranks = _ranked(pagerank.pagerank(T.path_link(spark, sf), iters=RANK_ITERS), 12)
+    w = Window.orderBy(F.desc("r"), "id").rowsBetween(Window.unboundedPreceding, 0)
+    return ranks.select("id", F.round(F.sum("r").over(w), 8).alias("mass"))
+
+
+@query
+def event_chain_stationary(spark, sf):
+    return _ranked(pagerank.pagerank(T.event_chain(spark, sf), d=None, iters=8, weighted=True))
+
+
+@query
+def nation_trade_stationary(spark, sf):
+    return _ranked(pagerank.pagerank(T.nation_trade(spark, sf), d=None, iters=8, weighted=True))
+
+
+@query
+def user_next_stationary(spark, sf):
+    return _ranked(pagerank.pagerank(T.user_next(spark, sf), d=None, iters=RANK_ITERS, weighted=True))
+
+
+@query
+def power_method_gram(spark, sf):
+    """Leading vector of the supplier Gram after four normalised products from all ones."""
+    k = similarity.gram_rows(T.supp_part(spark, sf))
+    x = spark.range(k.rows).select(F.col("id").alias("i"), F.lit(1.0).alias("v"))
+    return iterate.power_method(k, x, 4, normalise=True).select("i", F.round("v", 10).alias("v"))
+
+
+@query
+def linear_gd_orders(spark, sf):
+    """Three gradient steps of extended price on quantity, retail price and 1, all scaled."""
+    lines = T.load(spark, sf, "lineitem", "l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "l_quantity", "l_extendedprice").join(T.load(spark, sf, "part", "p_partkey", "p_retailprice"), F.col("l_partkey") == F.col("p_partkey"))
+    scaled = lines.groupBy("l_partkey").agg((F.sum("l_quantity") / 1000).alias("q"), (F.max("p_retailprice") / 1000).alias("p"), (F.sum("l_extendedprice") / 1e6).alias("y"))
+    rows = scaled.select(F.col("l_partkey").alias("j"), F.posexplode(F.array("q", "p", F.lit(1.0))).alias("i", "v")).select(F.col("i").cast("long").alias("i"), "j", "v")
+    a = Cells.of(iterate.cut(rows))
+    y = iterate.cut(scaled.select(F.col("l_partkey").alias("i"), F.col("y").alias("v")))
+    return iterate.linear_gd(a, y, 1e-5, 3).select("i", (F.round("v", 7) + 0.0).alias("v"))
+
+
+# --- Operators around the methods -----------------------------------------------------------------------------
+
+
+@query
+def cells_roundtrip(spark, sf):
+    path = _scratch(spark, "cells")
+    T.write_cells(T.supp_part(spark, sf), path)
+    return T.read_cells(spark, path).df
+
+
+@query
+def cells_from_csv(spark, sf):
+    path = _scratch(spark, "csv")
+    T.supp_part(spark, sf).df.write.csv(path)
+    return T.read_cells(spark, path, "csv").df
+
+
+@query
+def cells_tiles(spark, sf):
+    """Through tiles of 16 by 64 and back."""
+    a = T.supp_part(spark, sf)
+    return C.from_tiles(C.to_tiles(a, 16, 64), 16, 64, a.rows, a.cols).df
+
+
+@query
+def cells_rows(spark, sf):
+    a = T.supp_part(spark, sf)
+    return C.from_rows(C.to_rows(a), a.rows, a.cols).df
+
+
+@query
+def sparse_vector_maps(spark, sf):
+    a = T.user_event(spark, sf)
+    return C.from_maps(C.to_maps(a), a.rows, a.cols).df
+
+
+@query
+def matrix_slice(spark, sf):
+    return C.slice_cols(C.slice_rows(T.cust_part(spark, sf), 10, 60), 5, 105).df
+
+
+@query
+def matrix_transpose(spark, sf):
+    return T.supp_part(spark, sf).t.df
+
+
+@query
+def matrix_add(spark, sf):
+    a = T.supp_part(spark, sf)
+    return C.axpy(2, a, C.slice_rows(T.cust_part(spark, sf), 0, a.rows)).df
+
+
+@query
+def matrix_hadamard(spark, sf):
+    return C.hadamard(T.supp_part(spark, sf), T.cust_part(spark, sf)).df
+
+
+@query
+def matrix_ratio(spark, sf):
+    return C.safe_ratio(T.supp_part(spark, sf), T.cust_part(spark, sf), 0.5).df
+
+
+def _margins(spark, sf, how: str) -> DataFrame:
+    df = T.user_event(spark, sf).df
+    if how == "sets":
+        grouped = df.groupingSets([["i"], ["j"], []], "i", "j")
+    else:
+        grouped = getattr(df, how)("i", "j")
+    return grouped.agg(F.sum("v").alias("total"), F.count("v").alias("nnz"))
+
+
+@query
+def matrix_margins(spark, sf):
+    return _margins(spark, sf, "sets")
+
+
+@query
+def matrix_margins_cube(spark, sf):
+    return _margins(spark, sf, "cube")
+
+
+@query
+def matrix_margins_rollup(spark, sf):
+    return _margins(spark, sf, "rollup")
+
+
+@query
+def support_intersect(spark, sf):
+    return T.supp_part(spark, sf).df.select("i", "j").intersect(T.cust_part(spark, sf).df.select("i", "j"))
+
+
+@query
+def support_except(spark, sf):
+    return T.supp_part(spark, sf).df.select("i", "j").exceptAll(T.cust_part(spark, sf).df.select("i", "j"))
+
+
+@query
+def edges_union_dedup(spark, sf):
+    e = T.part_next(spark, sf)
+    return e.union(e.select(F.col("dst").alias("src"), F.col("src").alias("dst"))).distinct()
+
+
+@query
+def dangling_nodes(spark, sf):
+    e = T.page_link(spark, sf)
+    return pagerank.nodes_of(e).join(e.select(F.col("src").alias("id")), "id", "left_anti")
+
+
+@query
+def linked_parts(spark, sf):
+    return T.load(spark, sf, "part", "p_partkey").join(T.part_next(spark, sf), F.col("p_partkey") == F.col("src"), "left_semi")
+
+
+@query
+def nodes_without_inlinks(spark, sf):
+    e = T.page_link(spark, sf)
+    return pagerank.nodes_of(e).join(e.select(F.col("dst").alias("id"), "src"), "id", "left").where("src is null").select("id")
+
+
+@query
+def similar_pairs_triangular(spark, sf):
+    """Pairs i < j of suppliers that share enough: cosine of at least 0.5."""
+    a = T.supp_part(spark, sf)
+    return _rounded(similarity.row_cosines(a, a).df.where("i < j and v >= 0.5"))
+
+
+@query
+def degree_histogram_range(spark, sf):
+    bins = spark.createDataFrame([(0, 0, 10), (1, 10, 20), (2, 20, 40), (3, 40, 80), (4, 80, 1 << 40)], "bin long, low long, high long")
+    links = pagerank.in_links(T.part_next(spark, sf))
+    return links.join(F.broadcast(bins), (F.col("in_links") >= F.col("low")) & (F.col("in_links") < F.col("high"))).groupBy("bin").agg(F.count(F.lit(1)).alias("n"))
+
+
+@query
+def degree_percentiles(spark, sf):
+    links = pagerank.in_links(T.part_next(spark, sf))
+    return links.agg(F.percentile("in_links", F.lit(0.5)).alias("p50"), F.percentile("in_links", F.lit(0.9)).alias("p90"), F.max("in_links").alias("top"), F.max_by("id", F.struct("in_links", "id")).alias("top_id"), F.min_by("id", F.struct("in_links", "id")).alias("low_id"))
+
+
+@query
+def topk_parts_per_customer(spark, sf):
+    w = Window.partitionBy("i").orderBy(F.desc("v"), "j")
+    return T.cust_part(spark, sf).df.withColumn("place", F.row_number().over(w).cast("long")).where("place <= 3")
+
+
+@query
+def rank_functions(spark, sf):
+    w = Window.partitionBy("j").orderBy(F.desc("v"), "i")
+    tied = Window.partitionBy("j").orderBy(F.desc("v"))
+    return T.user_event(spark, sf).df.select("i", "j", F.rank().over(tied).cast("long").alias("rank"), F.dense_rank().over(tied).cast("long").alias("dense"), F.percent_rank().over(tied).alias("pct"), F.cume_dist().over(tied).alias("cume"), F.ntile(4).over(w).cast("long").alias("quarter"))
+
+
+@query
+def part_succession(spark, sf):
+    return T.part_next(spark, sf, loops=True)
+
+
+@query
+def event_gap_lag(spark, sf):
+    w = Window.partitionBy("user_id").orderBy("ts", "event_id")
+    events = T.load(spark, sf, "events", "event_id", "user_id", "ts")
+    return events.select("event_id", (F.unix_micros(F.col("ts")) - F.unix_micros(F.lag("ts").over(w))).alias("gap_us")).where("gap_us is not null")
+
+
+@query
+def link_extract(spark, sf):
+    return T.page_link(spark, sf)
+
+
+@query
+def url_parts(spark, sf):
+    pages = T.load(spark, sf, "pages", "page_id", "url")
+    return pages.select("page_id", F.regexp_extract("url", "^([a-z]+)://", 1).alias("scheme"), F.parse_url("url", F.lit("HOST")).alias("host"), F.coalesce(F.parse_url("url", F.lit("QUERY")), F.lit("")).alias("query"), F.coalesce(F.parse_url("url", F.lit("REF")), F.lit("")).alias("ref"))
+
+
+@query
+def term_counts(spark, sf):
+    return T.term_counts(spark, sf)
+
+
+@query
+def vocabulary(spark, sf):
+    names = T.doc_term(spark, sf)[1]
+    return names.select(F.col("key").alias("term"), "idx")
+
+
+@query
+def event_props_matrix(spark, sf):
+    events = T.load(spark, sf, "events", "user_id", "props")
+    return events.groupBy("user_id").agg(F.sum(F.get_json_object("props", "$.k").cast("long")).alias("k_sum"), F.count_distinct(F.get_json_object("props", "$.k")).alias("k_kinds"))
+
+
+@query
+def hourly_event_matrix(spark, sf):
+    events = T.load(spark, sf, "events", "ts", "event_type")
+    return events.groupBy(F.date_trunc("hour", "ts").alias("hour"), "event_type").agg(F.count(F.lit(1)).alias("n"))
+
+
+@query
+def vector_norms(spark, sf):
+    v = F.aggregate(F.zip_with("vec", "vec", lambda x, y: x * y), F.lit(0.0), lambda s, x: s + x)
+    return T.embed_rows(spark, sf).select("i", F.round(F.sqrt(v), 6).alias("norm"))
+
+
+@query
+def vector_norms_udf(spark, sf):
+    return T.embed_rows(spark, sf).select("i", F.round(registered.vector_norm("vec"), 6).alias("norm"))
+
+
+@query
+def distinct_terms_exact(spark, sf):
+    return T.term_counts(spark, sf).agg(F.count_distinct("term").alias("terms"))
+
+
+@query
+def distinct_terms_approx(spark, sf):
+    return T.term_counts(spark, sf).agg(F.approx_count_distinct("term").alias("terms"))
+
+
+@query
+def outlier_sum_udaf(spark, sf):
+    """A grouped pandas aggregate needs a group in one task; users' events are few."""
+    return T.load(spark, sf, "events", "user_id", "value").groupBy("user_id").agg(F.round(registered.robust_sum("value"), 4).alias("kept_sum"))
+
+
+@query
+def tile_copies_udtf(spark, sf):
+    registered.register(spark)
+    T.supp_part(spark, sf).df.createOrReplaceTempView("tilealg_cells")
+    return spark.sql("SELECT i, j, v, cast(beta AS bigint) AS beta FROM tilealg_cells, LATERAL mat_copies(3)")
