@@ -1,6 +1,6 @@
 """Loops around a product: power method, gradient descent, step sizes.
 
-State between rounds is cut off the plan every few rounds, in the checkpoint folder of the session.
+State between rounds (a vector, never the matrix) is cut off the plan in the checkpoint folder of the session.
 """
 
 from __future__ import annotations
@@ -15,7 +15,8 @@ from pyspark.sql import functions as F
 from tilealg.operators.cells import Cells
 from tilealg.operators.product import matvec
 
-CUT_EVERY = 8
+#: A step reads its state more than once, so plans would double with every round that isn't cut.
+CUT_EVERY = 1
 
 
 def cut(df: DataFrame) -> DataFrame:

@@ -57,7 +57,7 @@ def pagerank(edges: DataFrame, nodes: DataFrame | None = None, d: float | None =
         new = F.col("got") if d is None else (1 - d) / n + d * F.col("got")
         return base.select(F.col("id").alias("i"), new.alias("v"))
 
-    return run(step, ranks, iters, l1, tol, trace, every=5).select(F.col("i").alias("id"), F.col("v").alias("r"))
+    return run(step, ranks, iters, l1, tol, trace).select(F.col("i").alias("id"), F.col("v").alias("r"))
 
 
 def in_links(edges: DataFrame) -> DataFrame:

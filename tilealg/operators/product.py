@@ -130,10 +130,11 @@ def cell_product(a: Cells, b: Cells) -> Cells:
 def broadcast_product(a: Cells, b: Cells, transpose_small: bool = False, most_cells: int = 10_000_000) -> Cells:
     """A B (or A B^T) with the small operand on all workers, so that the large one isn't moved to be multiplied.
 
-    The small operand's cells are counted first; above ``most_cells`` the product falls back to an exchange of both.
+    The small operand's size is checked first, by its shape or else its cells; above ``most_cells`` the product falls
+    back to an exchange of both.
     """
     small = b.t if transpose_small else b
-    if small.df.count() > most_cells:
+    if small.rows * small.cols > most_cells and small.df.count() > most_cells:
         return cell_product(a, small)
     right = F.broadcast(small.df.select(F.col("i").alias("t"), F.col("j").alias("q"), F.col("v").alias("w")))
     joined = a.df.withColumnRenamed("j", "t").join(right, "t")

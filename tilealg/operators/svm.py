@@ -13,7 +13,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from tilealg.operators.cells import Cells
-from tilealg.operators.iterate import CUT_EVERY, cut
+from tilealg.operators.iterate import cut
 from tilealg.operators.product import cell_product, matvec
 from tilealg.operators.similarity import gram_rows
 
@@ -74,8 +74,9 @@ class SvmModel:
         return matvec(self.train.t, signed)
 
 
-def svm_fit(t: Cells, y: DataFrame, c: float = 1.0, bias: float = 1.0, eta: float = 0.01, iters: int = 20, box: str = "soft", kernel_mode: str = "implicit", trace: bool = False, timed: bool = False) -> SvmModel:
+def svm_fit(t: Cells, y: DataFrame, c: float = 1.0, bias: float = 1.0, eta: float = 0.01, iters: int = 20, box: str = "soft", kernel_mode: str = "implicit", trace: bool = False) -> SvmModel:
     """A fixed number of steps from alpha = 0.  All labelled rows take part, rows of T without cells too."""
+    y = cut(y.select("i", "v"))
     alpha = y.select("i", F.lit(0.0).alias("v"))
     kernel = None
     if kernel_mode == "materialised":
@@ -83,7 +84,7 @@ def svm_fit(t: Cells, y: DataFrame, c: float = 1.0, bias: float = 1.0, eta: floa
     elif kernel_mode != "implicit":
         raise ValueError("kernel_mode is materialised or implicit")
     model = SvmModel(alpha, y, t, bias)
-    for r in range(iters):
+    for _ in range(iters):
         began = time.monotonic()
         if kernel is not None:
             slope = svm_gradient(kernel, y, alpha)
@@ -93,8 +94,7 @@ def svm_fit(t: Cells, y: DataFrame, c: float = 1.0, bias: float = 1.0, eta: floa
             level = signed.agg((F.coalesce(F.sum("v"), F.lit(0.0)) * bias * bias).alias("b"))
             slope = y.join(through, "i", "left").crossJoin(F.broadcast(level)).select("i", (1 - F.col("v") * (F.coalesce("w", F.lit(0.0)) + F.col("b"))).alias("v"))
         alpha = alpha.join(slope.withColumnRenamed("v", "g"), "i").select("i", boxed(F.col("v") + eta * F.col("g"), box, c).alias("v"))
-        if timed or trace or (r + 1) % CUT_EVERY == 0:
-            alpha = cut(alpha)
+        alpha = cut(alpha)
         model.iteration_seconds.append(time.monotonic() - began)
         if trace and kernel is not None:
             model.objective.append(svm_dual_objective(kernel, y, alpha))

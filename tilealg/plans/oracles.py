@@ -127,7 +127,7 @@ def _partials(n: int) -> str:
 
 
 def _margins(how: str) -> str:
-    return f"SELECT i, j, CAST(sum(v) AS BIGINT) AS total, count(v) AS nnz FROM {UE} GROUP BY {how}"
+    return f"SELECT coalesce(i, -1) AS i, coalesce(j, -1) AS j, CAST(sum(v) AS BIGINT) AS total, count(v) AS nnz FROM {UE} GROUP BY {how}"
 
 
 SQL = {

@@ -271,6 +271,7 @@ def nearest_centroid(spark, sf):
 
 def _language(spark, sf) -> tuple[Cells, DataFrame]:
     t, _ = T.doc_term(spark, sf)
+    t = t.with_df(iterate.cut(t.df))
     y = T.load(spark, sf, "documents", "doc_id", "lang").select(F.col("doc_id").alias("i"), F.when(F.col("lang") == "en", 1.0).otherwise(-1.0).alias("v"))
     return t, y
 
@@ -313,8 +314,9 @@ def svm_kernel_stats(spark, sf):
     return have.join(cells, "n").select("n", "n_rows", "nnz", (F.col("nnz") / (F.col("n_rows") * F.col("n_rows"))).alias("density"), (F.col("nnz") * 24).alias("bytes"))
 
 
-def _trained(spark, sf, t: Cells, y: DataFrame, iters: int = 40) -> DataFrame:
+def _trained(spark, sf, t: Cells, y: DataFrame, iters: int = 20) -> DataFrame:
     """Accuracy on held-out rows; y is (i, y, is_test)."""
+    y, t = iterate.cut(y), t.with_df(iterate.cut(t.df))
     train = y.where("not is_test").select("i", F.col("y").alias("v"))
     own = Cells(iterate.cut(t.df.join(train.select("i"), "i", "left_semi")), t.rows, t.cols)
     # The largest row sum of |K|, without storing K: T (|T|^T 1) bounds it, plus the bias.
@@ -625,7 +627,9 @@ def _margins(spark, sf, how: str) -> DataFrame:
         grouped = df.groupingSets([["i"], ["j"], []], "i", "j")
     else:
         grouped = getattr(df, how)("i", "j")
-    return grouped.agg(F.sum("v").alias("total"), F.count("v").alias("nnz"))
+    # -1 stands for a margin that an index is summed over.
+    margins = grouped.agg(F.sum("v").alias("total"), F.count("v").alias("nnz"))
+    return margins.select(F.coalesce("i", F.lit(-1)).alias("i"), F.coalesce("j", F.lit(-1)).alias("j"), "total", "nnz")
 
 
 @query
@@ -717,7 +721,7 @@ def part_succession(spark, sf):
 @query
 def event_gap_lag(spark, sf):
     w = Window.partitionBy("user_id").orderBy("ts", "event_id")
-    events = T.load(spark, sf, "events", "event_id", "user_id", "ts")
+    events = T.load(spark, sf, "events", "event_id", "user_id", "ts").withColumn("ts", F.col("ts").cast("timestamp"))
     return events.select("event_id", (F.unix_micros(F.col("ts")) - F.unix_micros(F.lag("ts").over(w))).alias("gap_us")).where("gap_us is not null")
 
 
