@@ -79,7 +79,7 @@ def votes(m: dict[str, np.ndarray]) -> np.ndarray:
     return np.stack(
         [
             vote(m["words"] < 3, m["words"] >= 20),
-            vote(m["odd_words"] > 0.25, m["odd_words"] < 0.03),
+            vote(m["odd_words"] > 0.25),
             vote(m["symbols"] > 0.25),
             vote(m["upper"] > 0.4),
             vote(m["bars"] > 0.2),
@@ -154,7 +154,7 @@ class Labels:
         return dict(zip(LABELLERS, (right / said).tolist(), strict=True))
 
 
-def estimate(own: np.ndarray, n: np.ndarray, rounds: int = 80, least_right: float = 0.7) -> Labels:
+def estimate(own: np.ndarray, n: np.ndarray, rounds: int = 80, least_right: float = 0.9) -> Labels:
     """Expectation maximisation over distinct vote rows ``own`` with counts ``n``.
 
     It starts from any bad vote counting as bad.  A labeller's bad votes are taken to be right at least
