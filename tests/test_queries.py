@@ -1,5 +1,7 @@
 """A few queries against their SQL on the smallest tables; the driver runs them all."""
 
+import subprocess
+import sys
 from pathlib import Path
 
 import duckdb
@@ -19,3 +21,8 @@ def test_query_equals_sql(spark, name):
     want = db.sql(entry.oracle_sql()[name])
     got = entry.queries()[name](spark, str(SF)).select(*want.columns).collect()
     assert sorted(map(tuple, got), key=str) == sorted(want.fetchall(), key=str)
+
+
+def test_names_can_be_read_without_a_session():
+    code = "import __spark_entry__ as e; assert set(e.oracle_sql()) <= set(e.queries())"
+    subprocess.run([sys.executable, "-c", code], cwd=Path(__file__).resolve().parents[1], check=True, timeout=120)

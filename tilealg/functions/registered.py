@@ -7,21 +7,22 @@ from collections.abc import Iterator
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import DoubleType, IntegerType, StructField, StructType
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(DoubleType())
 def vector_norm(v: pd.Series) -> pd.Series:
     return v.map(lambda x: float((x * x).sum() ** 0.5))
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(DoubleType())
 def robust_sum(v: pd.Series) -> float:
     """Sum of the values within three standard deviations of their mean."""
     spread = v.std(ddof=0)
     return float(v[(v - v.mean()).abs() <= 3 * spread].sum()) if spread > 0 else float(v.sum())
 
 
-@F.udtf(returnType="beta int")
+@F.udtf(returnType=StructType([StructField("beta", IntegerType())]))
 class TileCopies:
     """The column stripes that a cell is copied to."""
 
