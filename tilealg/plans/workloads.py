@@ -323,7 +323,7 @@ def _trained(spark, sf, t: Cells, y: DataFrame, iters: int = 20) -> DataFrame:
     ones = train.select("i", F.lit(1.0).alias("v"))
     mass = Cells(own.df.withColumn("v", F.abs("v")), own.rows, own.cols)
     top = matvec(mass, matvec(mass.t, ones)).agg(F.max("v")).first()[0] or 0.0
-    model = svm.svm_fit(own, train, c=1.0, bias=0.0, eta=4.0 / max(top, 1e-9), iters=iters)
+    model = svm.svm_fit(own, train, c=1.0, bias=0.0, eta=1.0 / max(top, 1e-9), iters=iters)
     pred = svm.svm_predict(model, t).join(y.where("is_test").select("i", F.col("y").cast("int").alias("y")), "i")
     return measures.accuracy(pred)
 
