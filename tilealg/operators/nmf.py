@@ -37,21 +37,20 @@ def nmf_x(w: DataFrame, a: Cells) -> DataFrame:
 
 
 def gram(factor: DataFrame) -> np.ndarray:
-    """Factor^T factor: k x k sums on the driver."""
+    """Factor^T factor: k x k sums on the driver.  A group for each row of it, as k^2 sums in one are too many to compile."""
     k = _rank(factor)
-    sums = [F.sum(F.element_at("vec", r + 1) * F.element_at("vec", s + 1)).alias(f"g{r}_{s}") for r in range(k) for s in range(r, k)]
-    row = factor.agg(*sums).first()
+    places = factor.select("vec", F.posexplode("vec").alias("r", "x"))
+    sums = [F.sum(F.col("x") * F.element_at("vec", s + 1)) for s in range(k)]
     out = np.zeros((k, k))
-    for r in range(k):
-        for s in range(r, k):
-            out[r, s] = out[s, r] = row[f"g{r}_{s}"] or 0
+    for row in places.groupBy("r").agg(F.array(*sums).alias("g")).collect() if k else []:
+        out[row["r"]] = [v or 0 for v in row["g"]]
     return out
 
 
 def nmf_y(c: np.ndarray, ht: DataFrame) -> DataFrame:
-    """(i, vec): rows of H^T C^T; the k x k block is part of the expression, so H isn't moved."""
-    k = len(c)
-    return ht.select("i", F.array(*[sum((F.element_at("vec", s + 1) * float(c[r, s]) for s in range(1, k)), F.element_at("vec", 1) * float(c[r, 0])) for r in range(k)]).alias("vec"))
+    """(i, vec): rows of H^T C^T; the k x k block is a literal of the expression, so H isn't moved."""
+    dot = lambda row: F.aggregate(F.zip_with("vec", row, lambda x, y: x * y), F.lit(0.0), lambda total, v: total + v)
+    return ht.select("i", F.transform(F.lit(c.astype(float).tolist()), dot).alias("vec"))
 
 
 def nmf_apply(h: DataFrame, x: DataFrame, y: DataFrame, eps: float = 1e-12) -> DataFrame:
