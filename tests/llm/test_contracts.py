@@ -173,6 +173,17 @@ def test_private_data(spark, empty):
     assert private_data.pseudonymised(empty).count() == 0
 
 
+def test_month_first_dates_stay_month_first(spark):
+    from pyspark.sql import functions as F
+
+    days = spark.sql("select explode(sequence(date'1996-01-01', date'1997-12-31', interval 1 day)) d").where("day(d) > 12").selectExpr("date_format(d, 'MM/dd/yyyy') v")
+    got = days.select("v", private_data.pseudonym(F.col("v"), F.lit("k")).alias("p")).selectExpr("v", "p", "to_date(p, 'MM/dd/yyyy') d").cache()
+    assert got.where("day(d) <= 12 or d is null or length(p) <> 10").count() == 0
+    assert got.select("p").distinct().count() == got.count() and got.where("v = p").count() < 3
+    both = spark.createDataFrame([("03/04/1999",), ("04/25/1999",), ("13/13/1999",)], "v string").select("v", private_data.pseudonym(F.col("v"), F.lit("k")).alias("p")).collect()
+    assert [r.v == r.p for r in both] == [False, False, True]
+
+
 def test_digit_permutation_is_one_to_one(spark):
     from pyspark.sql import functions as F
 

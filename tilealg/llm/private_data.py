@@ -8,7 +8,8 @@ equal everywhere, different ones stay different, and lengths, separators, check
 * phone numbers: ten digits behind an optional country code, which stays;
 * social security numbers: nine digits as 3-2-4;
 * IPv4 addresses: their 32 bits;
-* dates (year-month-day; day.month.year or day/month/year): the day's number in the 400-year cycle 1800 to 2199.
+* dates (year-month-day; day.month.year or day/month/year): the day's number in the 400-year cycle 1800 to 2199;
+* dates that are only valid as month/day/year: the same network, walked until it comes to another date of this kind.
 
 A network's domain is Z_a x Z_b with a * b elements exactly, so no value leaves it.  E-mail local parts and hosts
 below the last two labels, and hexadecimal secrets of 32 to 64 digits, get keyed hashes of their length instead.
@@ -22,6 +23,8 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 ROUNDS = 4
+#: Steps of a walk among month-first dates; each ends it with odds of three fifths.
+WALK = 64
 CYCLE_START, CYCLE_A, CYCLE_B = "1800-01-01", 189, 773  # 189 * 773 days are 400 years
 
 EMAIL = r"[A-Za-z0-9._%+\-À-ɏ]+@[A-Za-z0-9\-]+(?:\.[A-Za-z0-9\-]+)*\.[A-Za-z]{2,}"
@@ -42,7 +45,6 @@ def keyed(key: Column, what: str, *parts: Column) -> Column:
 def feistel(x: Column, a: int, b: int, key: Column, what: str) -> Column:
     """Permutes 0 .. a*b-1: halves modulo a and b are shifted in turn by keyed values of each other."""
     halves = F.struct(F.floor(x / F.lit(b)).cast("long").alias("l"), F.pmod(x, F.lit(b)).cast("long").alias("r"))
-    halves = F.struct(F.expr("0L").alias("l"), F.expr("0L").alias("r")) if False else halves
 
     def turn(h: Column, i: Column) -> Column:
         left = F.pmod(h["l"] + F.pmod(keyed(key, what, i, F.lit("r"), h["r"]), F.lit(a)), F.lit(a)).cast("long")
@@ -105,12 +107,16 @@ def _by_length(digits: Column, lengths: range, make: Callable[[int], Column]) ->
     return out
 
 
-def _date(value: Column, form: str, key: Column) -> Column:
-    """Null if the value is no date of the cycle."""
+def _date(value: Column, form: str, key: Column, late: bool = False) -> Column:
+    """Null if the value is no date of the cycle.  late: days after the 12th stay such days, so a month-first date
+    that can't be read day first becomes one that can't either, and never equals a pseudonym of the other kind."""
     day = F.datediff(F.try_to_date(value, form) if hasattr(F, "try_to_date") else F.to_date(F.try_to_timestamp(value, F.lit(form))), F.lit(CYCLE_START).cast("date")).cast("long")
     valid = day.between(0, CYCLE_A * CYCLE_B - 1)
-    moved = feistel(F.when(valid, day).otherwise(0), CYCLE_A, CYCLE_B, key, "date")
-    return F.when(valid, F.date_format(F.date_add(F.lit(CYCLE_START).cast("date"), moved.cast("int")), form))
+    told = lambda d: F.date_add(F.lit(CYCLE_START).cast("date"), d.cast("int"))
+    step = lambda d: feistel(d, CYCLE_A, CYCLE_B, key, "date")
+    start = F.when(valid, day).otherwise(F.lit(0).cast("long"))
+    moved = F.aggregate(F.sequence(F.lit(1), F.lit(WALK)), start, lambda d, i: F.when((i > 1) & (F.dayofmonth(told(d)) > 12), d).otherwise(step(d))) if late else step(start)
+    return F.when(valid, F.date_format(told(moved), form))
 
 
 def kind_of(value: Column) -> Column:
@@ -131,7 +137,7 @@ def pseudonym(value: Column, key: Column) -> Column:
     moved = F.transform(F.array(feistel(number, 65536, 65536, key, "address")), lambda m: F.concat_ws(".", F.shiftright(m, 24), F.shiftright(m, 16) % 256, F.shiftright(m, 8) % 256, m % 256))[0]
     address = F.when(F.array_max(octets) <= 255, moved).otherwise(value)
     iso, dotted, slashed = (_date(value, f, key) for f in ("yyyy-MM-dd", "dd.MM.yyyy", "dd/MM/yyyy"))
-    date = F.coalesce(F.when(F.contains(value, F.lit("-")), iso).when(F.contains(value, F.lit(".")), dotted).otherwise(slashed), value)
+    date = F.coalesce(F.when(F.contains(value, F.lit("-")), iso).when(F.contains(value, F.lit(".")), dotted).otherwise(F.coalesce(slashed, _date(value, "MM/dd/yyyy", key, late=True))), value)
     social = poured(value, permuted_digits(digits, 9, key, "social"))
     ten = F.right(digits, F.lit(10))
     phone = poured(value, F.concat(F.substr(digits, F.lit(1), F.length(digits) - 10), permuted_digits(ten, 10, key, "phone")))
