@@ -1,5 +1,10 @@
 """Products, learners and measures against numpy on small inputs."""
 
+import os
+import subprocess
+import sys
+from pathlib import Path
+
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
@@ -12,6 +17,8 @@ from tilealg.operators.generate import random_matrix
 from tilealg.operators.grid import TileGrid
 from tilealg.operators.product import broadcast_product, cell_product, tag_left, tag_right, tiled_product, tiled_product_blocks
 
+ROOT = Path(__file__).resolve().parents[1]
+
 
 def sparse(spark, m):
     rows = [(int(i), int(j), m[i, j].item()) for i, j in zip(*np.nonzero(m), strict=True)]
@@ -181,3 +188,57 @@ def test_stream_equals_batch(spark, tmp_path):
     n = {(r[0], r[1]): r[2] for r in c.collect()}
     got = {(r["a"], r["b"]): r["v"] for r in keeper.gram(spark).collect()}
     assert got == {(a, b): sum(n.get((u, a), 0) * n.get((u, b), 0) for u in range(3)) for a in "ab" for b in "ab"}
+    again = incremental.RunningGram(str(tmp_path / "gram"))
+    more = spark.createDataFrame([(0, "a"), (7, "b")], "user_id long, event_type string")
+    again(more, keeper.done)
+    assert {(r["a"], r["b"]): r["v"] for r in again.gram(spark).collect()} == got
+    again(more, keeper.done + 1)
+    n[(0, "a")], n[(7, "b")] = n.get((0, "a"), 0) + 1, 1
+    got = {(r["a"], r["b"]): r["v"] for r in incremental.RunningGram(str(tmp_path / "gram")).gram(spark).collect()}
+    assert got == {(a, b): sum(n.get((u, a), 0) * n.get((u, b), 0) for u in (0, 1, 2, 7)) for a in "ab" for b in "ab"}
+
+
+def test_local_factor_update_equals_the_distributed_one(spark):
+    of = lambda rows: spark.createDataFrame(rows, "i long, vec array<double>")
+    h, x, y = of([(0, [1.0, 2.0]), (1, [0.0, 4.0]), (2, [3.0, 1.0])]), of([(0, [2.0, 0.0]), (1, [5.0, 6.0])]), of([(0, [4.0, 0.0]), (1, [0.0, 0.0]), (2, [1.0, 1.0])])
+    rows = lambda df: sorted((r["i"], r["vec"]) for r in df.collect())
+    want = rows(nmf.nmf_apply(h, x, y))
+    assert rows(nmf.nmf_apply_local(h, x, y)) == want == rows(nmf.nmf_apply_local(h, x, y, most_values=2))
+
+
+def test_bounds_of_what_is_shipped(spark):
+    rng = np.random.default_rng(3)
+    t = rng.integers(0, 4, (6, 4)).astype(float)
+    k = sparse(spark, t @ t.T)
+    y = spark.createDataFrame([(i, float(s)) for i, s in enumerate((1, -1, 1, 1, -1, -1))], "i long, v double")
+    alpha = spark.createDataFrame([(i, i / 10) for i in range(6)], "i long, v double")
+    rows = lambda df: sorted((r["i"], round(r["v"], 9)) for r in df.collect())
+    assert rows(svm.svm_gradient(k, y, alpha)) == rows(svm.svm_gradient(k, y, alpha, most_rows=2)) == rows(svm.svm_gradient(k, y, alpha, form="vector"))
+    with pytest.raises(ValueError, match="implicit"):
+        svm.linear_kernel(k, bias=1.0, most_cells=35)
+
+
+def test_workers_need_no_copy_of_the_library(tmp_path):
+    """Python workers of a session started elsewhere, with the library on the driver's path alone."""
+    code = f"""
+import sys
+sys.path.insert(0, {str(ROOT)!r})
+from pyspark.sql import SparkSession
+from pyspark.sql import functions as F
+spark = SparkSession.builder.master("local[1]").config("spark.ui.enabled", "false").config("spark.sql.shuffle.partitions", "1").getOrCreate()
+from tilealg.functions.registered import register, vector_norm
+from tilealg.operators.cells import Cells
+from tilealg.operators.grid import TileGrid
+from tilealg.operators.product import broadcast_rows, tiled_product_blocks
+a = Cells(spark.createDataFrame([(0, 0, 2.0), (1, 1, 3.0)], "i long, j long, v double"), 2, 2)
+print("BLOCKS", tiled_product_blocks(a, a, TileGrid.of(2, 2, 2, 1, 1, 1)).df.agg(F.sum("v")).first()[0])
+register(spark)
+print("COPIES", spark.sql("select * from mat_copies(3)").count())
+v = spark.createDataFrame([(0, [3.0, 4.0])], "i long, vec array<double>")
+print("NORM", v.select(vector_norm("vec")).first()[0])
+import numpy as np
+print("ROWS", broadcast_rows(v, np.eye(2)).first()["vec"])
+"""
+    path = {k: v for k, v in os.environ.items() if k != "PYTHONPATH"}
+    done = subprocess.run([sys.executable, "-c", code], cwd=tmp_path, env=path, capture_output=True, text=True, timeout=180)
+    assert done.stdout.split() == ["BLOCKS", "13.0", "COPIES", "3", "NORM", "5.0", "ROWS", "[3.0,", "4.0]"], done.stderr[-2000:]

@@ -9,6 +9,10 @@ from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.types import DoubleType, IntegerType, StructField, StructType
 
+from tilealg.workers import shipped
+
+shipped(__name__)
+
 
 @F.pandas_udf(DoubleType())
 def vector_norm(v: pd.Series) -> pd.Series:

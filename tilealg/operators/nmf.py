@@ -61,6 +61,19 @@ def nmf_apply(h: DataFrame, x: DataFrame, y: DataFrame, eps: float = 1e-12) -> D
     return both.select("i", place.alias("vec"))
 
 
+def nmf_apply_local(h: DataFrame, x: DataFrame, y: DataFrame, eps: float = 1e-12, most_values: int = 5_000_000) -> DataFrame:
+    """``nmf_apply`` on the driver, for factors of at most ``most_values`` values; larger ones stay distributed."""
+    k = _rank(h)
+    if h.count() * k > most_values:
+        return nmf_apply(h, x, y, eps)
+    own, num, den = ({r["i"]: np.array(r["vec"], float) for r in f.collect()} for f in (h, x, y))
+    rows = []
+    for i in own.keys() & den.keys():
+        top = own[i] * num.get(i, np.zeros(k))
+        rows.append((i, np.where(top == 0, 0.0, top / np.where(den[i] == 0, eps, den[i])).tolist()))
+    return h.sparkSession.createDataFrame(rows, "i long, vec array<double>")
+
+
 def nmf_update_h(a: Cells, w: DataFrame, ht: DataFrame, eps: float = 1e-12) -> DataFrame:
     return nmf_apply(ht, nmf_x(w, a), nmf_y(gram(w), ht), eps)
 
@@ -112,10 +125,10 @@ def nmf_reconstruct(w: DataFrame, ht: DataFrame, cells: DataFrame | None = None)
 
 
 def nmf_profile(a: Cells, k: int, seed: int = 17) -> dict[str, float]:
-    """Seconds of the parts of one H update: x, y, and the ratio."""
+    """Seconds of the parts of one H update: x, y, and the ratio, distributed and on the driver."""
     w, ht = cut(random_factor(a.spark, a.rows, k, seed)), cut(random_factor(a.spark, a.cols, k, seed + 14))
     out, kept = {}, {}
-    for name, make in (("x", lambda: nmf_x(w, a)), ("y", lambda: nmf_y(gram(w), ht)), ("ratio", lambda: nmf_apply(ht, kept["x"], kept["y"]))):
+    for name, make in (("x", lambda: nmf_x(w, a)), ("y", lambda: nmf_y(gram(w), ht)), ("ratio", lambda: nmf_apply(ht, kept["x"], kept["y"])), ("ratio_local", lambda: nmf_apply_local(ht, kept["x"], kept["y"]))):
         began = time.monotonic()
         kept[name] = cut(make())
         out[name] = time.monotonic() - began

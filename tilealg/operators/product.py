@@ -11,6 +11,9 @@ from pyspark.sql import functions as F
 
 from tilealg.operators.cells import Cells
 from tilealg.operators.grid import TileGrid
+from tilealg.workers import shipped
+
+shipped(__name__)
 
 PLACEMENTS = ("row", "tile", "random")
 

@@ -18,24 +18,28 @@ from tilealg.operators.product import cell_product, matvec
 from tilealg.operators.similarity import gram_rows
 
 
-def linear_kernel(t: Cells, bias: float = 0.0, **how) -> Cells:
-    """T T^T + bias^2; with a bias all cells are stored."""
+def linear_kernel(t: Cells, bias: float = 0.0, most_cells: int = 2_000_000_000, **how) -> Cells:
+    """T T^T + bias^2; with a bias all cells are stored, and more than ``most_cells`` of them is an error."""
     k = gram_rows(t, half=True, **how)
     if not bias:
         return k
+    if t.rows**2 > most_cells:
+        raise ValueError(f"a kernel of {t.rows} rows with a bias has no empty cells; use the implicit mode")
     ids = t.spark.range(t.rows).select(F.col("id").alias("i"))
     grid = ids.crossJoin(ids.withColumnRenamed("i", "j"))
     return k.with_df(grid.join(k.df, ["i", "j"], "left").select("i", "j", (F.coalesce("v", F.lit(0.0)) + bias * bias).alias("v")))
 
 
-def svm_gradient(k: Cells, y: DataFrame, alpha: DataFrame, form: str = "elementwise") -> DataFrame:
+def svm_gradient(k: Cells, y: DataFrame, alpha: DataFrame, form: str = "elementwise", most_rows: int = 10_000_000) -> DataFrame:
     """(i, v): 1 - y_i sum_j y_j alpha_j K_ij.  y and alpha are (i, v).
 
     elementwise: one join of kernel cells with the signed weights; vector: -y * (D K) + 1 as vector operations.
+    Weights of more than ``most_rows`` rows of the kernel are not broadcast; they and the cells are exchanged.
     """
     signed = y.withColumnRenamed("v", "y").join(alpha, "i").select("i", (F.col("y") * F.col("v")).alias("v"))
     if form == "elementwise":
-        d = F.broadcast(signed.select(F.col("i").alias("j"), F.col("v").alias("d")))
+        d = signed.select(F.col("i").alias("j"), F.col("v").alias("d"))
+        d = F.broadcast(d) if k.rows <= most_rows else d
         dots = k.df.join(d, "j").groupBy("i").agg(F.sum(F.col("v") * F.col("d")).alias("w"))
     else:
         dots = matvec(k.t, signed).withColumnRenamed("v", "w")

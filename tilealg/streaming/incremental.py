@@ -31,13 +31,23 @@ def once(events: DataFrame, late: str = "2 hours") -> DataFrame:
 class RunningGram:
     """Gram of user rows over event kinds, brought up to date by micro-batches with ``foreachBatch``.
 
-    Keeps counts (user, kind) in a table of its own version each batch; replays of a batch change nothing.
+    Keeps counts (user, kind) in a table of its own version each batch; replays of a batch change nothing.  A new
+    object over the same folder goes on from the last version that was wholly written.
     """
 
     def __init__(self, folder: str):
-        self.folder, self.done = folder, -1
+        self.folder, self.done = folder, None
+
+    def _last(self, spark) -> int:
+        """The newest version whose write was committed; -1 if there is none."""
+        jvm = spark._jvm
+        path = jvm.org.apache.hadoop.fs.Path(f"{self.folder}/v*/_SUCCESS")
+        found = path.getFileSystem(spark._jsparkSession.sessionState().newHadoopConf()).globStatus(path) or []
+        return max((int(f.getPath().getParent().getName()[1:]) for f in found), default=-1)
 
     def __call__(self, batch: DataFrame, batch_id: int) -> None:
+        if self.done is None:
+            self.done = self._last(batch.sparkSession)
         if batch_id <= self.done:
             return
         fresh = batch.groupBy("user_id", "event_type").agg(F.count(F.lit(1)).alias("n"))
@@ -47,6 +57,8 @@ class RunningGram:
         self.done = batch_id
 
     def counts(self, spark) -> DataFrame:
+        if self.done is None:
+            self.done = self._last(spark)
         return spark.read.parquet(f"{self.folder}/v{self.done}")
 
     def gram(self, spark) -> DataFrame:
