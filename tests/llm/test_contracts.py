@@ -225,6 +225,20 @@ def test_quality(spark, empty):
     assert quality.judged(odd).count() == len(ROWS)
 
 
+def test_quality_sees_repeated_lines_and_passages(spark):
+    """Texts of clean words that only repeat themselves: the shapes of their words are those of clean texts."""
+    rng = np.random.default_rng(5)
+    word = lambda: "".join(rng.choice(list("abcdefgh"), int(rng.integers(2, 9))))
+    text = lambda n: " ".join(word() for _ in range(n))
+    clean = [(k, "\n".join(text(30) + "." for _ in range(3))) for k in range(200)]
+    noise = [(300 + k, " ".join(word() + "###" for _ in range(60))) for k in range(10)]
+    lines = [(400 + k, "\n".join([clean[k][1].split("\n")[0]] * 50)) for k in range(12)]
+    passages = [(500 + k, " ".join([clean[k + 20][1].split("\n")[0]] * 50)) for k in range(12)]
+    docs = spark.createDataFrame(clean + noise + lines + passages, "doc_id long, text string")
+    assert {r["doc_id"] for r in quality.judged(docs).where("kept").collect()} == {d for d, _ in clean}
+    assert {r["doc_id"] for r in quality.good_documents(docs).collect()} == {d for d, _ in clean}
+
+
 def test_pipeline(spark, tmp_path):
     import corpus_pipeline
 

@@ -3,8 +3,9 @@
 Labellers vote good (1), bad (-1) or nothing (0) on a document.  The counts of vote patterns over all documents (at
 most 3 to the number of labellers) are all that estimation needs: a latent class model with a good and a bad class,
 votes independent within a class, is fitted by expectation maximisation.  It gives every pattern a posterior.
-These posteriors are the soft labels of a logistic scorer over hashed word shapes (runs of upper case, lower case,
-digits and each other byte) of a bounded sample of documents; the scorer then judges every whole document.
+These posteriors are the soft labels of a logistic scorer, fitted on a bounded sample of documents; the scorer then
+judges every whole document.  Its features are the shares of hashed word shapes (runs of upper case, lower case, digits
+and each other byte) and of hashed words, and which of the steps in ``STEPS`` each of the labellers' figures exceeds.
 """
 
 from __future__ import annotations
@@ -20,7 +21,21 @@ from pyspark.sql import functions as F
 from tilealg.llm.bytewords import ALNUM, BYTE_VALUE, SPACED, Words, mix, opened, segment_sum, ship, text_blocks, windows
 
 LABELLERS = ("long_enough", "plain_words", "symbols", "capitals", "bars", "shouts", "same_lines", "same_passages", "same_words", "word_length")
-BUCKETS = 1024
+BUCKETS, WORD_BUCKETS = 1024, 2048
+#: Steps of the figures of ``measures``, those that labellers vote by among them.
+STEPS = {
+    "words": (2.5, 9.5, 19.5, 49.5, 99.5, 499.5, 1999.5),
+    "odd_words": (0.05, 0.1, 0.25, 0.5),
+    "symbols": (0.05, 0.1, 0.25, 0.5),
+    "upper": (0.1, 0.2, 0.4, 0.6),
+    "bars": (0.05, 0.1, 0.2, 0.4),
+    "shouts": (0.1, 0.2, 0.3, 0.6),
+    "same_lines": (0.1, 0.2, 0.3, 0.5, 0.8),
+    "same_passages": (0.1, 0.2, 0.3, 0.5, 0.8),
+    "same_words": (0.05, 0.1, 0.2, 0.4),
+    "length": (1.2, 3, 8, 14),
+}
+FEATURES = BUCKETS + WORD_BUCKETS + sum(map(len, STEPS.values()))
 
 _SHAPE = np.arange(256)
 _SHAPE[0x41:0x5B] = 0x41
@@ -108,11 +123,20 @@ def shapes(words: Words) -> np.ndarray:
     return (mix(total[words.end] - total[words.start] + again(words)) % np.uint64(BUCKETS)).astype(np.int64)
 
 
-def _features(words: Words) -> np.ndarray:
-    """Share of each bucket among a text's words, and a constant; rows of texts."""
-    n = len(words.offset) - 1
-    out = np.bincount(words.owner() * BUCKETS + shapes(words), minlength=n * BUCKETS).reshape(n, BUCKETS).astype(np.float32)
-    return out / np.maximum(words.counts(), 1).astype(np.float32)[:, None]
+def steps(m: dict[str, np.ndarray]) -> np.ndarray:
+    """1 for every step that a figure exceeds, else 0; rows of texts."""
+    return np.stack([m[name] > edge for name, edges in STEPS.items() for edge in edges], axis=1).astype(np.float32)
+
+
+def word_buckets(words: Words) -> np.ndarray:
+    return (mix(words.hash) % np.uint64(WORD_BUCKETS)).astype(np.int64)
+
+
+def _features(words: Words, m: dict[str, np.ndarray]) -> np.ndarray:
+    """Share of each bucket among a text's words, and the steps; rows of texts."""
+    n, owner = len(words.offset) - 1, words.owner()
+    shares = [np.bincount(owner * size + at, minlength=n * size).reshape(n, size) / np.maximum(words.counts(), 1)[:, None] for size, at in ((BUCKETS, shapes(words)), (WORD_BUCKETS, word_buckets(words)))]
+    return np.hstack([*shares, steps(m)]).astype(np.float32)
 
 
 def _observer(with_features: bool):
@@ -121,10 +145,11 @@ def _observer(with_features: bool):
             for a, b in text_blocks(batch.column("text"), 1 << 20):
                 part = batch.slice(a, b - a)
                 words = Words(part.column("text"), SPACED)
-                own = votes(measures(words))
+                m = measures(words)
+                own = votes(m)
                 pattern = (own.astype(np.int64) + 1) @ 3 ** np.arange(own.shape[1])
                 if with_features:
-                    rows = [x.tobytes() for x in _features(words)]
+                    rows = [x.tobytes() for x in _features(words, m)]
                     yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array(pattern), pa.array(rows, pa.binary())], ["doc_id", "pattern", "features"])
                 else:
                     code, n = np.unique(pattern, return_counts=True)
@@ -198,7 +223,7 @@ def fit(docs: DataFrame, most_docs: int = 3000) -> tuple[Labels, np.ndarray]:
     near = docs.where(F.expr(f"{total} <= {4 * most_docs} or (xxhash64(doc_id) / 1.8446744073709552e19D + 0.5D) * {total} <= {2 * most_docs}"))
     sample = near.orderBy(F.xxhash64("doc_id"), "doc_id").limit(most_docs).repartition(max(1, most_docs // 500)).mapInArrow(_observer(True), "doc_id long, pattern long, features binary").orderBy("doc_id").toPandas()
     if not len(sample):
-        return labels, np.zeros(BUCKETS + 1)
+        return labels, np.zeros(FEATURES + 1)
     x = np.stack([np.frombuffer(f, np.float32) for f in sample["features"]])
     return labels, fit_linear(x, labels.posterior(_unpacked(sample["pattern"].to_numpy(np.int64))))
 
@@ -214,10 +239,13 @@ def _verdicts(column: pa.Array, labels: Labels, weights: np.ndarray) -> tuple[np
     """Words, votes and scores of texts."""
     words = Words(column, SPACED)
     n = words.counts()
-    code, size = np.unique(words.owner() * BUCKETS + shapes(words), return_counts=True)
-    owner = code // BUCKETS
-    sums = np.bincount(owner, np.sqrt(size / n[owner]) * weights[code % BUCKETS], len(n))
-    return n, votes(measures(words)), np.where(n > 0, 1 / (1 + np.exp(-np.clip(sums + weights[-1], -30, 30))), 0.0)
+    m = measures(words)
+    sums = steps(m) @ weights[BUCKETS + WORD_BUCKETS : -1]
+    for first, buckets, at in ((0, BUCKETS, shapes(words)), (BUCKETS, WORD_BUCKETS, word_buckets(words))):
+        code, size = np.unique(words.owner() * buckets + at, return_counts=True)
+        owner = code // buckets
+        sums = sums + np.bincount(owner, np.sqrt(size / n[owner]) * weights[first + code % buckets], len(n))
+    return n, votes(m), np.where(n > 0, 1 / (1 + np.exp(-np.clip(sums + weights[-1], -30, 30))), 0.0)
 
 
 def _judge(shipped, least: float):
