@@ -173,6 +173,15 @@ def test_private_data(spark, empty):
     assert private_data.pseudonymised(empty).count() == 0
 
 
+def test_secret_alone_in_a_text(spark):
+    """Its digits all stand between letters."""
+    secret = "a1b2c3d4e5f6" * 2 + "a1b2c3d4"
+    rows = [(1, f"key {secret} end"), (2, f"key {secret} of ann@example.com")]
+    got = by_id(private_data.pseudonymised(spark.createDataFrame(rows, "doc_id long, text string")))
+    assert (got[1].n_private, got[2].n_private) == (1, 2)
+    assert got[1].text.split()[1] == got[2].text.split()[1] != secret and len(got[1].text) == len(rows[0][1])
+
+
 def test_month_first_dates_stay_month_first(spark):
     from pyspark.sql import functions as F
 

@@ -34,6 +34,8 @@ PHONE = r"(?<![0-9])(?:\+[0-9]{1,3}[ \-.]?)?(?:\([0-9]{3}\) ?|[0-9]{3}[\-. ])[0-
 SOCIAL = r"(?<![0-9\-])[0-9]{3}-[0-9]{2}-[0-9]{4}(?![0-9\-])"
 DATE = r"(?<![0-9])(?:[0-9]{4}-[0-9]{2}-[0-9]{2}|[0-9]{2}([./])[0-9]{2}\1[0-9]{4})(?![0-9])"
 NUMBER = r"(?<![0-9])[0-9](?:[ \-]?[0-9]){8,17}(?![0-9])"
+#: Holds in every text that ``ANY`` matches in.
+SUSPECT = "@|[0-9][^A-Za-z]{0,3}[0-9]|[0-9A-Fa-f]{32}"
 ANY = "|".join((EMAIL, SECRET, ADDRESS, DATE, SOCIAL, PHONE, NUMBER))
 
 
@@ -155,7 +157,7 @@ def pseudonymised(docs: DataFrame, key: str = "change-this-key") -> DataFrame:
     Null texts stay null, with 0.  A column n_private in ``docs`` is replaced.
     """
     secret = F.lit(key)
-    suspect = F.col("text").cast("string").rlike("@|[0-9][^A-Za-z]{0,3}[0-9]")
+    suspect = F.col("text").cast("string").rlike(SUSPECT)
     found = F.when(suspect, F.regexp_extract_all(F.col("text").cast("string"), F.lit(ANY), F.lit(0)))
     pieces = F.split(F.col("text").cast("string"), ANY, -1)
     names = [c for c in docs.columns if c not in ("n_private", "__found", "__new")]
