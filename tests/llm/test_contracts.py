@@ -193,6 +193,37 @@ def test_month_first_dates_stay_month_first(spark):
     assert [r.v == r.p for r in both] == [False, False, True]
 
 
+def test_long_numbers_and_short_dates(spark):
+    import re
+    from datetime import date
+
+    iban, long_ = "89370400440532013000", "7" * 70
+    card = next(c for k in range(10) if luhn(c := f"630400000000000000{k}"))
+    spaced = lambda d: " ".join(d[i : i + 4] for i in range(0, len(d), 4))
+    dates = ["5.3.1999", "3/14/2021", "14.3.2021", "7/11/2020", "5.03.1999", "1.1.1800"]
+    rows = [(1, f"DE{iban}"), (2, f"DE{spaced(iban)}"), (3, card), (4, spaced(card)), (5, long_), (6, spaced(long_) + " end"), *[(10 + k, d) for k, d in enumerate([*dates, "31.2.1999"])]]
+    got = by_id(private_data.pseudonymised(spark.createDataFrame(rows, "doc_id long, text string")))
+    shape = lambda t: re.sub("[0-9]", "0", t)
+    for a, b in ((1, 2), (3, 4), (5, 6)):
+        x, y = (re.sub("[^0-9]", "", got[k].text) for k in (a, b))
+        assert x == y != re.sub("[^0-9]", "", rows[a - 1][1]) and (got[a].n_private, got[b].n_private) == (1, 1)
+    assert luhn(got[3].text)
+    for d, t in rows:
+        assert shape(got[d].text) == shape(t)
+    for k, t in enumerate(dates):
+        a, b, y = map(int, re.split("[./]", got[10 + k].text))
+        assert got[10 + k].text != t and date(y, *((a, b) if t == "3/14/2021" else (b, a)))
+    assert got[10 + len(dates)].text == "31.2.1999"
+
+
+def test_short_dates_are_permuted_one_to_one(spark):
+    from pyspark.sql import functions as F
+
+    days = spark.sql("select explode(sequence(date'1990-01-01', date'1993-12-31', interval 1 day)) d").where("day(d) < 10 and month(d) < 10").selectExpr("date_format(d, 'd.M.yyyy') v")
+    got = days.select("v", private_data.pseudonym(F.col("v"), F.lit("k")).alias("p")).cache()
+    assert got.count() == 4 * 81 == got.select("p").distinct().count() and got.where("length(p) <> 8").count() == 0
+
+
 def test_digit_permutation_is_one_to_one(spark):
     from pyspark.sql import functions as F
 

@@ -3,12 +3,14 @@
 Numbers and dates are validated and then permuted within their format by a keyed Feistel network: equal values stay
 equal everywhere, different ones stay different, and lengths, separators, check digits and calendar validity hold.
 
-* card and account numbers: 9 to 18 digits, single spaces or hyphens between them; a number with a valid Luhn digit
-  gets one again (its other digits are permuted), any other has all digits permuted;
+* card and account numbers: 9 digits or more, single spaces or hyphens between them, always the whole group; one of at
+  most 19 with a valid Luhn digit gets one again (its other digits are permuted), any other has all digits permuted,
+  beyond 34 in pieces of 17 and a last one of 17 to 33;
 * phone numbers: ten digits behind an optional country code, which stays;
 * social security numbers: nine digits as 3-2-4;
 * IPv4 addresses: their 32 bits;
 * dates (year-month-day; day.month.year or day/month/year): the day's number in the 400-year cycle 1800 to 2199;
+* dates with a day or month of one digit: the same network, walked until it comes to another date with such a part;
 * dates that are only valid as month/day/year: the same network, walked until it comes to another date of this kind.
 
 A network's domain is Z_a x Z_b with a * b elements exactly, so no value leaves it.  E-mail local parts and hosts
@@ -23,8 +25,8 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 ROUNDS = 4
-#: Steps of a walk among month-first dates; each ends it with odds of three fifths.
-WALK = 64
+#: Steps of a walk among month-first dates or those with a part of one digit; each ends it with odds of a fifth or more.
+WALK = 256
 CYCLE_START, CYCLE_A, CYCLE_B = "1800-01-01", 189, 773  # 189 * 773 days are 400 years
 
 EMAIL = r"[A-Za-z0-9._%+\-À-ɏ]+@[A-Za-z0-9\-]+(?:\.[A-Za-z0-9\-]+)*\.[A-Za-z]{2,}"
@@ -32,8 +34,10 @@ SECRET = r"(?<![0-9A-Za-z])(?=[0-9A-Fa-f]*[0-9])[0-9A-Fa-f]{32,64}(?![0-9A-Za-z]
 ADDRESS = r"(?<![0-9.])(?:[0-9]{1,3}\.){3}[0-9]{1,3}(?![0-9]|\.[0-9])"
 PHONE = r"(?<![0-9])(?:\+[0-9]{1,3}[ \-.]?)?(?:\([0-9]{3}\) ?|[0-9]{3}[\-. ])[0-9]{3}[\-. ][0-9]{4}(?![0-9])"
 SOCIAL = r"(?<![0-9\-])[0-9]{3}-[0-9]{2}-[0-9]{4}(?![0-9\-])"
-DATE = r"(?<![0-9])(?:[0-9]{4}-[0-9]{2}-[0-9]{2}|[0-9]{2}([./])[0-9]{2}\1[0-9]{4})(?![0-9])"
-NUMBER = r"(?<![0-9])[0-9](?:[ \-]?[0-9]){8,17}(?![0-9])"
+DATE = r"(?<![0-9])(?:[0-9]{4}-[0-9]{2}-[0-9]{2}|[0-9]{1,2}([./])[0-9]{1,2}\1[0-9]{4})(?![0-9])"
+NUMBER = r"(?<![0-9])[0-9](?:[ \-]?[0-9]){8,}+"
+#: Parts of a longer number: 17 digits with 17 more behind them, and the rest.
+PART = r"(?:[0-9][ \-]?){17}(?=(?:[0-9][ \-]?){17})|.+"
 #: Holds in every text that ``ANY`` matches in.
 SUSPECT = "@|[0-9][^A-Za-z]{0,3}[0-9]|[0-9A-Fa-f]{32}"
 ANY = "|".join((EMAIL, SECRET, ADDRESS, DATE, SOCIAL, PHONE, NUMBER))
@@ -64,10 +68,10 @@ def digits_of(value: Column) -> Column:
 
 
 def permuted_digits(digits: Column, n: int, key: Column, what: str) -> Column:
-    """A string of n digits (2 to 18), permuted among all such strings."""
+    """A string of n digits (2 to 34), permuted among all such strings."""
     low = n - n // 2
     high_part, low_part = F.substring(digits, 1, n // 2).cast("long"), F.substring(digits, n // 2 + 1, low).cast("long")
-    # Whole division of longs, not of doubles, keeps 18 digits exact.
+    # Whole division of longs, not of doubles, keeps all digits exact.
     a, b = 10 ** (n // 2), 10**low
     start = F.struct(high_part.alias("l"), low_part.alias("r"))
 
@@ -109,16 +113,42 @@ def _by_length(digits: Column, lengths: range, make: Callable[[int], Column]) ->
     return out
 
 
-def _date(value: Column, form: str, key: Column, late: bool = False) -> Column:
-    """Null if the value is no date of the cycle.  late: days after the 12th stay such days, so a month-first date
-    that can't be read day first becomes one that can't either, and never equals a pseudonym of the other kind."""
+def _cycle_day(value: Column) -> tuple[Column, Column]:
+    """Whether a year-month-day is a date of the cycle, and its number there (else 0)."""
+    form = "yyyy-MM-dd"
     day = F.datediff(F.try_to_date(value, form) if hasattr(F, "try_to_date") else F.to_date(F.try_to_timestamp(value, F.lit(form))), F.lit(CYCLE_START).cast("date")).cast("long")
     valid = day.between(0, CYCLE_A * CYCLE_B - 1)
-    told = lambda d: F.date_add(F.lit(CYCLE_START).cast("date"), d.cast("int"))
+    return valid, F.when(valid, day).otherwise(F.lit(0).cast("long"))
+
+
+def _told(day: Column) -> Column:
+    return F.date_add(F.lit(CYCLE_START).cast("date"), day.cast("int"))
+
+
+def _iso_date(value: Column, key: Column) -> Column:
+    """Null if the value is no date of the cycle."""
+    valid, start = _cycle_day(value)
+    return F.when(valid, F.date_format(_told(feistel(start, CYCLE_A, CYCLE_B, key, "date")), "yyyy-MM-dd"))
+
+
+def _local_date(value: Column, key: Column, month_first: bool = False) -> Column:
+    """Null if the value, with day and month before the year, is no date of the cycle.
+
+    Days and months of one digit stay such.  month_first: days after the 12th stay such days, so a month-first date
+    that can't be read day first becomes one that can't either, and never equals a pseudonym of the other kind.
+    """
+    sep = F.when(F.contains(value, F.lit(".")), F.lit(".")).otherwise(F.lit("/"))
+    part = F.split(value, "[./]")
+    day, month, year = (part[1], part[0], part[2]) if month_first else (part[0], part[1], part[2])
+    valid, start = _cycle_day(F.concat_ws("-", year, F.lpad(month, 2, "0"), F.lpad(day, 2, "0")))
+    short_day, short_month = F.length(day) == 1, F.length(month) == 1
     step = lambda d: feistel(d, CYCLE_A, CYCLE_B, key, "date")
-    start = F.when(valid, day).otherwise(F.lit(0).cast("long"))
-    moved = F.aggregate(F.sequence(F.lit(1), F.lit(WALK)), start, lambda d, i: F.when((i > 1) & (F.dayofmonth(told(d)) > 12), d).otherwise(step(d))) if late else step(start)
-    return F.when(valid, F.date_format(told(moved), form))
+    fits = lambda d: (~short_day | (F.dayofmonth(_told(d)) < 10)) & (~short_month | (F.month(_told(d)) < 10)) & ((F.dayofmonth(_told(d)) > 12) if month_first else F.lit(True))
+    most = F.lit(WALK) if month_first else F.when(short_day | short_month, F.lit(WALK)).otherwise(F.lit(1))
+    moved = _told(F.aggregate(F.sequence(F.lit(1), most), start, lambda d, i: F.when((i > 1) & fits(d), d).otherwise(step(d))))
+    written = [F.lpad(F.dayofmonth(moved).cast("string"), F.length(day), F.lit("0")), F.lpad(F.month(moved).cast("string"), F.length(month), F.lit("0"))]
+    first, second = reversed(written) if month_first else written
+    return F.when(valid, F.concat(first, sep, second, sep, F.date_format(moved, "yyyy")))
 
 
 def kind_of(value: Column) -> Column:
@@ -138,15 +168,16 @@ def pseudonym(value: Column, key: Column) -> Column:
     number = octets[0] * 16777216 + octets[1] * 65536 + octets[2] * 256 + octets[3]
     moved = F.transform(F.array(feistel(number, 65536, 65536, key, "address")), lambda m: F.concat_ws(".", F.shiftright(m, 24), F.shiftright(m, 16) % 256, F.shiftright(m, 8) % 256, m % 256))[0]
     address = F.when(F.array_max(octets) <= 255, moved).otherwise(value)
-    iso, dotted, slashed = (_date(value, f, key) for f in ("yyyy-MM-dd", "dd.MM.yyyy", "dd/MM/yyyy"))
-    date = F.coalesce(F.when(F.contains(value, F.lit("-")), iso).when(F.contains(value, F.lit(".")), dotted).otherwise(F.coalesce(slashed, _date(value, "MM/dd/yyyy", key, late=True))), value)
+    local_date = _local_date(value, key)
+    date = F.coalesce(F.when(F.contains(value, F.lit("-")), _iso_date(value, key)).when(F.contains(value, F.lit(".")), local_date).otherwise(F.coalesce(local_date, _local_date(value, key, month_first=True))), value)
     social = poured(value, permuted_digits(digits, 9, key, "social"))
     ten = F.right(digits, F.lit(10))
     phone = poured(value, F.concat(F.substr(digits, F.lit(1), F.length(digits) - 10), permuted_digits(ten, 10, key, "phone")))
-    luhn = _by_length(digits, range(9, 19), lambda n: F.substring(digits, n, 1) == check_digit(digits, n - 1))
-    with_check = _by_length(digits, range(9, 19), lambda n: F.transform(F.array(permuted_digits(digits, n - 1, key, "card")), lambda d: F.concat(d, check_digit(d, n - 1)))[0])
-    plain = _by_length(digits, range(9, 19), lambda n: permuted_digits(digits, n, key, "account"))
-    account = poured(value, F.when(luhn, with_check).otherwise(plain))
+    luhn = _by_length(digits, range(9, 20), lambda n: F.substring(digits, n, 1) == check_digit(digits, n - 1))
+    with_check = _by_length(digits, range(9, 20), lambda n: F.transform(F.array(permuted_digits(digits, n - 1, key, "card")), lambda d: F.concat(d, check_digit(d, n - 1)))[0])
+    plain = _by_length(digits, range(9, 35), lambda n: permuted_digits(digits, n, key, "account"))
+    longer = F.array_join(F.transform(F.regexp_extract_all(value, F.lit(PART), F.lit(0)), lambda p: poured(p, _by_length(digits_of(p), range(17, 34), lambda n: permuted_digits(digits_of(p), n, key, "part")))), "")
+    account = F.when(F.length(digits) > 34, longer).otherwise(poured(value, F.when(luhn, with_check).otherwise(plain)))
     kind = kind_of(value)
     return F.when(kind == "email", email).when(kind == "secret", secret).when(kind == "address", address).when(kind == "date", date).when(kind == "social", social).when(kind == "phone", phone).otherwise(account)
 
