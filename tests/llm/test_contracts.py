@@ -279,6 +279,20 @@ def test_quality_sees_repeated_lines_and_passages(spark):
     assert {r["doc_id"] for r in quality.good_documents(docs).collect()} == {d for d, _ in clean}
 
 
+def test_pipeline_keeps_rows_without_an_id_of_their_own(spark):
+    import corpus_pipeline
+
+    rng = np.random.default_rng(6)
+    texts = [" ".join(f"t{int(x)}" for x in rng.integers(0, 9999, 60)) + "." for _ in range(8)]
+    rows = [(None, texts[0]), (None, texts[1]), (None, texts[1]), (4, texts[2]), (4, texts[3]), (5, texts[4]), (5, texts[4]), (6, texts[5]), (None, texts[5]), (7, texts[6]), (3, texts[6] + " more"), (3, texts[7])]
+    docs = spark.createDataFrame([(d, t, "en", "s", len(t)) for d, t in rows], "doc_id long, text string, lang string, source string, n_chars long")
+    got = corpus_pipeline.keep_one_copy(spark, docs, "").select("doc_id", "text").collect()
+    left = {tuple(r) for r in got}
+    assert len(got) == len(left) == 8
+    assert left - {(3, texts[6] + " more"), (7, texts[6])} == {(None, texts[0]), (None, texts[1]), (4, texts[2]), (4, texts[3]), (5, texts[4]), (6, texts[5]), (3, texts[7])}
+    assert corpus_pipeline.keep_good(spark, docs, "").where("doc_id is null").count() == 4
+
+
 def test_pipeline(spark, tmp_path):
     import corpus_pipeline
 
