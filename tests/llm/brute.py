@@ -96,3 +96,118 @@ def passages(docs, items):
                     names |= found[x]
         out[d] = (len(w), len(hit), len(names), hashlib.sha256(",".join(sorted(names)).encode()).hexdigest(), bool(hit) and 20 * len(hit) >= len(w))
     return out
+
+
+def shift_network(left, right, a, b, key, what):
+    def keyed(*parts):
+        return int(hashlib.sha256(":".join([key, what, *map(str, parts)]).encode()).hexdigest()[:15], 16)
+
+    for i in range(1, 9):
+        if i % 2:
+            left = (left + keyed(i, "r", right) % a) % a
+        else:
+            right = (right + keyed(i, "l", left) % b) % b
+    return left, right
+
+
+def moved_digits(d, key, what):
+    h = len(d) // 2
+    left, right = shift_network(int(d[:h]), int(d[h:]), 10**h, 10 ** (len(d) - h), key, what)
+    return f"{left:0{h}d}{right:0{len(d) - h}d}"
+
+
+def luhn(s):
+    d = [int(c) for c in s if c.isdigit()][::-1]
+    return sum(x if i % 2 == 0 else sum(divmod(2 * x, 10)) for i, x in enumerate(d)) % 10 == 0
+
+
+def moved_name(name, key, what):
+    kinds = [(97, 26), (48, 10), (192, 400)]
+    kind = lambda c: next(((f, n) for f, n in kinds if f <= ord(c) < f + n), None)
+    out, before = "", ""
+    for part in re.findall(".{7}(?=.{7})|.+", name.lower()):
+        halves = part[: len(part) // 2], part[len(part) // 2 :]
+        size = [math.prod(kind(c)[1] for c in h if kind(c)) for h in halves]
+        value = [0, 0]
+        for k, h in enumerate(halves):
+            for c in h:
+                if kind(c):
+                    value[k] = value[k] * kind(c)[1] + ord(c) - kind(c)[0]
+        for h, v in zip(halves, shift_network(*value, *size, key, f"{what}:{before}"), strict=True):
+            new = []
+            for c in reversed(h):
+                if kind(c):
+                    v, rest = divmod(v, kind(c)[1])
+                    c = chr(kind(c)[0] + rest)
+                new.append(c)
+            out += "".join(reversed(new))
+        before = part
+    return out
+
+
+def poured(form, digits):
+    left = iter(digits)
+    return re.sub("[0-9]", lambda _: next(left), form)
+
+
+def moved_date(y, m, d, key, fits=lambda day: True):
+    from datetime import date, timedelta
+
+    start = date(1800, 1, 1)
+    x = (date(y, m, d) - start).days
+    if not 0 <= x < 189 * 773:
+        raise ValueError
+    while True:
+        left, right = shift_network(x // 773, x % 773, 189, 773, key, "date")
+        x = left * 773 + right
+        if fits(start + timedelta(x)):
+            return start + timedelta(x)
+
+
+def pseudonym(v, key):
+    """By the formats of the module's docstring."""
+    digits = re.sub("[^0-9]", "", v)
+    hashed = lambda x, what: hashlib.sha256(f"{key}:{what}:{x.lower()}".encode()).hexdigest()[: len(x)]
+    if "@" in v:
+        local, host = v.split("@")
+        labels = host.split(".")
+        below = ".".join(labels[:-2])
+        return moved_name(local, key, "local") + "@" + (moved_name(below, key, "host") + "." if below else "") + ".".join(labels[-2:])
+    if re.fullmatch("(?=.*[0-9])[0-9A-Fa-f]{32,64}", v):
+        return hashed(v, "secret").upper() if v == v.upper() else hashed(v, "secret")
+    if re.fullmatch(r"(?:[0-9]{1,3}\.){3}[0-9]{1,3}", v):
+        o = list(map(int, v.split(".")))
+        if max(o) > 255:
+            return v
+        left, right = shift_network(o[0] * 256 + o[1], o[2] * 256 + o[3], 65536, 65536, key, "address")
+        return f"{left >> 8}.{left & 255}.{right >> 8}.{right & 255}"
+    try:
+        if re.fullmatch("[0-9]{4}-[0-9]{2}-[0-9]{2}", v):
+            return moved_date(*map(int, v.split("-")), key).isoformat()
+    except ValueError:
+        return v
+    if m := re.fullmatch(r"([0-9]{1,2})([./])([0-9]{1,2})\2([0-9]{4})", v):
+        a, sep, b, y = m.groups()
+        for d, mo, month_first in ((a, b, False), (b, a, True))[: 1 if sep == "." else 2]:
+            fits = lambda x: (len(d) > 1 or x.day < 10) and (len(mo) > 1 or x.month < 10) and (not month_first or x.day > 12)  # noqa: B023, E731
+            try:
+                x = moved_date(int(y), int(mo), int(d), key, fits)
+            except ValueError:
+                continue
+            day, month = f"{x.day:0{len(d)}d}", f"{x.month:0{len(mo)}d}"
+            return sep.join([month, day, f"{x.year:04d}"] if month_first else [day, month, f"{x.year:04d}"])
+        return v
+    if re.fullmatch("[0-9]{3}-[0-9]{2}-[0-9]{4}", v):
+        return poured(v, moved_digits(digits, key, "social"))
+    if re.fullmatch(r"(?:\+[0-9]{1,3}[ \-.]?)?(?:\([0-9]{3}\) ?|[0-9]{3}[\-. ])[0-9]{3}[\-. ][0-9]{4}", v):
+        return poured(v, digits[:-10] + moved_digits(digits[-10:], key, "phone"))
+    if len(digits) > 34:
+        parts = re.findall("(?:[0-9]){17}(?=(?:[0-9]){17})|.+", digits)
+        return poured(v, "".join(moved_digits(p, key, "part") for p in parts))
+    if len(digits) < 20 and luhn(digits):
+        d = moved_digits(digits[:-1], key, "card")
+        return poured(v, d + next(c for c in "0123456789" if luhn(d + c)))
+    d = moved_digits(digits, key, "account")
+    while len(d) < 20 and luhn(d):
+        d = moved_digits(d, key, "account")
+    return poured(v, d)

@@ -150,9 +150,7 @@ def test_benchmark_passages(spark, docs, empty):
         shard_index.contaminated_spans(docs, table, most_bytes=1)
 
 
-def luhn(s):
-    d = [int(c) for c in s if c.isdigit()][::-1]
-    return sum(x if i % 2 == 0 else sum(divmod(2 * x, 10)) for i, x in enumerate(d)) % 10 == 0
+luhn = brute.luhn
 
 
 def test_private_data(spark, empty):
@@ -224,11 +222,55 @@ def test_short_dates_are_permuted_one_to_one(spark):
     assert got.count() == 4 * 81 == got.select("p").distinct().count() and got.where("length(p) <> 8").count() == 0
 
 
+PRIVATE = [
+    "mail Ann.B@mail7.example.com or ünsal_1@a.b.example.org, X@y.de; john.jacob.jingleheimer.schmidt+1999@sub-domain.mail.example.co",
+    "card 4111 1111 1111 1111 and 4111-1111-1111-1111, no 123456789012 nor 987654321 nor 1234567890123456789012 or " + "31415926535" * 9,
+    "ip 10.20.30.40 bad 999.1.1.1 tel +1 (743) 555-3824 and 743-555-3824, ssn 123-45-6789 end 7",
+    "born 2001-02-28 or 31.12.1999 not 2001-02-30; 5.3.1999 3/14/2021 14.3.2021 7/11/2020 5.03.1999 1.1.1800 31.2.1999 0001-01-01 12/25/2300",
+    "key a1b2c3d4e5f6a1b2c3d4e5f6a1b2c3d4 KEY A1B2C3D4E5F6A1B2C3D4E5F6A1B2C3D4, 192.168.0.1x@y.com (555) 555-1234bob@example.com",
+    "a@b..com x@y me@home...and 1@2.33 trailing@dot.com. @none.com a@b@c.de " + "l" * 90 + "@example.com",
+]
+
+
+def test_private_data_by_brute_force(spark):
+    import regex
+
+    texts = [t for t in PRIVATE + TEXTS if t is not None]
+    got = by_id(private_data.pseudonymised(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string"), "secret"))
+    for k, t in enumerate(texts):
+        assert got[k].text == regex.sub(private_data.ANY, lambda m: brute.pseudonym(m[0], "secret"), t)
+
+
+def test_pseudonyms_of_different_values_differ(spark):
+    from pyspark.sql import functions as F
+
+    made = lambda values: values.select("v", private_data.pseudonym(F.col("v"), F.lit("k")).alias("p"))
+    numbers = spark.range(60_000).selectExpr("cast(id * 7 + 100000000 as string) v").union(spark.range(20_000).selectExpr("cast(id * 13 + 100000000000 as string) v"))
+    got = made(numbers).cache()
+    assert got.count() == got.select("p").distinct().count() == 80_000 and got.where("length(v) <> length(p)").count() == 0
+    names = [f"{a}@example.com" for a in "abcdefghijklmnopqrstuvwxyz"] + [f"{a}{b}@example.com" for a in "abcdefghijklmnopqrstuvwxyz" for b in "abcdefghij0123456789"] + ["n" * 70 + f"{k}@example.com" for k in range(50)]
+    got = made(spark.createDataFrame([(x,) for x in names], "v string")).collect()
+    assert len({r.p for r in got}) == len(names) and all(len(r.p) == len(r.v) for r in got)
+
+
+def test_private_data_in_very_long_texts(spark):
+    """Time must follow the length; no stack may overflow."""
+    import time
+
+    rows = [(1, "x@" + "a." * 5000 + " end"), (2, "y" * 1_000_000), (3, "x@" + "a." * 500_000), (4, "123456789a" * 100_000), (5, "ann@example.com " * 60_000), (6, "q" * 1_000_000 + "@example.com"), (7, "@" * 1_000_000), (8, "1" * 300_000)]
+    for d, t in rows[:4] + rows[5:]:
+        docs = spark.createDataFrame([(d, t)], "doc_id long, text string")
+        began = time.monotonic()
+        got = private_data.pseudonymised(docs).first()
+        assert len(got.text) == len(t) and time.monotonic() - began < 30
+        assert (got.text != t) == (d in (4, 6, 8))
+
+
 def test_digit_permutation_is_one_to_one(spark):
     from pyspark.sql import functions as F
 
     df = spark.range(1000).select(F.lpad(F.col("id").cast("string"), 3, "0").alias("d"))
-    assert df.select(private_data.permuted_digits(F.col("d"), 3, F.lit("k"), "t").alias("e")).where("length(e) = 3").distinct().count() == 1000
+    assert df.select(private_data.permuted_digits(F.col("d"), F.lit("k"), "t").alias("e")).where("length(e) = 3").distinct().count() == 1000
     days = spark.range(0, 146_097, 97).select(private_data.feistel(F.col("id"), 189, 773, F.lit("k"), "d").alias("e"))
     assert days.distinct().count() == len(range(0, 146_097, 97)) and days.where("e < 0 or e >= 146097").count() == 0
 
