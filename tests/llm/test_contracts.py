@@ -80,13 +80,90 @@ def test_language_model(docs, empty):
     assert pitman_yor.scored_documents(empty).count() == 0
 
 
-def test_restaurant_probabilities_sum_to_one():
-    counts = np.array([[5, 0, 2], [0, 7, 1], [0, 0, 0]])
-    p = pitman_yor.sample_contexts(counts, 6, 2, (0.3, 0.5), (1.0, 5.0), 1)
-    assert np.allclose(p.sum(axis=1), 1)
-    count, words = np.array([1, 2, 9]), np.array([50, 10, 1])
-    rare, unknown = pitman_yor.sample_rare(count, words, 6, 2, 1.0, 1)
-    assert abs((rare * words).sum() + unknown - 1) < 1e-9
+def exact_tables(rooms, p, discount, strength):
+    """Mean tables of every dish under the exact posterior, by going through all numbers of tables; rooms: lists of counts."""
+    from functools import lru_cache
+    from itertools import product
+
+    @lru_cache
+    def stirling(c, t):
+        if c == t:
+            return 1.0
+        return 0.0 if t < 1 or t > c else stirling(c - 1, t - 1) + (c - 1 - t * discount) * stirling(c - 1, t)
+
+    out = []
+    for counts, odds in zip(rooms, p, strict=True):
+        total, mean = 0.0, np.zeros(len(counts))
+        for t in product(*[range(1, c + 1) for c in counts]):
+            w = np.prod([strength + discount * i for i in range(sum(t))]) * np.prod([stirling(c, k) * q**k for c, k, q in zip(counts, t, odds, strict=True)])
+            total += w
+            mean += w * np.array(t)
+        out.extend(mean / total)
+    return np.array(out)
+
+
+def test_seating_has_the_exact_posterior():
+    rooms, p = [[5, 2, 3], [7, 4], [2]], [[0.2, 0.05, 0.1], [0.3, 0.02], [0.4]]
+    room = np.repeat(np.arange(3), [3, 2, 1])
+    seats = pitman_yor.Seats(room, np.concatenate(rooms), np.concatenate(p), np.array([3.0, 2.0, 1.0]), 0.6, 2.0)
+    rng, mean = np.random.default_rng(1), np.zeros(6)
+    for _ in range(20_000):
+        seats.sweep(rng)
+        mean += seats.t
+        assert (np.bincount(room, seats.t) == seats.total).all()
+    assert np.allclose(mean / 20_000, exact_tables(rooms, p, 0.6, 2.0), atol=0.03)
+
+
+def test_draws_for_many_customers_have_the_exact_odds():
+    """Tables of 1,024 customers, by the whole row of Stirling numbers and by the saddle point."""
+    for p in (0.9, 0.5, 0.01, 0.0001, 1e-9):
+        others = np.full(1500, 300.0)
+        odds = pitman_yor.table_odds(np.array([1024]), others[:1], np.array([p]), 0.75, 4.0, 1024)[0]
+        weight, t = np.diff(odds / odds[-1], prepend=0), np.arange(1, 1025)
+        exact = weight @ t
+        drawn = pitman_yor.drawn_large(np.full(1500, 1024), others, np.full(1500, p), 0.75, 4.0, np.random.default_rng(2))
+        assert abs(drawn.mean() / exact - 1) < 0.02 and abs(drawn.var() - weight @ (t - exact) ** 2) < 0.15 * drawn.var() + 0.05, (p, drawn.mean(), exact)
+
+
+def test_parent_probabilities_sum_to_one():
+    count, words = np.array([0, 1, 2, 9, 3000]), np.array([1, 50, 10, 1, 1])
+    p = pitman_yor.sample_parent(count, words, 6, 2, 0.75, 4.0, 1)
+    assert abs((p * words).sum() - 1) < 1e-9 and (np.diff(p) > 0).all()
+    assert pitman_yor.sample_parent(count[:1], words[:1], 6, 2, 0.75, 4.0, 1).tolist() == [1.0]
+
+
+def test_language_model_by_hand(spark):
+    """One training text of distinct words: every dish has one customer and one table, so scores have a closed form."""
+    import math
+
+    words = [f"w{k}" for k in range(9)]
+    texts = {True: [" ".join(words[:3]), "w1 w0 new", "w8", "new w5 w6", ""], False: [" ".join(words)]}
+    docs = spark.createDataFrame([(k, t, h) for k, (h, t) in enumerate((h, t) for h in texts for t in texts[h])], "doc_id long, text string, held_out boolean")
+    d, s = (0.7, 0.8), (3.0, 2.0)
+    known = {*words, None}
+    parent = lambda w: ((1 - d[0] if w in known else 0) + (s[0] + d[0] * 10) / 11) / (s[0] + 10)
+    follows = dict(zip([None, *words], [*words, None], strict=True))
+    for bucket_bytes in (1 << 20, 8):
+        for r in pitman_yor.scores(docs, discount=d, strength=s, bucket_bytes=bucket_bytes).join(docs.select("doc_id", "text"), "doc_id").collect():
+            want, u = 0.0, None
+            for w in [*r.text.split(), None]:
+                want += math.log10(((1 - d[1]) * (follows[u] == w) + (s[1] + d[1]) * parent(w)) / (s[1] + 1) if u in known else parent(w))
+                u = w
+            assert abs(r.score - want) < 1e-5 and r.train_tokens == 10
+
+
+def test_language_model_over_many_buckets(spark):
+    """The same counts however restaurants are dealt; contexts that hold a third of all tokens are spread."""
+    rng = np.random.default_rng(8)
+    rows = [(k, " ".join(f"x{int(x)}" if i % 3 else "the" for i, x in enumerate(rng.zipf(1.5, 90) % 500))) for k in range(120)]
+    docs = pitman_yor.held_out(spark.createDataFrame(rows, "doc_id long, text string"))
+    one, many = (by_id(pitman_yor.scores(docs, bucket_bytes=b)) for b in (1 << 30, 2000))
+    assert len(pitman_yor._layout(docs, 2000).spread) and len(one) == len(many) == 120
+    for d, r in one.items():
+        assert (r.n_tokens, r.n_known, r.base_score) == (many[d].n_tokens, many[d].n_known, many[d].base_score)
+        assert abs(many[d].score / r.score - 1) < 0.03
+    for r in pitman_yor.perplexity(spark.createDataFrame(list(one.values()))).collect():
+        assert r.perplexity < r.base_perplexity
 
 
 def test_line_rules(docs, empty):

@@ -1,39 +1,51 @@
 """Language-model scores from a hierarchical Pitman-Yor process with sampled seating.
 
-Alphabet and tree of restaurants.  Words that make up at least ``share`` of the training tokens are *frequent*
-(so there are at most 1/share of them); all others count as one dish, ``rare``, in the context restaurants.  The
-restaurant of a token is that of the nearest frequent word before it in its text (or of the text's start).  These
-restaurants share one parent, whose base is uniform over the frequent words and ``rare``.  What a rare token is
-comes from a restaurant of its own over all rare words and one word for all unknown ones, with a uniform base.
-
-Seating.  Sweeps of blocked Gibbs sampling seat the customers of every dish anew given all others: a customer opens
-a table with the usual odds, and every table of a child is a customer of its parent.  The first ``SOLO`` customers
-of a dish sit down singly, later ones in groups that grow by a tenth, for which the odds are held.  Predictive
-probabilities are averaged over the sweeps after ``burn``.  Rare words with equal counts are exchangeable, so their
-restaurant is kept by count: the number of tables is sampled for up to ``COPIES`` words of each count.
-
-All counts are taken over all training texts by Spark; the driver holds the frequent words, their pair counts
-(at most (1/share + 2)^2) and the histogram of counts (at most sqrt(2 N) rows).  Word counts stay distributed: they
-reach the texts by a join with the distinct words of slices of documents.
+Restaurants.  Every token that precedes another in a training text is a context with a restaurant of its own (a
+text's first word follows the end token); its dishes are all tokens seen behind it.  All context restaurants share one
+parent, whose customers are their tables and whose base is uniform over the known tokens and one unknown.  A context
+that was never seen gives what the parent gives.
+
+Seating.  Gibbs sampling in terms of the tables of a dish: given the tables of all others, a dish with c customers has
+t tables with odds S(c, t) * prod_{i<t} (strength + discount * (others + i)) * p^t, S the generalised Stirling numbers
+and p the parent's probability.  Dishes are seated one after the other with running totals; a restaurant of more than
+``STEPS`` dishes of like size seats them in that many groups, whose members share the total before the group.  Dishes of
+one customer have one table.  For dishes of more than ``EXACT`` customers S is worked out by its saddle point, or the
+first terms of its alternating sum up to ``FEW`` tables.
+Rounds alternate between levels: the parent is sampled given the tables of the contexts (words with equal counts are
+exchangeable there, so its state is the histogram of counts), then all contexts given the parent.  Predictive
+probabilities are averages over the sweeps of the last round after ``burn``.
+
+Plan.  A *block* is about ``BLOCK`` bytes of whole texts; a *bucket* holds the restaurants of the contexts that hash to
+it, contexts with a large share of all tokens spread over several.  One exchange brings the distinct pairs of every
+block, with their counts, to the buckets, and the blocks' token numbers to where they are scored; each round reads it
+again.  Tables of a word under all contexts are summed by an exchange of (word, bucket) rows.  Buckets then answer
+every block with what it asked for.  All of this grows with the corpus; the driver only holds contexts above a
+share of 2^-16 of all tokens (so at most 2^16), and the histogram has at most sqrt(2 * tables) rows.
 """
 
 from __future__ import annotations
 
+import math
+import pickle
 from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from tilealg.llm.bytewords import SPACED, Words, opened, segment_sum, ship, text_blocks
-from tilealg.llm.lineage import cut
+from tilealg.llm.bytewords import ODD, SPACED, Words, mix, opened, segment_sum, ship, text_blocks
 
 #: Stands for the end of a text; no word hash is likelier to equal it than any other.
 END = np.uint64(0x5EED_0F_7E57_E4D5)
-SOLO, COPIES = 32, 32
-SCORED = "doc_id long, held_out boolean, n_tokens long, n_known long, base_score double, score double"
+#: Marks the key under which a spread context's tables are summed.
+SPREAD = np.uint64(0x7AB1_E5)
+BLOCK, BUCKET = 8 << 20, 6 << 20
+EXACT, FEW, STEPS, WIDTHS = 1024, 32, 24, (4, 8, 16, 64, 256, 1024)
+ASKED = "pid int, block long, payload boolean, data binary"
+TOLD = "key long, pid int, n long, tables long, need boolean, spread boolean"
+SCORED = "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double"
 
 
 def _tokens(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
@@ -45,209 +57,567 @@ def _tokens(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return out, words.offset + np.arange(n + 1)
 
 
-def _count_words(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for batch in batches:
-        for a, b in text_blocks(batch.column("text"), 8 << 20):
-            word, n = np.unique(_tokens(batch.column("text").slice(a, b - a))[0], return_counts=True)
-            yield pa.RecordBatch.from_arrays([pa.array(word.view(np.int64)), pa.array(n.astype(np.int64))], ["word", "n"])
+# --- Seating --------------------------------------------------------------------------------------------------
 
+_STIRLING: dict[float, np.ndarray] = {}
 
-def _classes(tokens: np.ndarray, frequent: np.ndarray) -> np.ndarray:
-    """1 + place among the frequent words, else 0."""
-    if not len(frequent):
-        return np.zeros(len(tokens), np.int64)
-    at = np.minimum(np.searchsorted(frequent, tokens), len(frequent) - 1)
-    return np.where(frequent[at] == tokens, at + 1, 0)
 
+def log_stirling(discount: float) -> np.ndarray:
+    """Row c, column t - 1: log S(c, t) for up to EXACT customers."""
+    if discount not in _STIRLING:
+        out = np.full((EXACT + 1, EXACT), -np.inf)
+        out[1, 0] = 0.0
+        for c in range(1, EXACT):
+            t = np.arange(1, c + 1)
+            out[c + 1, :c] = out[c, :c] + np.log(c - discount * t)
+            out[c + 1, 1 : c + 1] = np.logaddexp(out[c + 1, 1 : c + 1], out[c, :c])
+        _STIRLING[discount] = out
+    return _STIRLING[discount]
 
-def _contexts(classes: np.ndarray, offset: np.ndarray) -> np.ndarray:
-    """Class of the nearest frequent word before each token in its text; 0 at the start."""
-    n = len(classes)
-    last = np.maximum.accumulate(np.where(classes > 0, np.arange(n), -1)) if n else classes
-    last = np.concatenate([[-1], last[:-1]])[:n]
-    start = np.repeat(offset[:-1], np.diff(offset))
-    return np.where(last >= start, classes[np.maximum(last, 0)], 0)
 
+def table_odds(c: np.ndarray, others: np.ndarray, p: np.ndarray, discount: float, strength: float, width: int) -> np.ndarray:
+    """Cumulated odds of 1, 2, ... ``width`` tables for dishes of c customers (at most width), a row each."""
+    step = np.arange(width)
+    log = log_stirling(discount)[c, :width] + np.cumsum(np.log(strength + discount * (others[:, None] + step)), axis=1) + np.log(p)[:, None] * (step + 1)
+    log -= log.max(axis=1, keepdims=True)
+    return np.cumsum(np.exp(log), axis=1)
 
-def _count_pairs(frequent):
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        words = frequent.value
-        side = len(words) + 1
-        total = np.zeros(side * side, np.int64)
-        for batch in batches:
-            for a, b in text_blocks(batch.column("text"), 4 << 20):
-                tokens, offset = _tokens(batch.column("text").slice(a, b - a))
-                own = _classes(tokens, words)
-                total += np.bincount(_contexts(own, offset) * side + own, minlength=side * side)
-        code = np.flatnonzero(total)
-        yield pa.RecordBatch.from_arrays([pa.array(code), pa.array(total[code])], ["code", "n"])
 
-    return run
+def _saddle(c: np.ndarray, t: np.ndarray, discount: float) -> np.ndarray:
+    """y with discount * (1 - e^-y) * e^(y (1 - discount)) / (1 - e^-(discount y)) = c / t, by halving."""
+    low, high = np.zeros(np.broadcast(c, t).shape), (np.log(c / t) + 5 - np.log(discount)) / (1 - discount)
+    for _ in range(30):
+        y = (low + high) / 2
+        over = np.log(-np.expm1(-y)) + y * (1 - discount) - np.log(-np.expm1(-discount * y)) > np.log(c / t / discount)
+        low, high = np.where(over, low, y), np.where(over, y, high)
+    return (low + high) / 2
+
+
+def _log_factorial(n: np.ndarray) -> np.ndarray:
+    return n * np.log(n) - n + 0.5 * np.log(2 * np.pi * n) + 1 / (12 * n) - 1 / (360 * n**3) + 1 / (1260 * n**5)
+
 
+def log_stirling_saddle(c: np.ndarray, t: np.ndarray, discount: float) -> np.ndarray:
+    """log S(c, t), less log c!, by the saddle point of S's generating function ((1 - (1 - x)^discount) / discount)^t / t!."""
+    y = _saddle(c, t, discount)
+    bend = 1 / np.expm1(y) + 1 - discount - discount / np.expm1(discount * y)
+    return -_log_factorial(t) + t * np.log(-np.expm1(-discount * y) / discount) - (c + 0.5) * np.log(-np.expm1(-y)) - 0.5 * (np.log(2 * np.pi * c * np.maximum(bend, 1e-300)) + y)
 
-def seat(count: np.ndarray, odds: np.ndarray, discount: float, rng: np.random.Generator) -> np.ndarray:
-    """Tables of each dish after seating its customers; odds: (strength + discount * other tables) * parent's probability.
 
-    Customer n + 1 opens a table with probability (odds + discount * t * p) / (... + n - discount * t); the tables
-    opened meanwhile are left out of the odds, which are those of the sweep before.
+def log_stirling_few(c: np.ndarray, t: np.ndarray, discount: float, terms: int = 12) -> np.ndarray:
+    """log S(c, t), less log c!, for few tables of many customers: the first terms of its alternating sum."""
+    total, choose = np.zeros(np.broadcast(c, t).shape), np.ones(np.broadcast(c, t).shape)
+    for k in range(1, terms + 1):
+        choose = choose * np.maximum(t - k + 1, 0) / k
+        whole = abs(k * discount - round(k * discount)) < 1e-12
+        total += 0.0 if whole else (-1) ** k * choose / math.gamma(-k * discount) * np.exp(_log_gamma(c - k * discount) - _log_gamma(c - discount))
+    return np.log(np.maximum(total, 1e-300)) + _log_gamma(c - discount) - _log_gamma(c + 1) - t * np.log(discount) - _log_factorial(t)
+
+
+def drawn_large(c: np.ndarray, others: np.ndarray, p: np.ndarray, discount: float, strength: float, rng: np.random.Generator, points: int = 128) -> np.ndarray:
+    """Tables of dishes with many customers, from the same odds with S by its saddle point.
+
+    Odds are taken at up to ``points`` places within seven deviations of the likeliest number.
     """
-    tables = np.minimum(count, 1).astype(np.float64)
-    live = np.flatnonzero(count > 1)
-    n = 1
-    while len(live):
-        group = 1 if n < SOLO else max(1, n // 10)
-        more = np.minimum(count[live] - n, group)
-        new = odds[live] / (odds[live] + np.maximum(n - discount * tables[live], 1e-12))
-        tables[live] += rng.binomial(more, new) if group > 1 else rng.random(len(live)) < new
-        n += group
-        live = live[count[live] > n]
-    return tables
+    if not len(c):
+        return np.zeros(0)
+    c = c.astype(float)
+    slope = lambda t: np.log(-np.expm1(-discount * _saddle(c, t, discount)) / discount) - np.log(t) + np.log((strength + discount * (others + t)) * p)
+    low, high = np.ones(len(c)), np.maximum(c * 0.999, 2)
+    for _ in range(40):
+        t = (low + high) / 2
+        up = slope(t) > 0
+        low, high = np.where(up, t, low), np.where(up, high, t)
+    far = np.maximum(0.5, 0.01 * t)
+    deviation = 1 / np.sqrt(np.maximum((slope(np.maximum(t - far, 1)) - slope(np.minimum(t + far, c * 0.9995))) / (2 * far), 1e-9))
+    first, last = np.maximum(1, np.floor(t - 7 * deviation - 2)), np.minimum(np.ceil(c * 0.999), np.ceil(t + 7 * deviation + 8))
+    at = np.rint(first[:, None] + (last - first)[:, None] * np.linspace(0, 1, points))
+    from_first = _log_gamma(strength / discount + others[:, None] + at) - _log_gamma(strength / discount + others[:, None] + first[:, None])
+    log = np.where(at <= FEW, log_stirling_few(c[:, None], np.minimum(at, FEW), discount), log_stirling_saddle(c[:, None], at, discount)) + from_first + at * (np.log(discount) + np.log(p)[:, None])
+    odds = np.exp(log - log.max(axis=1, keepdims=True))
+    odds[:, 1:][np.diff(at, axis=1) == 0] = 0
+    odds = np.cumsum(odds, axis=1)
+    pick = (odds < (rng.random(len(c)) * odds[:, -1])[:, None]).sum(axis=1)
+    return at[np.arange(len(c)), pick]
+
+
+def _log_gamma(x: np.ndarray) -> np.ndarray:
+    """log Gamma(x)."""
+    return _log_factorial(x + 8) - np.log(np.stack([x + k for k in range(9)])).sum(axis=0)
+
+
+@dataclass
+class Seats:
+    """Dishes of two customers or more: restaurant, customers, the parent's probability, and tables.
+
+    total: tables of every restaurant, those of dishes with one customer and those held elsewhere among them.
+    """
+
+    room: np.ndarray
+    c: np.ndarray
+    p: np.ndarray
+    total: np.ndarray
+    discount: float
+    strength: float
+
+    def __post_init__(self):
+        self.t = np.ones(len(self.c))
+        self.groups = []
+        low = 0
+        for width in (2, *WIDTHS, None):
+            own = np.flatnonzero((self.c > low) & (self.c <= width)) if width else np.flatnonzero(self.c > low)
+            low = width
+            if not len(own):
+                continue
+            own = own[np.argsort(self.room[own], kind="stable")]
+            first = np.flatnonzero(np.diff(self.room[own], prepend=-1))
+            size = np.diff(np.append(first, len(own)))
+            place = np.arange(len(own)) - np.repeat(first, size)
+            step = np.where(np.repeat(size, size) > STEPS, place * STEPS // np.repeat(size, size), place)
+            order = np.argsort(step, kind="stable")
+            cuts = np.flatnonzero(np.diff(step[order], prepend=-1))[1:]
+            for part in np.split(own[order], cuts):
+                for piece in np.array_split(part, -(-len(part) * (width or 1) // (1 << 21))):
+                    self.groups.append((width, piece))
+
+    def sweep(self, rng: np.random.Generator) -> None:
+        d, s = self.discount, self.strength
+        for width, at in self.groups:
+            room, c, p = self.room[at], self.c[at], self.p[at]
+            others = self.total[room] - self.t[at]
+            if width == 2:
+                two = (s + d * (others + 1)) * p
+                new = 1.0 + (rng.random(len(at)) * (1 - d + two) < two)
+            elif width:
+                odds = table_odds(c, others, p, d, s, width)
+                new = 1.0 + (odds < (rng.random(len(at)) * odds[:, -1])[:, None]).sum(axis=1)
+            else:
+                new = drawn_large(c, others, p, d, s, rng)
+            self.total += np.bincount(room, new - self.t[at], len(self.total))
+            self.t[at] = new
+
+
+def sample_parent(count: np.ndarray, words: np.ndarray, sweeps: int, burn: int, discount: float, strength: float, seed: int) -> np.ndarray:
+    """Averaged probability of a word by its count; count[0] = 0 stands for the one unknown word.
+
+    ``words`` have each count; as they are exchangeable, the tables of all of them are one multinomial draw.
+    """
+    rng = np.random.default_rng(seed)
+    count, words = count[1:], words[1:].astype(float)
+    base = 1 / (words.sum() + 1)
+    small = count <= EXACT
+    mean_t = np.ones(len(count))
+    tables = words.copy()
+    out = np.zeros(len(count) + 1)
+    for sweep in range(sweeps if len(count) else 0):
+        total = tables.sum()
+        for k in np.flatnonzero(small & (count > 1)):
+            each = tables[k] / words[k]
+            odds = np.diff(table_odds(count[k : k + 1], np.array([total - each]), np.array([base]), discount, strength, int(count[k]))[0], prepend=0)
+            odds /= odds.sum()
+            mean_t[k] = odds @ np.arange(1, count[k] + 1)
+            now = float(rng.multinomial(int(words[k]), odds) @ np.arange(1, count[k] + 1))
+            total += now - tables[k]
+            tables[k] = now
+        large = np.flatnonzero(~small)
+        each = np.repeat(large, words[large].astype(np.int64))
+        drawn = drawn_large(count[each], total - (tables / words)[each], np.full(len(each), base), discount, strength, rng)
+        tables[large] = np.bincount(each, drawn, len(count))[large]
+        mean_t[large] = tables[large] / words[large]
+        if sweep >= burn:
+            back = (strength + discount * (mean_t * words).sum()) * base
+            out += np.append(back, count - discount * mean_t + back) / (strength + (count * words).sum())
+    return out / max(1, sweeps - burn) if len(count) else np.ones(1)
+
+
+# --- Blocks ---------------------------------------------------------------------------------------------------
 
 
 @dataclass
-class Model:
-    """Frequent words, log10 probabilities [context, class], their training counts, and those of rare words by count."""
+class Layout:
+    """Buckets, and the spread contexts (sorted hashes) with the number of buckets of each."""
+
+    buckets: int
+    spread: np.ndarray
+    parts: np.ndarray
+
+    def home(self, word: np.ndarray, part: np.ndarray | int = 0) -> np.ndarray:
+        return (mix(word + np.asarray(part, np.uint64) * ODD) % np.uint64(self.buckets)).astype(np.int64)
+
+    def spread_at(self, word: np.ndarray) -> np.ndarray:
+        """Place among the spread contexts, else -1."""
+        if not len(self.spread):
+            return np.full(len(word), -1)
+        at = np.minimum(np.searchsorted(self.spread, word), len(self.spread) - 1)
+        return np.where(self.spread[at] == word, at, -1)
+
+
+class Block:
+    """Token numbers of a block, its words by bucket, and its distinct pairs in the order in which they are asked for."""
+
+    def __init__(self, words: np.ndarray, number: np.ndarray, offset: np.ndarray, layout: Layout):
+        self.words, self.number, self.offset = words, number, offset
+        self.home = layout.home(words)
+        before = np.empty_like(number)
+        before[1:] = number[:-1]
+        before[offset[:-1]] = np.flatnonzero(words == END)[0]
+        pair, self.pair_of = np.unique(before * len(words) + number, return_inverse=True)
+        self.context, self.word = np.divmod(pair, len(words))
+        bucket, away = self.home[self.context], np.zeros(len(pair), bool)
+        at = layout.spread_at(words)[self.context]
+        if (wide := np.flatnonzero(at >= 0)).size:
+            part = mix(words[self.word[wide]]) % layout.parts[at[wide]].astype(np.uint64)
+            bucket[wide] = layout.home(words[self.context[wide]], part)
+            away[wide] = bucket[wide] != self.home[self.context[wide]]
+            self.order = np.argsort(bucket * 2 + away, kind="stable")
+        else:
+            self.order = np.arange(len(pair))
+        self.bucket, self.away = bucket[self.order], away[self.order]
+
+    @classmethod
+    def of(cls, tokens: np.ndarray, offset: np.ndarray, layout: Layout) -> Block:
+        words, number = np.unique(tokens, return_inverse=True)
+        order = np.argsort(layout.home(words), kind="stable")
+        place = np.empty(len(words), np.int64)
+        place[order] = np.arange(len(words))
+        return cls(words[order], place[number], offset, layout)
 
-    frequent: np.ndarray
-    counts: np.ndarray
+
+@dataclass
+class Asked:
+    """What one block asks of one bucket: its words there with their training counts and numbers of pairs; spread contexts
+    that only have pairs there; the second words of the pairs and their training counts."""
+
+    words: np.ndarray
+    own: np.ndarray
     pairs: np.ndarray
-    rare_count: np.ndarray
-    rare_log: np.ndarray
-    unknown_log: float
-    tokens: int
-    distinct: int
+    away: np.ndarray
+    away_pairs: np.ndarray
+    second: np.ndarray
+    count: np.ndarray
 
-    def rare(self, count: np.ndarray) -> np.ndarray:
-        if not len(self.rare_count):
-            return np.full(len(count), self.unknown_log)
-        at = np.minimum(np.searchsorted(self.rare_count, count), len(self.rare_count) - 1)
-        return np.where(count > 0, self.rare_log[at], self.unknown_log)
+    KINDS = (np.uint64, np.int32, np.int32, np.uint64, np.int32, np.uint64, np.int32)
 
+    def packed(self) -> bytes:
+        parts = [np.asarray(x, k) for x, k in zip(vars(self).values(), self.KINDS, strict=True)]
+        return np.array([len(x) for x in parts], np.int32).tobytes() + b"".join(x.tobytes() for x in parts)
 
-def sample_contexts(counts: np.ndarray, sweeps: int, burn: int, discount: tuple[float, float], strength: tuple[float, float], seed: int) -> np.ndarray:
-    """Averaged probabilities [context, dish] of context restaurants that share a parent with a uniform base."""
-    rng = np.random.default_rng(seed)
-    contexts, dishes = counts.shape
-    row, col = np.nonzero(counts)
-    c = counts[row, col]
-    customers = counts.sum(axis=1)
-    parent, t = np.full(dishes, 1 / dishes), np.minimum(c, 1).astype(float)
-    top = np.ones(dishes)
-    mean = np.zeros((contexts, dishes))
-    for sweep in range(sweeps):
-        tables = np.bincount(row, t, contexts)
-        t = seat(c, (strength[1] + discount[1] * np.maximum(tables[row] - t, 0)) * parent[col], discount[1], rng)
-        tables = np.bincount(row, t, contexts)
-        sent = np.bincount(col, t, dishes)
-        top = seat(sent.astype(np.int64), (strength[0] + discount[0] * np.maximum(top.sum() - top, 0)) / dishes, discount[0], rng)
-        parent = (sent - discount[0] * top + (strength[0] + discount[0] * top.sum()) / dishes) / (strength[0] + sent.sum())
-        if sweep >= burn:
-            own = (strength[1] + discount[1] * tables)[:, None] * parent[None, :]
-            own[row, col] += c - discount[1] * t
-            mean += own / (strength[1] + customers)[:, None]
-    return mean / max(1, sweeps - burn)
+    @classmethod
+    def opened(cls, data: bytes) -> Asked:
+        sizes, at, out = np.frombuffer(data, np.int32, 7), 28, []
+        for n, kind in zip(sizes.tolist(), cls.KINDS, strict=True):
+            out.append(np.frombuffer(data, kind, n, at))
+            at += n * kind().itemsize
+        return cls(*out)
 
+    def contexts(self) -> np.ndarray:
+        """The first word of every pair."""
+        return np.concatenate([np.repeat(self.words, self.pairs), np.repeat(self.away, self.away_pairs)])
 
-def sample_rare(count: np.ndarray, words: np.ndarray, sweeps: int, burn: int, strength: float, seed: int) -> tuple[np.ndarray, float]:
-    """Averaged probabilities of a rare word by its count, and of the unknown word."""
-    rng = np.random.default_rng(seed)
-    ones, twos = words[count == 1].sum(), words[count == 2].sum()
-    discount = float(np.clip(ones / (ones + 2 * twos), 0.05, 0.95)) if ones + twos else 0.5
-    base = 1 / (words.sum() + 1)
-    total = float((count * words).sum())
-    copies = np.minimum(words, COPIES)
-    each = np.repeat(np.arange(len(count)), copies)
-    mean, unknown, tables = np.zeros(len(count)), 0.0, float(words.sum())
+
+def _split(number: np.ndarray) -> list[np.ndarray]:
+    """Bytes of numbers, lowest first; such planes compress better than whole numbers."""
+    return [(number >> 8 * k & 255).astype(np.uint8) for k in range(max(1, (int(number.max(initial=0)).bit_length() + 7) // 8))]
+
+
+def _pressed(thing) -> bytes:
+    raw = pickle.dumps(thing)
+    return len(raw).to_bytes(8, "little") + pa.compress(raw, "zstd", asbytes=True)
+
+
+def _unpressed(data: bytes):
+    return pickle.loads(pa.decompress(data[8:], int.from_bytes(data[:8], "little"), "zstd", asbytes=True))
+
+
+def _ask(shipped):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        from pyspark import TaskContext
+
+        layout: Layout = opened(shipped)
+        made = TaskContext.get().partitionId() << 32
+        for batch in batches:
+            for a, b in text_blocks(batch.column("text"), BLOCK):
+                part = batch.slice(a, b - a)
+                tokens, offset = _tokens(part.column("text"))
+                block = Block.of(tokens, offset, layout)
+                held = part.column("held_out").to_numpy(zero_copy_only=False).astype(bool)
+                learned = np.repeat(~held, np.diff(offset))
+                own = np.bincount(block.number[learned], minlength=len(block.words))
+                count = np.bincount(block.pair_of[learned], minlength=len(block.order))[block.order]
+                context, second = block.context[block.order], block.words[block.word[block.order]]
+                pairs = np.bincount(context[~block.away], minlength=len(block.words))
+                edges = np.arange(layout.buckets + 1)
+                w, p = np.searchsorted(block.home, edges), np.searchsorted(block.bucket, edges)
+                pids, data = [], []
+                for k in np.flatnonzero((np.diff(w) > 0) | (np.diff(p) > 0)).tolist():
+                    i, j = p[k], p[k + 1]
+                    away, size = np.unique(context[i:j][block.away[i:j]], return_counts=True)
+                    pids.append(k)
+                    data.append(Asked(block.words[w[k] : w[k + 1]], own[w[k] : w[k + 1]], pairs[w[k] : w[k + 1]], block.words[away], size, second[i:j], count[i:j]).packed())
+                data.append(_pressed((part.column("doc_id").to_pylist(), held, np.diff(offset).astype(np.int32), block.words, _split(block.number))))
+                n = len(data)
+                pids.append(int(mix(np.array([made], np.uint64))[0] % np.uint64(layout.buckets)))
+                yield pa.RecordBatch.from_arrays([pa.array(pids, pa.int32()), pa.array([made] * n, pa.int64()), pa.array([False] * (n - 1) + [True]), pa.array(data, pa.binary())], ["pid", "block", "payload", "data"])
+                made += 1
+
+    return run
+
+
+# --- Buckets --------------------------------------------------------------------------------------------------
+
+
+class Bucket:
+    """All that blocks ask of one bucket: training counts of its words and of the pairs of its contexts."""
+
+    def __init__(self, blocks: list[int], asked: list[Asked], layout: Layout):
+        self.blocks, self.asked = blocks, asked
+        self.words, self.word_of = np.unique(np.concatenate([x.words for x in asked]), return_inverse=True)
+        self.own = np.bincount(self.word_of, np.concatenate([x.own for x in asked]), len(self.words)).astype(np.int64)
+        first, second = np.concatenate([x.contexts() for x in asked]), np.concatenate([x.second for x in asked])
+        _, at, self.pair_of = np.unique(mix(mix(first) + second), return_index=True, return_inverse=True)
+        self.count = np.bincount(self.pair_of, np.concatenate([x.count for x in asked]), len(at)).astype(np.int64)
+        self.second = second[at]
+        self.rooms, self.room = np.unique(first[at], return_inverse=True)
+        self.spread = np.flatnonzero(layout.spread_at(self.rooms) >= 0)
+        self.spread = self.spread[layout.parts[layout.spread_at(self.rooms[self.spread])] > 1]
+
+    def told(self, pid: int, tables: np.ndarray, everything: bool) -> pa.Table:
+        """Tables of every word under this bucket's contexts, and of spread contexts.
+
+        everything: also the words' own counts, and what the bucket needs to know; else only rows with tables.
+        """
+        key, at = np.unique(np.concatenate([self.second, self.words]), return_inverse=True)
+        second, word = at[: len(self.second)], at[len(self.second) :]
+        n, need = np.zeros(len(key), np.int64), np.zeros(len(key), bool)
+        if everything:
+            n[word], need[word] = self.own, True
+            need[second[self.count > 1]] = True
+        sums = np.bincount(second, tables, len(key)).astype(np.int64)
+        keep = need | (sums > 0)
+        rooms = np.bincount(self.room, tables, len(self.rooms)).astype(np.int64)[self.spread]
+        m = len(rooms)
+        return pa.table({
+            "key": np.concatenate([key[keep], mix(self.rooms[self.spread] ^ SPREAD)]).view(np.int64), "pid": np.full(int(keep.sum()) + m, pid, np.int32), "n": np.concatenate([n[keep], np.zeros(m, np.int64)]),
+            "tables": np.concatenate([sums[keep], rooms]), "need": np.concatenate([need[keep], np.full(m, everything)]), "spread": np.arange(int(keep.sum()) + m) >= int(keep.sum()),
+        })
+
+
+def _buckets(table: pa.Table, layout: Layout) -> Iterator[tuple[int, Bucket]]:
+    rows = table.filter(pa.compute.invert(table.column("payload")))
+    if rows.num_rows:
+        # In order of the blocks, so that a task that runs again seats alike.
+        rows = rows.sort_by("block")
+        yield rows.column("pid")[0].as_py(), Bucket(rows.column("block").to_pylist(), [Asked.opened(x) for x in rows.column("data").to_pylist()], layout)
+
+
+@dataclass
+class How:
+    sweeps: int
+    burn: int
+    discount: tuple[float, float]
+    strength: tuple[float, float]
+    seed: int
+
+
+def _tell(shipped):
+    def run(table: pa.Table) -> pa.Table:
+        layout, _ = opened(shipped)
+        for pid, bucket in _buckets(table, layout):
+            return bucket.told(pid, (bucket.count > 0).astype(np.int64), True)
+        return pa.table({"key": pa.array([], pa.int64()), "pid": pa.array([], pa.int32()), "n": pa.array([], pa.int64()), "tables": pa.array([], pa.int64()), "need": pa.array([], pa.bool_()), "spread": pa.array([], pa.bool_())})
+
+    return run
+
+
+class Answers:
+    """What a bucket was told: for its words and spread contexts the parent's probability and all tables."""
+
+    def __init__(self, table: pa.Table):
+        key = table.column("key").to_numpy().view(np.uint64)
+        order = np.argsort(key)
+        self.key = key[order]
+        self.p, self.total, self.here = (table.column(c).to_numpy()[order] for c in ("p", "total", "here"))
+        self.tokens, self.distinct = (int(table.column(c)[0].as_py()) for c in ("tokens", "distinct"))
+
+    def at(self, key: np.ndarray) -> np.ndarray:
+        found = np.searchsorted(self.key, key)
+        if len(key) and not (self.key[np.minimum(found, len(self.key) - 1)] == key).all():
+            raise RuntimeError("a bucket wasn't told all it asked for")
+        return found
+
+
+def _seated(bucket: Bucket, told: Answers, how: How, pid: int, sweeps: int, burn: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Tables of every pair: mean and last; and mean tables of every context."""
+    many = np.flatnonzero(bucket.count > 1)
+    start = (bucket.count > 0).astype(float)
+    total = np.bincount(bucket.room, start, len(bucket.rooms))
+    at = told.at(mix(bucket.rooms[bucket.spread] ^ SPREAD))
+    held = np.zeros(len(total))
+    held[bucket.spread] = told.total[at] - told.here[at]
+    seats = Seats(bucket.room[many], bucket.count[many], told.p[told.at(bucket.second[many])], total + held, how.discount[1], how.strength[1])
+    rng = np.random.default_rng([how.seed, pid])
+    mean, rooms = np.zeros(len(many)), np.zeros(len(total))
     for sweep in range(sweeps):
-        seated = seat(count[each], np.full(len(each), (strength + discount * tables) * base), discount, rng)
-        t = np.bincount(each, seated, len(count)) / np.maximum(copies, 1)
-        tables = float((t * words).sum())
+        seats.sweep(rng)
         if sweep >= burn:
-            new = (strength + discount * tables) * base
-            mean += (count - discount * t + new) / (strength + total)
-            unknown += new / (strength + total)
-    return mean / max(1, sweeps - burn), unknown / max(1, sweeps - burn)
-
-
-def fit(train: DataFrame, share: float = 1 / 1024, sweeps: int = 14, burn: int = 4, discount: tuple[float, float] = (0.3, 0.5), strength: tuple[float, float] = (1.0, 5.0), seed: int = 7) -> tuple[Model, DataFrame]:
-    """The model of ``train`` (text), and the counts (word, n) of all its words, which stay distributed."""
-    train = train.select(F.col("text").cast("string").alias("text"))
-    counts = cut(train.mapInArrow(_count_words, "word long, n long").groupBy("word").agg(F.sum("n").alias("n")))
-    total, distinct = (int(x or 0) for x in counts.agg(F.sum("n"), F.count(F.lit(1))).first())
-    least = max(1.0, total * share)
-    often = sorted((np.uint64(w & (2**64 - 1)), n) for w, n in counts.where(F.col("n") >= least).collect())
-    frequent = np.array([w for w, _ in often], np.uint64)
-    side = len(frequent) + 1
-    shipped = train.sparkSession.sparkContext.broadcast(frequent)
-    found = train.mapInArrow(_count_pairs(shipped), "code long, n long").groupBy("code").agg(F.sum("n").alias("n")).toPandas()
-    pairs = np.zeros(side * side, np.int64)
-    pairs[found["code"].to_numpy(np.int64)] = found["n"].to_numpy(np.int64)
-    held = counts.where(F.col("n") < least).groupBy("n").agg(F.count(F.lit(1)).alias("words")).orderBy("n").toPandas()
-    count, words = held["n"].to_numpy(np.int64), held["words"].to_numpy(np.int64)
-    rare, unknown = sample_rare(count, words, sweeps, burn, strength[0], seed)
-    model = Model(frequent, np.array([n for _, n in often], np.int64), np.log10(sample_contexts(pairs.reshape(side, side), sweeps, burn, discount, strength, seed)), count, np.log10(rare), float(np.log10(unknown)), total, distinct)
-    return model, counts
-
-
-def _distinct_rare(shipped):
+            mean += seats.t
+            rooms += seats.total
+    kept = max(1, sweeps - burn)
+    average, last = start.copy(), start.copy()
+    average[many], last[many] = mean / kept, seats.t
+    return average, last, rooms / kept
+
+
+def _seat(shipped, sweeps: int):
+    """A round before the last: tables beyond one of every pair."""
+
+    def run(asked: pa.Table, told: pa.Table) -> pa.Table:
+        layout, how = opened(shipped)
+        for pid, bucket in _buckets(asked, layout):
+            _, last, _ = _seated(bucket, Answers(told), how, pid, sweeps, 0)
+            return bucket.told(pid, last - (bucket.count > 0), False)
+        return _tell(shipped)(asked)
+
+    return run
+
+
+ANSWERED = "pid int, block long, bucket int, tokens long, distinct long, data binary"
+
+
+def _answer(shipped):
+    """The last round: what every block asked for."""
+
+    def run(asked: pa.Table, told: pa.Table) -> pa.Table:
+        layout, how = opened(shipped)
+        out = []
+        for pid, bucket in _buckets(asked, layout):
+            answers = Answers(told)
+            tables, _, rooms = _seated(bucket, answers, how, pid, how.sweeps, how.burn)
+            left = np.where(bucket.count > 0, bucket.count - how.discount[1] * tables, 0.0).astype(np.float32)
+            at = answers.at(bucket.words)
+            room = np.minimum(np.searchsorted(bucket.rooms, bucket.words), max(0, len(bucket.rooms) - 1))
+            seen = (bucket.rooms[room] == bucket.words) if len(bucket.rooms) else np.zeros(len(bucket.words), bool)
+            back = np.where(bucket.own > 0, (how.strength[1] + how.discount[1] * np.where(seen, rooms[room] if len(rooms) else 0.0, 0.0)) / (how.strength[1] + bucket.own), 1.0)
+            w = p = 0
+            for block, x in zip(bucket.blocks, bucket.asked, strict=True):
+                own, pair = bucket.word_of[w : w + len(x.words)], bucket.pair_of[p : p + len(x.second)]
+                w, p = w + len(x.words), p + len(x.second)
+                data = _pressed((bucket.own[own], answers.p[at[own]], back[own], left[pair]))
+                to = int(mix(np.array([block], np.uint64))[0] % np.uint64(layout.buckets))
+                out.append((to, block, pid, answers.tokens, answers.distinct, data))
+        names = [x.split()[0] for x in ANSWERED.split(", ")]
+        kinds = [pa.int32(), pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.binary()]
+        return pa.table([pa.array([r[k] for r in out], kind) for k, kind in enumerate(kinds)], names=names)
+
+    return run
+
+
+def _score(shipped):
+    def run(asked: pa.Table, answered: pa.Table) -> pa.Table:
+        layout, how = opened(shipped)
+        rows = asked.filter(asked.column("payload"))
+        answered = answered.sort_by([("block", "ascending"), ("bucket", "ascending")])
+        which = answered.column("block").to_numpy()
+        tables = []
+        for name, data in zip(rows.column("block").to_pylist(), rows.column("data").to_pylist(), strict=True):
+            ids, held, size, words, planes = _unpressed(data)
+            i, j = np.searchsorted(which, [name, name + 1])
+            own, p, back, left = (np.concatenate(x) for x in zip(*[_unpressed(x) for x in answered.column("data")[i:j].to_pylist()], strict=True))
+            tokens, distinct = (answered.column(c)[int(i)].as_py() for c in ("tokens", "distinct"))
+            number = sum(x.astype(np.int64) << 8 * k for k, x in enumerate(planes))
+            offset = np.concatenate([[0], np.cumsum(size)]).astype(np.int64)
+            block = Block(words, number, offset, layout)
+            context, word = block.context[block.order], block.word[block.order]
+            log = np.empty(len(left))
+            log[block.order] = np.log10(left / (how.strength[1] + own[context]) + back[context] * p[word])
+            base = np.log10((own + 1) / (tokens + distinct + 1))
+            tables.append(pa.table({
+                "doc_id": pa.array(ids, pa.int64()), "held_out": pa.array(held), "n_tokens": np.diff(offset), "n_known": segment_sum((own > 0).astype(np.int64)[number], offset), "train_tokens": np.full(len(ids), tokens),
+                "base_score": segment_sum(base[number], offset), "score": segment_sum(log[block.pair_of], offset),
+            }))
+        return pa.concat_tables(tables) if tables else pa.table({n: pa.array([], k) for n, k in (("doc_id", pa.int64()), ("held_out", pa.bool_()), ("n_tokens", pa.int64()), ("n_known", pa.int64()), ("train_tokens", pa.int64()), ("base_score", pa.float64()), ("score", pa.float64()))})
+
+    return run
+
+
+# --- The corpus -----------------------------------------------------------------------------------------------
+
+
+def _common(share: float):
+    """Training counts of words with at least half the share in a block; the block's tokens under END's complement."""
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        words = opened(shipped).frequent
         for batch in batches:
-            slices = batch.column("slice").to_numpy()
-            for a, b in text_blocks(batch.column("text"), 8 << 20):
-                for s in np.unique(slices[a:b]):
-                    column = batch.column("text").slice(a, b - a).filter(pa.array(slices[a:b] == s))
-                    token = np.unique(_tokens(column)[0])
-                    token = token[_classes(token, words) == 0]
-                    yield pa.RecordBatch.from_arrays([pa.array(np.full(len(token), s, np.int32)), pa.array(token.view(np.int64))], ["slice", "word"])
+            for a, b in text_blocks(batch.column("text"), BLOCK):
+                tokens, _ = _tokens(batch.column("text").slice(a, b - a))
+                word, n = np.unique(tokens, return_counts=True)
+                often = n >= max(2, share / 2 * len(tokens))
+                yield pa.RecordBatch.from_arrays([pa.array(np.append(word[often], ~END).view(np.int64)), pa.array(np.append(n[often], len(tokens)))], ["word", "n"])
 
     return run
 
 
-def _score(shipped):
-    def run(docs: pa.Table, known: pa.Table) -> pa.Table:
-        model: Model = opened(shipped)
-        word = known.column("word").to_numpy().view(np.uint64)
-        word, first = np.unique(word, return_index=True)
-        count = known.column("n").to_numpy()[first]
-        out = []
-        docs = docs.combine_chunks()
-        for batch in docs.to_batches():
-            for a, b in text_blocks(batch.column("text"), 4 << 20):
-                part = batch.slice(a, b - a)
-                tokens, offset = _tokens(part.column("text"))
-                own = _classes(tokens, model.frequent)
-                if len(word):
-                    at = np.minimum(np.searchsorted(word, tokens), len(word) - 1)
-                    c = np.where(word[at] == tokens, count[at], 0)
-                else:
-                    c = np.zeros(len(tokens), np.int64)
-                c = np.where(own > 0, np.append(0, model.counts)[own], c)
-                base = np.log10((c + 1) / (model.tokens + model.distinct + 1))
-                log = model.pairs[_contexts(own, offset), own]
-                log[own == 0] += model.rare(c[own == 0])
-                out.append([part.column("doc_id"), part.column("held_out"), pa.array(np.diff(offset)), pa.array(segment_sum((c > 0).astype(np.int64), offset)), pa.array(segment_sum(base, offset)), pa.array(segment_sum(log, offset))])
-        names = ["doc_id", "held_out", "n_tokens", "n_known", "base_score", "score"]
-        return pa.Table.from_batches([pa.RecordBatch.from_arrays(x, names) for x in out])
+def _layout(docs: DataFrame, bucket_bytes: int) -> Layout:
+    size = docs.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()[0]
+    buckets = max(1, -(-int(size) // bucket_bytes))
+    share = max(2.0**-16, 1 / buckets)
+    if buckets == 1:
+        return Layout(1, np.zeros(0, np.uint64), np.zeros(0, np.int64))
+    found = docs.where("not held_out").select("text").mapInArrow(_common(share), "word long, n long").groupBy("word").agg(F.sum("n").alias("n"))
+    total = found.where(F.col("word") == int(np.array([~END]).view(np.int64)[0]))
+    often = found.join(F.broadcast(total.select(F.col("n").alias("all"))), F.col("n") >= F.col("all") * share).where("n < all").select("word", "n", "all").toPandas()
+    word = often["word"].to_numpy(np.int64).view(np.uint64)
+    order = np.argsort(word)
+    return Layout(buckets, word[order], np.ceil(often["n"].to_numpy(float) / np.maximum(often["all"].to_numpy(float), 1) * buckets).astype(np.int64)[order])
+
+
+def _root(how: How):
+    """Probabilities of words by their count of tables, from the histogram of these; and the corpus' totals."""
+
+    def run(table: pa.Table) -> pa.Table:
+        tables, words, n, known = (table.column(c).to_numpy() for c in ("tables", "words", "n", "known"))
+        order = np.argsort(tables)
+        count, many = np.append(0, tables[order][tables[order] > 0]), np.append(1, words[order][tables[order] > 0])
+        p = sample_parent(count, many, how.sweeps, how.burn, how.discount[0], how.strength[0], how.seed)
+        return pa.table({"total": count, "p": p, "tokens": np.full(len(count), n.sum()), "distinct": np.full(len(count), known.sum())})
 
     return run
 
 
-def scores(docs: DataFrame, model: Model, counts: DataFrame, slice_bytes: int = 8 << 20) -> DataFrame:
-    """Log10 probabilities of whole texts: one row for each row of ``docs`` (doc_id, text, held_out).
+def scores(docs: DataFrame, rounds: int = 2, sweeps: int = 6, burn: int = 2, discount: tuple[float, float] = (0.75, 0.75), strength: tuple[float, float] = (20.0, 4.0), seed: int = 7, bucket_bytes: int = BUCKET) -> DataFrame:
+    """Log10 probabilities of whole texts under the model of those that aren't held out.
 
-    Documents are dealt over slices of about ``slice_bytes`` by their ids' hashes; the distinct rare words of a
-    slice fetch their counts by a join, and each slice is scored with what came back.  A null text is empty: its
-    only token is the end.  Rows with equal ids are scored each.
+    ``docs`` has doc_id, text, held_out; one row for each row of it, rows with equal ids too.  A null text is empty: its
+    only token is the end.  discount and strength: of the parent and of the contexts.
     """
-    size = docs.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()[0]
-    n = max(1, -(-int(size) // slice_bytes))
-    shipped = ship(docs.sparkSession.sparkContext, model)
-    dealt = docs.select("doc_id", "held_out", "text", F.pmod(F.xxhash64("doc_id", "text"), F.lit(n)).cast("int").alias("slice")).repartitionById(n, "slice")
-    # With all its columns, so that both branches read one exchange.
-    asked = dealt.mapInArrow(_distinct_rare(shipped), "slice int, word long")
-    known = asked.distinct().join(counts, "word").select("slice", "word", "n").repartitionById(n, "slice")
-    return dealt.groupBy("slice").cogroup(known.groupBy("slice")).applyInArrow(_score(shipped), SCORED)
+    docs = docs.select("doc_id", "text", "held_out")
+    layout = _layout(docs, bucket_bytes)
+    n, how = layout.buckets, How(sweeps, burn, discount, strength, seed)
+    context = docs.sparkSession.sparkContext
+    shipped = ship(context, (layout, how))
+    asked = docs.mapInArrow(_ask(ship(context, layout)), ASKED).repartitionById(n, "pid")
+    rows = asked.groupBy("pid").applyInArrow(_tell(shipped), TOLD).repartition(n, "key")
+    by_key = Window.partitionBy("key")
+    here = rows.select("key", "pid", "need", "spread", F.col("tables").alias("here"), F.sum("tables").over(by_key).alias("total"), F.sum("n").over(by_key).alias("n"), F.row_number().over(by_key.orderBy("pid")).alias("place"))
+    moved = None
+    for r in range(rounds):
+        if moved is not None:
+            words = moved.groupBy("key").agg(F.sum("tables").alias("more"))
+            spread = moved.where("spread").groupBy("key", "pid").agg(F.sum("tables").alias("more_here"))
+            here_now = here.join(words, "key", "left").withColumn("total", F.col("total") + F.coalesce("more", F.lit(0)))
+            wide = here_now.where("spread").join(spread, ["key", "pid"], "left").withColumn("here", F.col("here") + F.coalesce("more_here", F.lit(0))).select("key", "pid", "need", "spread", "here", "total", "n", "place")
+            now = here_now.where("not spread").select("key", "pid", "need", "spread", "here", "total", "n", "place").union(wide)
+        else:
+            now = here
+        histogram = now.where("not spread and place = 1").groupBy(F.col("total").alias("tables")).agg(F.count(F.lit(1)).alias("words"), F.sum("n").alias("n"), F.sum((F.col("n") > 0).cast("long")).alias("known"))
+        root = histogram.withColumn("one", F.lit(0)).groupBy("one").applyInArrow(_root(how), "total long, p double, tokens long, distinct long")
+        told = now.where("need and not spread").join(F.broadcast(root), "total").select("pid", "key", "p", "total", "here", "tokens", "distinct")
+        wide = now.where("need and spread").select("pid", "key", F.lit(0.0).alias("p"), "total", "here", F.lit(0).cast("long").alias("tokens"), F.lit(0).cast("long").alias("distinct"))
+        answers = told.union(wide).repartitionById(n, "pid").groupBy("pid")
+        if r + 1 < rounds:
+            moved = asked.groupBy("pid").cogroup(answers).applyInArrow(_seat(shipped, sweeps), TOLD).repartition(n, "key")
+    answered = asked.groupBy("pid").cogroup(answers).applyInArrow(_answer(shipped), ANSWERED).repartitionById(n, "pid")
+    return asked.groupBy("pid").cogroup(answered.groupBy("pid")).applyInArrow(_score(shipped), SCORED)
 
 
 def perplexity(scored: DataFrame) -> DataFrame:
@@ -262,8 +632,6 @@ def held_out(docs: DataFrame, modulus: int = 7, remainder: int = 2) -> DataFrame
     )
 
 
-def scored_documents(docs: DataFrame) -> DataFrame:
-    """Fits on the documents that are not held out and scores all; adds train_tokens."""
-    docs = held_out(docs)
-    model, counts = fit(docs.where("not held_out"))
-    return scores(docs, model, counts).withColumn("train_tokens", F.lit(model.tokens).cast("long"))
+def scored_documents(docs: DataFrame, **how) -> DataFrame:
+    """Fits on the documents that are not held out and scores all."""
+    return scores(held_out(docs), **how)
