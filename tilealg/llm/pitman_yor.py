@@ -18,8 +18,8 @@ probabilities are averages over the sweeps of the last round after ``burn``.
 Plan.  A *block* is about ``BLOCK`` bytes of whole texts; a *bucket* holds the restaurants of the contexts that hash to
 it, contexts with a large share of all tokens spread over several.  One exchange brings the distinct pairs of every
 block, with their counts, to the buckets, and the blocks' token numbers to where they are scored; each round reads it
-again.  Tables of a word under all contexts are summed by an exchange of (word, bucket) rows.  Buckets then answer
-every block with what it asked for.  All of this grows with the corpus; the driver only holds contexts above a
+again.  Tables of a word under all contexts are summed where the word has its home: buckets send each other packed rows of
+words, and get totals back in the same order.  Buckets then answer every block with what it asked for.  All of this grows with the corpus; the driver only holds contexts above a
 share of 2^-16 of all tokens (so at most 2^16), and the histogram has at most sqrt(2 * tables) rows.
 """
 
@@ -32,19 +32,21 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from tilealg.llm.bytewords import ODD, SPACED, Words, mix, opened, segment_sum, ship, text_blocks
 
 #: Stands for the end of a text; no word hash is likelier to equal it than any other.
-END = np.uint64(0x5EED_0F_7E57_E4D5)
+END = np.uint64(0x5EED_0F_7E57_E4)
 #: Marks the key under which a spread context's tables are summed.
 SPREAD = np.uint64(0x7AB1_E5)
-BLOCK, BUCKET = 8 << 20, 6 << 20
+#: Words go by 56 bits of their hash, which travel as 7 bytes.
+BITS = np.uint64((1 << 56) - 1)
+BLOCK, BUCKET = 16 << 20, 16 << 20
 EXACT, FEW, STEPS, WIDTHS = 1024, 32, 24, (4, 8, 16, 64, 256, 1024)
 ASKED = "pid int, block long, payload boolean, data binary"
-TOLD = "key long, pid int, n long, tables long, need boolean, spread boolean"
+TOLD = "kid int, pid int, data binary"
 SCORED = "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double"
 
 
@@ -53,10 +55,30 @@ def _tokens(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     words = Words(column, SPACED)
     n = len(words.offset) - 1
     out = np.full(len(words.hash) + n, END, np.uint64)
-    out[np.arange(len(words.hash)) + words.owner()] = words.hash
+    out[np.arange(len(words.hash)) + words.owner()] = words.hash & BITS
     return out, words.offset + np.arange(n + 1)
 
 
+def _codes(values: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Distinct values in order, and the place of each value among them; by hashing, as most values repeat."""
+    coded = pa.array(values).dictionary_encode()
+    seen = coded.dictionary.to_numpy()
+    order = np.argsort(seen)
+    place = np.empty(len(order), np.int64)
+    place[order] = np.arange(len(order))
+    return seen[order], place[coded.indices.to_numpy()]
+
+
+def _hash_bytes(words: np.ndarray) -> bytes:
+    return np.ascontiguousarray(np.ascontiguousarray(words, np.uint64).view(np.uint8).reshape(-1, 8)[:, :7]).tobytes()
+
+
+def _hashes(data: bytes, n: int, at: int = 0) -> np.ndarray:
+    out = np.zeros((n, 8), np.uint8)
+    out[:, :7] = np.frombuffer(data, np.uint8, 7 * n, at).reshape(n, 7)
+    return out.reshape(-1).view(np.uint64)
+
+
 # --- Seating --------------------------------------------------------------------------------------------------
 
 _STIRLING: dict[float, np.ndarray] = {}
@@ -83,10 +105,10 @@ def table_odds(c: np.ndarray, others: np.ndarray, p: np.ndarray, discount: float
     return np.cumsum(np.exp(log), axis=1)
 
 
-def _saddle(c: np.ndarray, t: np.ndarray, discount: float) -> np.ndarray:
+def _saddle(c: np.ndarray, t: np.ndarray, discount: float, halvings: int = 30) -> np.ndarray:
     """y with discount * (1 - e^-y) * e^(y (1 - discount)) / (1 - e^-(discount y)) = c / t, by halving."""
     low, high = np.zeros(np.broadcast(c, t).shape), (np.log(c / t) + 5 - np.log(discount)) / (1 - discount)
-    for _ in range(30):
+    for _ in range(halvings):
         y = (low + high) / 2
         over = np.log(-np.expm1(-y)) + y * (1 - discount) - np.log(-np.expm1(-discount * y)) > np.log(c / t / discount)
         low, high = np.where(over, low, y), np.where(over, y, high)
@@ -122,10 +144,10 @@ def drawn_large(c: np.ndarray, others: np.ndarray, p: np.ndarray, discount: floa
     if not len(c):
         return np.zeros(0)
     c = c.astype(float)
-    slope = lambda t: np.log(-np.expm1(-discount * _saddle(c, t, discount)) / discount) - np.log(t) + np.log((strength + discount * (others + t)) * p)
+    slope = lambda t: np.log(-np.expm1(-discount * _saddle(c, t, discount, 14)) / discount) - np.log(t) + np.log((strength + discount * (others + t)) * p)
     low, high = np.ones(len(c)), np.maximum(c * 0.999, 2)
-    for _ in range(40):
-        t = (low + high) / 2
+    for _ in range(24):
+        t = np.sqrt(low * high)
         up = slope(t) > 0
         low, high = np.where(up, t, low), np.where(up, high, t)
     far = np.maximum(0.5, 0.01 * t)
@@ -173,11 +195,12 @@ class Seats:
             first = np.flatnonzero(np.diff(self.room[own], prepend=-1))
             size = np.diff(np.append(first, len(own)))
             place = np.arange(len(own)) - np.repeat(first, size)
-            step = np.where(np.repeat(size, size) > STEPS, place * STEPS // np.repeat(size, size), place)
+            steps = STEPS if width else 2
+            step = np.where(np.repeat(size, size) > steps, place * steps // np.repeat(size, size), place)
             order = np.argsort(step, kind="stable")
             cuts = np.flatnonzero(np.diff(step[order], prepend=-1))[1:]
             for part in np.split(own[order], cuts):
-                for piece in np.array_split(part, -(-len(part) * (width or 1) // (1 << 21))):
+                for piece in np.array_split(part, -(-len(part) * (width or 128) // (1 << 21))):
                     self.groups.append((width, piece))
 
     def sweep(self, rng: np.random.Generator) -> None:
@@ -276,12 +299,23 @@ class Block:
 
     @classmethod
     def of(cls, tokens: np.ndarray, offset: np.ndarray, layout: Layout) -> Block:
-        words, number = np.unique(tokens, return_inverse=True)
-        order = np.argsort(layout.home(words), kind="stable")
+        return cls.numbered(*_codes(tokens), offset, layout)
+
+    @classmethod
+    def numbered(cls, words: np.ndarray, number: np.ndarray, offset: np.ndarray, layout: Layout) -> Block:
+        """From token numbers among ``words`` in any order; here they go by bucket and hash."""
+        order = np.lexsort((words, layout.home(words)))
         place = np.empty(len(words), np.int64)
         place[order] = np.arange(len(words))
         return cls(words[order], place[number], offset, layout)
 
+    def by_frequency(self) -> tuple[np.ndarray, np.ndarray]:
+        """Words from the most frequent on, and token numbers among them, which compress better."""
+        order = np.argsort(-np.bincount(self.number, minlength=len(self.words)), kind="stable")
+        place = np.empty(len(order), np.int64)
+        place[order] = np.arange(len(order))
+        return self.words[order], place[self.number]
+
 
 @dataclass
 class Asked:
@@ -296,19 +330,19 @@ class Asked:
     second: np.ndarray
     count: np.ndarray
 
-    KINDS = (np.uint64, np.int32, np.int32, np.uint64, np.int32, np.uint64, np.int32)
-
     def packed(self) -> bytes:
-        parts = [np.asarray(x, k) for x, k in zip(vars(self).values(), self.KINDS, strict=True)]
-        return np.array([len(x) for x in parts], np.int32).tobytes() + b"".join(x.tobytes() for x in parts)
+        """Hashes don't compress; the numbers beside them do."""
+        hashes = (self.words, self.away, self.second)
+        numbers = _pressed([_split(x) for x in (self.own, self.pairs, self.away_pairs, self.count)])
+        return np.array([len(x) for x in hashes], np.int32).tobytes() + b"".join(map(_hash_bytes, hashes)) + numbers
 
     @classmethod
     def opened(cls, data: bytes) -> Asked:
-        sizes, at, out = np.frombuffer(data, np.int32, 7), 28, []
-        for n, kind in zip(sizes.tolist(), cls.KINDS, strict=True):
-            out.append(np.frombuffer(data, kind, n, at))
-            at += n * kind().itemsize
-        return cls(*out)
+        sizes = np.frombuffer(data, np.int32, 3)
+        ends = 12 + 7 * np.cumsum(np.append(0, sizes.astype(np.int64)))
+        words, away, second = (_hashes(data, n, at) for n, at in zip(sizes.tolist(), ends[:3].tolist(), strict=True))
+        own, pairs, away_pairs, count = map(_joined, _unpressed(data[int(ends[3]) :]))
+        return cls(words, own, pairs, away, away_pairs, second, count)
 
     def contexts(self) -> np.ndarray:
         """The first word of every pair."""
@@ -320,6 +354,10 @@ def _split(number: np.ndarray) -> list[np.ndarray]:
     return [(number >> 8 * k & 255).astype(np.uint8) for k in range(max(1, (int(number.max(initial=0)).bit_length() + 7) // 8))]
 
 
+def _joined(planes: list[np.ndarray]) -> np.ndarray:
+    return sum(x.astype(np.int64) << 8 * k for k, x in enumerate(planes))
+
+
 def _pressed(thing) -> bytes:
     raw = pickle.dumps(thing)
     return len(raw).to_bytes(8, "little") + pa.compress(raw, "zstd", asbytes=True)
@@ -354,7 +392,8 @@ def _ask(shipped):
                     away, size = np.unique(context[i:j][block.away[i:j]], return_counts=True)
                     pids.append(k)
                     data.append(Asked(block.words[w[k] : w[k + 1]], own[w[k] : w[k + 1]], pairs[w[k] : w[k + 1]], block.words[away], size, second[i:j], count[i:j]).packed())
-                data.append(_pressed((part.column("doc_id").to_pylist(), held, np.diff(offset).astype(np.int32), block.words, _split(block.number))))
+                often, number = block.by_frequency()
+                data.append(_pressed((part.column("doc_id").to_pylist(), held, np.diff(offset).astype(np.int32), _hash_bytes(often), _split(number))))
                 n = len(data)
                 pids.append(int(mix(np.array([made], np.uint64))[0] % np.uint64(layout.buckets)))
                 yield pa.RecordBatch.from_arrays([pa.array(pids, pa.int32()), pa.array([made] * n, pa.int64()), pa.array([False] * (n - 1) + [True]), pa.array(data, pa.binary())], ["pid", "block", "payload", "data"])
@@ -371,35 +410,112 @@ class Bucket:
 
     def __init__(self, blocks: list[int], asked: list[Asked], layout: Layout):
         self.blocks, self.asked = blocks, asked
-        self.words, self.word_of = np.unique(np.concatenate([x.words for x in asked]), return_inverse=True)
+        self.words, self.word_of = _codes(np.concatenate([x.words for x in asked]))
         self.own = np.bincount(self.word_of, np.concatenate([x.own for x in asked]), len(self.words)).astype(np.int64)
-        first, second = np.concatenate([x.contexts() for x in asked]), np.concatenate([x.second for x in asked])
-        _, at, self.pair_of = np.unique(mix(mix(first) + second), return_index=True, return_inverse=True)
-        self.count = np.bincount(self.pair_of, np.concatenate([x.count for x in asked]), len(at)).astype(np.int64)
-        self.second = second[at]
-        self.rooms, self.room = np.unique(first[at], return_inverse=True)
+        self.rooms, room = _codes(np.concatenate([y for x in asked for y in (x.words, x.away)]))
+        room = np.repeat(room, np.concatenate([y for x in asked for y in (x.pairs, x.away_pairs)]))
+        second, at = _codes(np.concatenate([x.second for x in asked]))
+        pair, self.pair_of = np.unique(room * max(1, len(second)) + at, return_inverse=True)
+        self.count = np.bincount(self.pair_of, np.concatenate([x.count for x in asked]), len(pair)).astype(np.int64)
+        self.room, which = np.divmod(pair, max(1, len(second)))
         self.spread = np.flatnonzero(layout.spread_at(self.rooms) >= 0)
         self.spread = self.spread[layout.parts[layout.spread_at(self.rooms[self.spread])] > 1]
-
-    def told(self, pid: int, tables: np.ndarray, everything: bool) -> pa.Table:
-        """Tables of every word under this bucket's contexts, and of spread contexts.
-
-        everything: also the words' own counts, and what the bucket needs to know; else only rows with tables.
+        # All words, by their homes; own words have theirs here.
+        self.key = np.union1d(second, self.words)
+        self.kid = layout.home(self.key)
+        order = np.argsort(self.kid, kind="stable")
+        place = np.empty(len(order), np.int64)
+        place[order] = np.arange(len(order))
+        self.second_at, self.word_at = place[np.searchsorted(self.key, second)][which], place[np.searchsorted(self.key, self.words)]
+        self.key, self.kid = self.key[order], self.kid[order]
+        self.need = np.zeros(len(self.key), bool)
+        self.need[self.word_at] = self.need[self.second_at[self.count > 1]] = True
+        # Spread contexts, by the homes of the keys under which their tables are summed.
+        self.mark = mix(self.rooms[self.spread] ^ SPREAD)
+        self.spread = self.spread[np.argsort(layout.home(self.mark), kind="stable")]
+        self.mark = mix(self.rooms[self.spread] ^ SPREAD)
+        self.mark_kid = layout.home(self.mark)
+
+    def told(self, pid: int, tables: np.ndarray, first: bool) -> pa.Table:
+        """Tables of every word under this bucket's contexts and of its spread contexts, a packed row for each home.
+
+        first: also the words' own counts, and which totals the bucket needs; else only words with tables.
         """
-        key, at = np.unique(np.concatenate([self.second, self.words]), return_inverse=True)
-        second, word = at[: len(self.second)], at[len(self.second) :]
-        n, need = np.zeros(len(key), np.int64), np.zeros(len(key), bool)
-        if everything:
-            n[word], need[word] = self.own, True
-            need[second[self.count > 1]] = True
-        sums = np.bincount(second, tables, len(key)).astype(np.int64)
-        keep = need | (sums > 0)
+        sums = np.bincount(self.second_at, tables, len(self.key)).astype(np.int64)
+        n = np.zeros(len(self.key), np.int64)
+        n[self.word_at] = self.own
+        keep = np.flatnonzero(self.need | (sums > 0)) if first else np.flatnonzero(sums > 0)
         rooms = np.bincount(self.room, tables, len(self.rooms)).astype(np.int64)[self.spread]
-        m = len(rooms)
-        return pa.table({
-            "key": np.concatenate([key[keep], mix(self.rooms[self.spread] ^ SPREAD)]).view(np.int64), "pid": np.full(int(keep.sum()) + m, pid, np.int32), "n": np.concatenate([n[keep], np.zeros(m, np.int64)]),
-            "tables": np.concatenate([sums[keep], rooms]), "need": np.concatenate([need[keep], np.full(m, everything)]), "spread": np.arange(int(keep.sum()) + m) >= int(keep.sum()),
-        })
+        kids, rows = [], []
+        for k in np.union1d(self.kid[keep], self.mark_kid).tolist():
+            own = keep[slice(*np.searchsorted(self.kid[keep], [k, k + 1]))]
+            m = slice(*np.searchsorted(self.mark_kid, [k, k + 1]))
+            kids.append(k)
+            rows.append(_hash_bytes(self.key[own]) + _pressed((_split(sums[own]), _split(n[own]) if first and k == pid else None, np.packbits(self.need[own]) if first else None, self.mark[m], rooms[m])) + len(own).to_bytes(4, "little"))
+        return pa.table([pa.array(kids, pa.int32()), pa.array([pid] * len(kids), pa.int32()), pa.array(rows, pa.binary())], names=["kid", "pid", "data"])
+
+
+def _heard(data: bytes) -> tuple:
+    """What ``told`` packed: words, tables, own counts, needs; marks and tables of spread contexts."""
+    size = int.from_bytes(data[-4:], "little")
+    sums, n, need, mark, rooms = _unpressed(data[7 * size : -4])
+    return _hashes(data, size), _joined(sums), np.zeros(size, np.int64) if n is None else _joined(n), None if need is None else np.unpackbits(need, count=size).astype(bool), mark, rooms
+
+
+class Home:
+    """Totals of the words that are at home in one bucket."""
+
+    def __init__(self, told: pa.Table, moved: pa.Table | None):
+        told = told.sort_by("pid")
+        self.pids, self.rows = told.column("pid").to_pylist(), [_heard(x) for x in told.column("data").to_pylist()]
+        self.key, self.at = _codes(np.concatenate([r[0] for r in self.rows]))
+        self.total = np.bincount(self.at, np.concatenate([r[1] for r in self.rows]), len(self.key)).astype(np.int64)
+        self.n = np.bincount(self.at, np.concatenate([r[2] for r in self.rows]), len(self.key)).astype(np.int64)
+        self.rooms: dict[int, int] = {}
+        self.own: dict[tuple[int, int], int] = {}
+        later = moved.to_pylist() if moved is not None else []
+        for r in later:
+            key, more, *_ = _heard(r["data"])
+            self.total[np.searchsorted(self.key, key)] += more
+        for pid, r in [*zip(self.pids, self.rows, strict=True), *((x["pid"], _heard(x["data"])) for x in later)]:
+            for mark, tables in zip(r[4].tolist(), r[5].tolist(), strict=True):
+                self.rooms[mark] = self.rooms.get(mark, 0) + tables
+                self.own[mark, pid] = self.own.get((mark, pid), 0) + tables
+
+    def histogram(self) -> pa.Table:
+        count, at = np.unique(self.total, return_inverse=True)
+        return pa.table({"tables": count, "words": np.bincount(at, minlength=len(count)), "n": np.bincount(at, self.n, len(count)).astype(np.int64), "known": np.bincount(at, self.n > 0, len(count)).astype(np.int64)})
+
+    def replies(self, kid: int) -> pa.Table:
+        """Totals of the words that each bucket needs, in its order, and of its spread contexts with those of its own."""
+        at, data = 0, []
+        for pid, r in zip(self.pids, self.rows, strict=True):
+            own = self.at[at : at + len(r[0])]
+            at += len(r[0])
+            marks = r[4].tolist()
+            data.append(_pressed((_split(self.total[own[r[3]]]), [self.rooms[m] for m in marks], [self.own[m, pid] for m in marks])))
+        return pa.table([pa.array(self.pids, pa.int32()), pa.array([kid] * len(data), pa.int32()), pa.array(data, pa.binary())], names=["pid", "kid", "data"])
+
+
+REPLIED, HISTOGRAM = "pid int, kid int, data binary", "tables long, words long, n long, known long"
+
+
+def _replies_after(told: pa.Table, moved: pa.Table | None) -> pa.Table:
+    if not told.num_rows:
+        return pa.table([pa.array([], pa.int32()), pa.array([], pa.int32()), pa.array([], pa.binary())], names=["pid", "kid", "data"])
+    return Home(told, moved).replies(told.column("kid")[0].as_py())
+
+
+def _histogram_after(told: pa.Table, moved: pa.Table | None) -> pa.Table:
+    return Home(told, moved).histogram() if told.num_rows else pa.table({x: pa.array([], pa.int64()) for x in ("tables", "words", "n", "known")})
+
+
+def _replies(told: pa.Table) -> pa.Table:
+    return _replies_after(told, None)
+
+
+def _histogram(told: pa.Table) -> pa.Table:
+    return _histogram_after(told, None)
 
 
 def _buckets(table: pa.Table, layout: Layout) -> Iterator[tuple[int, Bucket]]:
@@ -424,26 +540,23 @@ def _tell(shipped):
         layout, _ = opened(shipped)
         for pid, bucket in _buckets(table, layout):
             return bucket.told(pid, (bucket.count > 0).astype(np.int64), True)
-        return pa.table({"key": pa.array([], pa.int64()), "pid": pa.array([], pa.int32()), "n": pa.array([], pa.int64()), "tables": pa.array([], pa.int64()), "need": pa.array([], pa.bool_()), "spread": pa.array([], pa.bool_())})
+        return pa.table([pa.array([], pa.int32()), pa.array([], pa.int32()), pa.array([], pa.binary())], names=["kid", "pid", "data"])
 
     return run
 
 
 class Answers:
-    """What a bucket was told: for its words and spread contexts the parent's probability and all tables."""
-
-    def __init__(self, table: pa.Table):
-        key = table.column("key").to_numpy().view(np.uint64)
-        order = np.argsort(key)
-        self.key = key[order]
-        self.p, self.total, self.here = (table.column(c).to_numpy()[order] for c in ("p", "total", "here"))
-        self.tokens, self.distinct = (int(table.column(c)[0].as_py()) for c in ("tokens", "distinct"))
+    """The parent's probability of all words that a bucket needs (elsewhere 0), and its spread contexts' other tables."""
 
-    def at(self, key: np.ndarray) -> np.ndarray:
-        found = np.searchsorted(self.key, key)
-        if len(key) and not (self.key[np.minimum(found, len(self.key) - 1)] == key).all():
-            raise RuntimeError("a bucket wasn't told all it asked for")
-        return found
+    def __init__(self, table: pa.Table, bucket: Bucket):
+        table = table.sort_by("kid")
+        count, p, self.tokens, self.distinct = _unpressed(table.column("data")[0].as_py())
+        told = [_unpressed(x) for x in table.column("data")[1:].to_pylist()]
+        total = np.concatenate([np.zeros(0, np.int64), *(_joined(x[0]) for x in told)])
+        self.p = np.zeros(len(bucket.key))
+        self.p[bucket.need] = p[np.searchsorted(count, total)]
+        rooms, own = (np.array([y for x in told for y in x[k]], float) for k in (1, 2))
+        self.elsewhere = rooms - own
 
 
 def _seated(bucket: Bucket, told: Answers, how: How, pid: int, sweeps: int, burn: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -451,10 +564,8 @@ def _seated(bucket: Bucket, told: Answers, how: How, pid: int, sweeps: int, burn
     many = np.flatnonzero(bucket.count > 1)
     start = (bucket.count > 0).astype(float)
     total = np.bincount(bucket.room, start, len(bucket.rooms))
-    at = told.at(mix(bucket.rooms[bucket.spread] ^ SPREAD))
-    held = np.zeros(len(total))
-    held[bucket.spread] = told.total[at] - told.here[at]
-    seats = Seats(bucket.room[many], bucket.count[many], told.p[told.at(bucket.second[many])], total + held, how.discount[1], how.strength[1])
+    total[bucket.spread] += told.elsewhere
+    seats = Seats(bucket.room[many], bucket.count[many], told.p[bucket.second_at[many]], total, how.discount[1], how.strength[1])
     rng = np.random.default_rng([how.seed, pid])
     mean, rooms = np.zeros(len(many)), np.zeros(len(total))
     for sweep in range(sweeps):
@@ -474,7 +585,7 @@ def _seat(shipped, sweeps: int):
     def run(asked: pa.Table, told: pa.Table) -> pa.Table:
         layout, how = opened(shipped)
         for pid, bucket in _buckets(asked, layout):
-            _, last, _ = _seated(bucket, Answers(told), how, pid, sweeps, 0)
+            _, last, _ = _seated(bucket, Answers(told, bucket), how, pid, sweeps, 0)
             return bucket.told(pid, last - (bucket.count > 0), False)
         return _tell(shipped)(asked)
 
@@ -491,18 +602,16 @@ def _answer(shipped):
         layout, how = opened(shipped)
         out = []
         for pid, bucket in _buckets(asked, layout):
-            answers = Answers(told)
+            answers = Answers(told, bucket)
             tables, _, rooms = _seated(bucket, answers, how, pid, how.sweeps, how.burn)
             left = np.where(bucket.count > 0, bucket.count - how.discount[1] * tables, 0.0).astype(np.float32)
-            at = answers.at(bucket.words)
-            room = np.minimum(np.searchsorted(bucket.rooms, bucket.words), max(0, len(bucket.rooms) - 1))
-            seen = (bucket.rooms[room] == bucket.words) if len(bucket.rooms) else np.zeros(len(bucket.words), bool)
-            back = np.where(bucket.own > 0, (how.strength[1] + how.discount[1] * np.where(seen, rooms[room] if len(rooms) else 0.0, 0.0)) / (how.strength[1] + bucket.own), 1.0)
+            room = rooms[np.searchsorted(bucket.rooms, bucket.words)]
+            back = np.where(bucket.own > 0, (how.strength[1] + how.discount[1] * room) / (how.strength[1] + bucket.own), 1.0)
             w = p = 0
             for block, x in zip(bucket.blocks, bucket.asked, strict=True):
                 own, pair = bucket.word_of[w : w + len(x.words)], bucket.pair_of[p : p + len(x.second)]
                 w, p = w + len(x.words), p + len(x.second)
-                data = _pressed((bucket.own[own], answers.p[at[own]], back[own], left[pair]))
+                data = _pressed((bucket.own[own], answers.p[bucket.word_at[own]], back[own], left[pair]))
                 to = int(mix(np.array([block], np.uint64))[0] % np.uint64(layout.buckets))
                 out.append((to, block, pid, answers.tokens, answers.distinct, data))
         names = [x.split()[0] for x in ANSWERED.split(", ")]
@@ -524,9 +633,10 @@ def _score(shipped):
             i, j = np.searchsorted(which, [name, name + 1])
             own, p, back, left = (np.concatenate(x) for x in zip(*[_unpressed(x) for x in answered.column("data")[i:j].to_pylist()], strict=True))
             tokens, distinct = (answered.column(c)[int(i)].as_py() for c in ("tokens", "distinct"))
-            number = sum(x.astype(np.int64) << 8 * k for k, x in enumerate(planes))
+            number = _joined(planes)
             offset = np.concatenate([[0], np.cumsum(size)]).astype(np.int64)
-            block = Block(words, number, offset, layout)
+            block = Block.numbered(_hashes(words, len(words) // 7), number, offset, layout)
+            number = block.number
             context, word = block.context[block.order], block.word[block.order]
             log = np.empty(len(left))
             log[block.order] = np.log10(left / (how.strength[1] + own[context]) + back[context] * p[word])
@@ -550,7 +660,8 @@ def _common(share: float):
         for batch in batches:
             for a, b in text_blocks(batch.column("text"), BLOCK):
                 tokens, _ = _tokens(batch.column("text").slice(a, b - a))
-                word, n = np.unique(tokens, return_counts=True)
+                word, at = _codes(tokens)
+                n = np.bincount(at)
                 often = n >= max(2, share / 2 * len(tokens))
                 yield pa.RecordBatch.from_arrays([pa.array(np.append(word[often], ~END).view(np.int64)), pa.array(np.append(n[often], len(tokens)))], ["word", "n"])
 
@@ -572,14 +683,14 @@ def _layout(docs: DataFrame, bucket_bytes: int) -> Layout:
 
 
 def _root(how: How):
-    """Probabilities of words by their count of tables, from the histogram of these; and the corpus' totals."""
+    """Probabilities of words by their count of tables, from the histogram of these, and the corpus' totals, in one row."""
 
     def run(table: pa.Table) -> pa.Table:
         tables, words, n, known = (table.column(c).to_numpy() for c in ("tables", "words", "n", "known"))
         order = np.argsort(tables)
         count, many = np.append(0, tables[order][tables[order] > 0]), np.append(1, words[order][tables[order] > 0])
         p = sample_parent(count, many, how.sweeps, how.burn, how.discount[0], how.strength[0], how.seed)
-        return pa.table({"total": count, "p": p, "tokens": np.full(len(count), n.sum()), "distinct": np.full(len(count), known.sum())})
+        return pa.table({"data": pa.array([_pressed((count, p, int(n.sum()), int(known.sum())))], pa.binary())})
 
     return run
 
@@ -593,29 +704,23 @@ def scores(docs: DataFrame, rounds: int = 2, sweeps: int = 6, burn: int = 2, dis
     docs = docs.select("doc_id", "text", "held_out")
     layout = _layout(docs, bucket_bytes)
     n, how = layout.buckets, How(sweeps, burn, discount, strength, seed)
-    context = docs.sparkSession.sparkContext
-    shipped = ship(context, (layout, how))
-    asked = docs.mapInArrow(_ask(ship(context, layout)), ASKED).repartitionById(n, "pid")
-    rows = asked.groupBy("pid").applyInArrow(_tell(shipped), TOLD).repartition(n, "key")
-    by_key = Window.partitionBy("key")
-    here = rows.select("key", "pid", "need", "spread", F.col("tables").alias("here"), F.sum("tables").over(by_key).alias("total"), F.sum("n").over(by_key).alias("n"), F.row_number().over(by_key.orderBy("pid")).alias("place"))
+    spark = docs.sparkSession
+    shipped = ship(spark.sparkContext, (layout, how))
+    # Exchanges that are read more than once only feed Python, so that no reader's columns make another one of them.
+    asked = docs.mapInArrow(_ask(ship(spark.sparkContext, layout)), ASKED).repartitionById(n, "pid")
+    told = asked.groupBy("pid").applyInArrow(_tell(shipped), TOLD).repartitionById(n, "kid")
     moved = None
     for r in range(rounds):
-        if moved is not None:
-            words = moved.groupBy("key").agg(F.sum("tables").alias("more"))
-            spread = moved.where("spread").groupBy("key", "pid").agg(F.sum("tables").alias("more_here"))
-            here_now = here.join(words, "key", "left").withColumn("total", F.col("total") + F.coalesce("more", F.lit(0)))
-            wide = here_now.where("spread").join(spread, ["key", "pid"], "left").withColumn("here", F.col("here") + F.coalesce("more_here", F.lit(0))).select("key", "pid", "need", "spread", "here", "total", "n", "place")
-            now = here_now.where("not spread").select("key", "pid", "need", "spread", "here", "total", "n", "place").union(wide)
+        if moved is None:
+            counted, replied = told.groupBy("kid").applyInArrow(_histogram, HISTOGRAM), told.groupBy("kid").applyInArrow(_replies, REPLIED)
         else:
-            now = here
-        histogram = now.where("not spread and place = 1").groupBy(F.col("total").alias("tables")).agg(F.count(F.lit(1)).alias("words"), F.sum("n").alias("n"), F.sum((F.col("n") > 0).cast("long")).alias("known"))
-        root = histogram.withColumn("one", F.lit(0)).groupBy("one").applyInArrow(_root(how), "total long, p double, tokens long, distinct long")
-        told = now.where("need and not spread").join(F.broadcast(root), "total").select("pid", "key", "p", "total", "here", "tokens", "distinct")
-        wide = now.where("need and spread").select("pid", "key", F.lit(0.0).alias("p"), "total", "here", F.lit(0).cast("long").alias("tokens"), F.lit(0).cast("long").alias("distinct"))
-        answers = told.union(wide).repartitionById(n, "pid").groupBy("pid")
+            counted, replied = (told.groupBy("kid").cogroup(moved.groupBy("kid")).applyInArrow(f, kind) for f, kind in ((_histogram_after, HISTOGRAM), (_replies_after, REPLIED)))
+        histogram = counted.groupBy("tables").agg(*[F.sum(c).alias(c) for c in ("words", "n", "known")])
+        root = histogram.withColumn("one", F.lit(0)).groupBy("one").applyInArrow(_root(how), "data binary")
+        everywhere = spark.range(n).crossJoin(F.broadcast(root)).select(F.col("id").cast("int").alias("pid"), F.lit(-1).alias("kid"), "data")
+        answers = replied.union(everywhere).repartitionById(n, "pid").groupBy("pid")
         if r + 1 < rounds:
-            moved = asked.groupBy("pid").cogroup(answers).applyInArrow(_seat(shipped, sweeps), TOLD).repartition(n, "key")
+            moved = asked.groupBy("pid").cogroup(answers).applyInArrow(_seat(shipped, sweeps), TOLD).repartitionById(n, "kid")
     answered = asked.groupBy("pid").cogroup(answers).applyInArrow(_answer(shipped), ANSWERED).repartitionById(n, "pid")
     return asked.groupBy("pid").cogroup(answered.groupBy("pid")).applyInArrow(_score(shipped), SCORED)
 
