@@ -43,7 +43,7 @@ END = np.uint64(0x5EED_0F_7E57_E4)
 SPREAD = np.uint64(0x7AB1_E5)
 #: Words go by 56 bits of their hash, which travel as 7 bytes.
 BITS = np.uint64((1 << 56) - 1)
-BLOCK, BUCKET = 16 << 20, 16 << 20
+BLOCK, BUCKET = 10 << 20, 12 << 20
 EXACT, FEW, STEPS, WIDTHS = 1024, 32, 24, (4, 8, 16, 64, 256, 1024)
 ASKED = "pid int, block long, payload boolean, data binary"
 TOLD = "kid int, pid int, data binary"
