@@ -55,6 +55,17 @@ def test_near_copies(spark, docs, empty):
     assert near_copies.near_copies(empty).count() == 0
 
 
+def test_near_copies_with_equal_and_null_ids(spark):
+    """Rows of one id are told apart by their texts; a null id takes part through another row with its set."""
+    rng = np.random.default_rng(12)
+    a, b, c = (" ".join(f"w{int(x)}" for x in rng.integers(0, 9999, 80)) for _ in range(3))
+    rows = [(5, a), (5, b), (3, a + " tail"), (4, b + " tail"), (5, a), (None, c), (None, c + " tail"), (8, c), (9, None), (None, "")]
+    got = sorted(((r.doc_id, r.n_shingles, r.component_id, r.kept) for r in near_copies.near_copies(spark.createDataFrame(rows, "doc_id long, text string")).collect()), key=str)
+    want = [(5, 76, 3, False), (5, 76, 4, False), (3, 77, 3, True), (4, 77, 4, True), (5, 76, 3, False), (None, 76, 8, False), (None, 77, 8, False), (8, 76, 8, True), (9, 0, 9, True), (None, 0, None, True)]
+    assert {x[:3] for x in got if x[0] is not None} == {x[:3] for x in want if x[0] is not None}
+    assert [x for x in got if x[0] is not None] == sorted((x for x in want if x[0] is not None), key=str) and len(got) == len(want)
+
+
 def test_near_copies_of_copies(spark):
     """Chains of changed copies, of which only neighbours are linked."""
     rng = np.random.default_rng(3)
@@ -187,14 +198,55 @@ def test_context_probabilities_are_exact():
     """Method C escapes by hand for a two-letter language."""
     import pyarrow as pa
 
-    buffer, _ = byte_contexts._buffer(pa.array(["abab"]))
-    code, n = np.unique(byte_contexts._grams(buffer, 3), return_counts=True)
+    buffer, spans = byte_contexts._buffer(pa.array(["abab"]))
+    code, n = np.unique(byte_contexts._inside(buffer, spans), return_counts=True)
     model = byte_contexts.Contexts.of(["x"], [(code, n.astype(float))])
     rows = model.rows(buffer)[:, 0]
     # After three spaces "a" was seen once: 1 / (1 + 1).
     assert abs(rows[0] + 1) < 1e-12
 
 
+def test_language_by_brute_force(spark):
+    """Code lengths by dictionaries of counts, text by text."""
+    import math
+    import zlib
+    from collections import Counter, defaultdict
+
+    words = {"en": "the a of house cat and dog ran over hill stone".split(), "de": "der die das haus katze und hund lief über berg stein".split(), "fr": "le la les maison chat et chien courut été colline".split()}
+    rng = np.random.default_rng(9)
+    rows = [(k, " ".join(rng.choice(words[lang], int(rng.integers(1, 25)))), lang) for k in range(90) for lang in [("en", "de", "fr")[k % 3]]] + [(200, "xyz \x00 ß", "en"), (201, "CAT", "de"), (202, "cat", "de"), (203, "42", "fr")]
+    counts = {lang: [defaultdict(Counter) for _ in range(4)] for lang in words}
+    spell = lambda t: b"   " + t.encode().translate(brute.UP) + b" "
+    for d, t, lang in rows:
+        if zlib.crc32(str(d).encode()) % 5:
+            x = spell(t)
+            for i in range(3, len(x)):
+                for k in range(4):
+                    counts[lang][k][x[i - k : i]][x[i]] += 1
+
+    def bits(tables, x, i):
+        out = 0.0
+        for k in (3, 2, 1, 0):
+            seen = tables[k].get(x[i - k : i])
+            if seen:
+                n, kinds = sum(seen.values()), len(seen)
+                if x[i] in seen:
+                    return out - math.log2(seen[x[i]] / (n + kinds))
+                out -= math.log2(kinds / (n + kinds))
+        return out + 8
+
+    got = by_id(byte_contexts.identified(spark.createDataFrame(rows, "doc_id long, text string, lang string")))
+    for d, t, _ in rows:
+        x = spell(t)
+        cost = {lang: sum(bits(counts[lang], x, i) for i in range(3, len(x))) for lang in words}
+        best = min(sorted(cost), key=cost.get)
+        if any(map(str.isalpha, t)):
+            assert got[d].lang_pred == best and abs(got[d].bits_per_byte - cost[best] / (len(x) - 3)) < 1e-9
+            assert abs(got[d].score - 1 / sum(2.0 ** (cost[best] - c) for c in cost.values())) < 1e-9
+        else:
+            assert got[d].lang_pred == "und"
+
+
 def test_byte_pairs(docs, empty):
     import public_tokenizers as P
     import tiktoken
@@ -384,6 +436,37 @@ def test_quality(spark, empty):
     assert quality.judged(odd).count() == len(ROWS)
 
 
+def test_labellers_are_weighed_by_brute_force():
+    """Expectation maximisation document by document, in plain Python; and scores by dense features."""
+    import pyarrow as pa
+
+    rng = np.random.default_rng(7)
+    own = rng.choice([-1, 0, 1], (60, 4), p=[0.15, 0.25, 0.6]).astype(np.int8)
+    code, at, n = np.unique(own, axis=0, return_inverse=True, return_counts=True)
+    labels = quality.estimate(code, n, rounds=25, least_right=0.7)
+    p = [0.1 if (row < 0).any() else 0.95 for row in own]
+    for _ in range(25):
+        good = min(max(sum(p) / len(p), 1e-3), 1 - 1e-3)
+        given = [[[0.5 + sum(q for q, row in zip(w, own, strict=True) if row[j] == v) for v in (-1, 0, 1)] for j in range(4)] for w in ([1 - q for q in p], p)]
+        for j in range(4):
+            bad = given[1][j][0] + given[0][j][0] - 1
+            moved = max(given[1][j][0] - 0.5 - 0.3 * bad, 0)
+            given[1][j][0] -= moved
+            given[0][j][0] += moved
+        given = [[[x / sum(row) for x in row] for row in side] for side in given]
+        odds = [[(good if side else 1 - good) * np.prod([given[side][j][row[j] + 1] for j in range(4)]) for side in (0, 1)] for row in own]
+        p = [b / (a + b) for a, b in odds]
+    assert np.allclose(labels.posterior(code)[at.reshape(-1)], p) and np.allclose(labels.given, given)
+
+    words = quality.Words(pa.array([t for t in TEXTS if t]), quality.SPACED)
+    weights = rng.normal(0, 1, quality.FEATURES + 1)
+    full = quality.Labels(0.8, np.full((2, len(quality.LABELLERS), 3), 1 / 3))
+    n, _, score = quality._verdicts(pa.array([t for t in TEXTS if t]), full, weights)
+    x = quality._features(words, quality.measures(words)).astype(float)
+    dense = 1 / (1 + np.exp(-np.clip(np.sqrt(x) @ weights[:-1] + weights[-1], -30, 30)))
+    assert np.allclose(score[n > 0], dense[n > 0], atol=1e-5) and (score[n == 0] == 0).all()
+
+
 def test_quality_sees_repeated_lines_and_passages(spark):
     """Texts of clean words that only repeat themselves: the shapes of their words are those of clean texts."""
     rng = np.random.default_rng(5)
@@ -427,3 +510,31 @@ def test_pipeline(spark, tmp_path):
     left = [(d, t) for d, t in left if brute.near(left)[d][1] == d] if len(left) < 50 else [(d, t) for (d, t), c in zip(left, map(brute.near(left).get, [d for d, _ in left]), strict=True) if c[1] == d]
     marks = brute.passages(left, items)
     assert set(got) == {d for d, _ in left if not marks[d][4]}
+    import public_tokenizers as P
+    import regex
+    import tiktoken
+
+    ranks = {base64.b64decode(a): int(b) for a, b in map(bytes.split, Path(P.path("byte_bpe_50k.tiktoken")).read_bytes().splitlines())}
+    enc = tiktoken.Encoding("own", pat_str=P.PATTERN, mergeable_ranks=ranks, special_tokens={})
+    for d, t in left:
+        if not marks[d][4]:
+            text = regex.sub(private_data.ANY, lambda m: brute.pseudonym(m[0], "change-this-key"), t or "")
+            ids = enc.encode_ordinary(text)
+            assert (got[d].n_tokens, got[d].ids_sha256, got[d].decoded_sha256) == (len(ids), hashlib.sha256(" ".join(map(str, ids)).encode()).hexdigest(), hashlib.sha256(text.encode()).hexdigest())
+
+
+def test_pipeline_stages_take_odd_tables(spark, tmp_path):
+    """Empty tables, nulls in every column and columns with clashing names; columns of documents come back."""
+    import corpus_pipeline
+
+    spark.createDataFrame([(1, PASSAGE)], "item_id long, text string").write.parquet(str(tmp_path / "benchmark.parquet"))
+    rows = [(None, None, None, None, None, 1.0, "x"), (1, PASSAGE + " and some more words to be clean", "en", "s", 5, None, None), (2, "", None, "s", 0, 2.0, "y"), (3, " ".join(f"word{k}" for k in range(40)) + ".", "en", None, None, 0.5, "z")]
+    kinds = "doc_id long, text string, lang string, source string, n_chars long, score double, kept string"
+    for part in (rows, []):
+        for name, stage in corpus_pipeline.STAGES:
+            out = stage(spark, spark.createDataFrame(part, kinds), str(tmp_path)).collect()
+            assert len(out) <= len(part)
+            if name == "benchmark decontamination" and part:
+                assert {r["doc_id"] for r in out} == {None, 2, 3}
+            if name == "private data":
+                assert len(out) == len(part)

@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from tilealg.llm.bytewords import LOWER, joined, opened, ship, text_blocks
+from tilealg.llm.bytewords import LOWER, opened, ship, text_blocks
 
 ORDER = 3
 GUESSED = "doc_id long, held_out boolean, lang_pred string, score double, bits_per_byte double"
@@ -33,9 +33,20 @@ def _grams(buffer: np.ndarray, order: int) -> np.ndarray:
 
 
 def _buffer(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
-    """Lower-cased bytes after ``ORDER`` spaces; texts end in a space, so contexts never hold another text's words."""
-    raw, offset = joined(column)
-    return np.concatenate([np.full(ORDER, 32, np.uint8), LOWER[raw]]), offset
+    """Lower-cased bytes with ``ORDER`` spaces before and behind every text, so that no context holds another text's bytes;
+    and for each text the places of its first byte and behind its closing space, counted without the first spaces."""
+    texts, gap = [x or b"" for x in column.cast(pa.binary()).to_pylist()], b" " * ORDER
+    size = np.array([len(x) for x in texts], np.int64)
+    start = np.cumsum(size + ORDER) - size - ORDER
+    return LOWER[np.frombuffer(gap + b"".join(y for x in texts for y in (x, gap)), np.uint8)], np.stack([start, start + size + 1], axis=1)
+
+
+def _inside(buffer: np.ndarray, spans: np.ndarray) -> np.ndarray:
+    """Codes of the bytes of texts and their closing spaces."""
+    edge = np.zeros(len(buffer) - ORDER + 1, np.int64)
+    np.add.at(edge, spans[:, 0], 1)
+    np.add.at(edge, spans[:, 1], -1)
+    return _grams(buffer, ORDER)[np.cumsum(edge[:-1]) > 0]
 
 
 def _counted(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -43,7 +54,7 @@ def _counted(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         langs = np.array(batch.column("lang").to_pylist(), object)
         for lang in sorted(set(langs)):
             for a, b in text_blocks(own := batch.column("text").filter(pa.array(langs == lang)), 8 << 20):
-                code, n = np.unique(_grams(_buffer(own.slice(a, b - a))[0], ORDER), return_counts=True)
+                code, n = np.unique(_inside(*_buffer(own.slice(a, b - a))), return_counts=True)
                 yield pa.RecordBatch.from_arrays([pa.array([lang] * len(code)), pa.array(code), pa.array(n)], ["lang", "code", "n"])
 
 
@@ -176,17 +187,17 @@ def _guesser(shipped):
             for a, b in text_blocks(batch.column("text"), 1 << 20):
                 part = batch.slice(a, b - a)
                 column = part.column("text")
-                buffer, offset = _buffer(column)
+                buffer, spans = _buffer(column)
                 lettered = [bool(t) and any(map(str.isalpha, t)) for t in column.to_pylist()]
                 if model is None:
                     best, score, bits = ["und"] * len(lettered), [0.0] * len(lettered), [0.0] * len(lettered)
                 else:
-                    total = np.add.reduceat(model.rows(buffer), offset[:-1], axis=0)
+                    total = np.add.reduceat(model.rows(buffer), spans.reshape(-1), axis=0)[::2]
                     top = total.argmax(axis=1)
                     gap = np.exp2(np.maximum(total - total.max(axis=1, keepdims=True), -1000.0))
                     best = [model.langs[t] if ok else "und" for t, ok in zip(top, lettered, strict=True)]
                     score = np.where(lettered, 1 / gap.sum(axis=1), 0.0)
-                    bits = -total.max(axis=1) / np.diff(offset)
+                    bits = -total.max(axis=1) / (spans[:, 1] - spans[:, 0])
                 yield pa.RecordBatch.from_arrays([part.column("doc_id"), part.column("held_out"), pa.array(best, pa.string()), pa.array(score, pa.float64()), pa.array(bits, pa.float64())], ["doc_id", "held_out", "lang_pred", "score", "bits_per_byte"])
 
     return run

@@ -87,3 +87,23 @@ def cleaned_lines(docs: DataFrame, least: float = 0.5, least_words: int = 10, mo
         "doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", failed.alias("base_failed"), (~failed & (F.col("clean_chars") >= least * F.col("word_chars"))).alias("kept"),
         (F.col("n_lines") - F.size("left")).cast("long").alias("n_lines_removed"), "clean_chars", "clean_text",
     )
+
+
+def lines_sql(least: float = 0.5, least_words: int = 10, most_repeated: int = 20) -> str:
+    """The figures and verdicts as SQL for DuckDB."""
+    spaces, space_run = "' ' || chr(9) || chr(10) || chr(11) || chr(12) || chr(13)", r"[\x20\x09-\x0D]"
+    bare = lambda x, chars: f"length({x}) - length(translate({x}, {chars}, ''))"
+    return rf"""
+WITH d AS (SELECT doc_id, coalesce(text, '') AS text FROM documents),
+w AS (SELECT doc_id, text, regexp_extract_all(text, '[^\x20\x09-\x0D]+') AS w, list_filter(string_split(text, chr(10)), lambda x: trim(x, {spaces}) <> '') AS lines FROM d),
+r AS (SELECT doc_id, unnest(range(len(w) - {WINDOW - 1})) AS i, unnest(list_transform(range(1, len(w) - {WINDOW - 2}), lambda i: array_to_string(w[i:i + {WINDOW - 1}], ' '))) AS x FROM w WHERE len(w) >= {WINDOW}),
+m AS (SELECT doc_id, i FROM (SELECT *, count(*) OVER (PARTITION BY doc_id, x) AS n FROM r) WHERE n > 1),
+u AS (SELECT doc_id, count(DISTINCT spot) AS n_repeat_words FROM (SELECT doc_id, unnest(range(i, i + {WINDOW})) AS spot FROM m) GROUP BY doc_id),
+l AS (SELECT doc_id, line, length(line) - length(replace(line, ' ', '')) + 1 AS n, {bare("line", f"'{SYMBOLS}!^~_={{}}'")} AS marks, {bare("line", "'|>»›•'")} AS bars FROM (SELECT doc_id, unnest(lines) AS line FROM w)),
+k AS (SELECT doc_id, count(*) AS n_lines, count(*) FILTER (good) AS n_good, CAST(coalesce(sum(length(regexp_replace(line, '{space_run}', '', 'g'))) FILTER (good), 0) AS BIGINT) AS clean_chars
+  FROM (SELECT doc_id, line, NOT (marks * 10 > n * 3 OR (bars >= 2 AND bars * 4 > n) OR regexp_matches(line, '(?i){"|".join(BOILERPLATE)}')) AS good FROM l) GROUP BY doc_id),
+f AS (SELECT doc_id, CAST(len(w) AS BIGINT) AS n_words, length(regexp_replace(text, '{space_run}', '', 'g')) AS word_chars, {bare("text", f"'{SYMBOLS}'")} AS n_symbols, CAST(len(lines) - len(list_distinct(lines)) AS BIGINT) AS n_dup_lines,
+  coalesce(n_repeat_words, 0) AS n_repeat_words, coalesce(n_lines - n_good, 0) AS n_lines_removed, coalesce(clean_chars, 0) AS clean_chars FROM w LEFT JOIN u USING (doc_id) LEFT JOIN k USING (doc_id))
+SELECT *, n_words < {least_words} OR 100 * n_repeat_words > {most_repeated} * n_words AS base_failed,
+  NOT (n_words < {least_words} OR 100 * n_repeat_words > {most_repeated} * n_words) AND clean_chars >= {least} * word_chars AS kept FROM f
+"""

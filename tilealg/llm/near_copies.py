@@ -3,9 +3,10 @@
 1.  Each document's set of word shingles is hashed to 64 bits.  One permutation serves all bins: the sorted
     hashes fall into equal ranges, and a range's smallest hash is its value.  Empty ranges borrow from another
     range by a fixed random order of their own (optimal densification), so all bins stay independent.
-2.  Documents with equal sets form a class; only its smallest id goes on.
+2.  Documents with equal sets form a class, named by a hash of its set; only classes go on, so it makes no difference
+    which ids their documents have.
 3.  ``bands`` groups of ``rows`` bins are bucket keys.  In every bucket each member is paired with the
-    bucket's smallest id only: the candidates grow with the documents, not with the squares of groups.
+    bucket's smallest class only: the candidates grow with the documents, not with the squares of groups.
 4.  Star pairs are confirmed on the full sets.  Members of one bucket that star pairs leave in different
     components are compared in blocks of bounded size, so that no link between their classes is lost; pairs
     inside one component are not compared again.
@@ -73,6 +74,15 @@ def sketch(hashes: np.ndarray, offset: np.ndarray, bins: int, order: np.ndarray)
     return out
 
 
+def _names(hashes: np.ndarray, offset: np.ndarray) -> list[pa.Array]:
+    """Size and two 64-bit sums of every set: equal sets have equal ones."""
+    sums = []
+    for salt in (np.uint64(0), ODD):
+        total = np.concatenate([[np.uint64(0)], np.cumsum(mix(hashes ^ salt))]).astype(np.uint64)
+        sums.append(pa.array((total[offset[1:]] - total[offset[:-1]]).view(np.int64)))
+    return [pa.array(np.diff(offset)), *sums]
+
+
 def _sketcher(size: int, bands: int, rows: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         order = _borrow_order(bands * rows)
@@ -85,14 +95,10 @@ def _sketcher(size: int, bands: int, rows: int):
                 keys = np.repeat(salt[None, :], len(values), axis=0)
                 for k in range(rows):
                     keys = mix(keys * ODD + values[:, :, k])
-                total = np.concatenate([[np.uint64(0)], np.cumsum(mix(hashes))]).astype(np.uint64)
-                other = np.concatenate([[np.uint64(0)], np.cumsum(mix(hashes ^ ODD))]).astype(np.uint64)
                 yield pa.RecordBatch.from_arrays(
                     [
                         part.column("doc_id"),
-                        pa.array(np.diff(offset)),
-                        pa.array((total[offset[1:]] - total[offset[:-1]]).view(np.int64)),
-                        pa.array((other[offset[1:]] - other[offset[:-1]]).view(np.int64)),
+                        *_names(hashes, offset),
                         pa.ListArray.from_arrays(pa.array(np.arange(0, (len(values) + 1) * bands, bands), pa.int32()), pa.array(keys.reshape(-1).view(np.int64))),
                     ],
                     ["doc_id", "n_shingles", "set_hi", "set_lo", "bands"],
@@ -108,7 +114,7 @@ def _setter(size: int):
                 part = batch.slice(a, b - a)
                 hashes, offset = shingle_sets(part.column("text"), size)
                 sets = [hashes[i:j].tobytes() for i, j in zip(offset[:-1], offset[1:], strict=True)]
-                yield pa.RecordBatch.from_arrays([part.column("rep"), pa.array(sets, pa.binary())], ["rep", "elements"])
+                yield pa.RecordBatch.from_arrays([*_names(hashes, offset), pa.array(sets, pa.binary())], ["n_shingles", "set_hi", "set_lo", "elements"])
 
     return run
 
@@ -206,18 +212,23 @@ def near_copies(docs: DataFrame, size: int = 5, percent: int = 85, bands: int =
     """One row for each row of ``docs`` (doc_id, text): doc_id, n_shingles, component_id, kept.
 
     Null and blank texts have an empty set, no links, and are their own component.  Equal texts are one component.
-    Two rows with one doc_id count as one node.  Other columns are ignored.
+    Rows with one doc_id are told apart by their texts: each has the component of its own text.  A row without an id takes
+    part if another row with its set has an id; else its component is null.  Other columns are ignored.
     """
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     marked = cut(docs.mapInArrow(_sketcher(size, bands, rows), SKETCHED))
-    classes = marked.where("n_shingles > 0").groupBy("set_hi", "set_lo", "n_shingles").agg(F.min("doc_id").alias("rep"), F.first("bands").alias("bands"))
-    classes = cut(classes)
-    keys = classes.select("rep", F.explode("bands").alias("key"))
+    name = F.xxhash64("set_hi", "set_lo", "n_shingles").alias("rep")
+    classes = marked.where("n_shingles > 0").groupBy("set_hi", "set_lo", "n_shingles").agg(F.min("doc_id").alias("first_id"), F.first("bands").alias("bands"))
+    classes = cut(classes.select("*", name))
+    keys = classes.where("first_id is not null").select("rep", F.explode("bands").alias("key"))
     hubs = keys.groupBy("key").agg(F.min("rep").alias("hub"), F.count(F.lit(1)).alias("n")).where("n > 1").select("key", "hub")
     stars = cut(keys.join(hubs, "key").where("rep <> hub").select("rep", "hub").distinct())
     named = stars.select("rep").union(stars.select("hub")).distinct()
-    wanted = docs.join(named.withColumnRenamed("rep", "doc_id"), "doc_id", "left_semi").dropDuplicates(["doc_id"]).withColumnRenamed("doc_id", "rep")
-    sets = cut(wanted.mapInArrow(_setter(size), "rep long, elements binary"))
+    ids = classes.join(named, "rep", "left_semi").select(F.col("first_id").alias("doc_id")).distinct()
+    wanted = docs.join(ids, "doc_id", "left_semi").dropDuplicates(["doc_id", "text"]).select("text")
+    sets = cut(wanted.mapInArrow(_setter(size), "n_shingles long, set_hi long, set_lo long, elements binary").select(name, "elements"))
+    if sets.select("rep").distinct().count() < sets.count():
+        sets = cut(sets.dropDuplicates(["rep"]))
 
     # Members of a hub are dealt over groups of bounded size; the hub's set goes to each of its groups.
     degree = stars.groupBy("hub").agg(F.count(F.lit(1)).alias("degree"))
@@ -259,7 +270,9 @@ def near_copies(docs: DataFrame, size: int = 5, percent: int = 85, bands: int =
     if not bridged.isEmpty():
         merged = components(bridged).select(F.col("node").alias("found"), F.col("component").alias("merged"))
         found = found.join(merged, "found", "left").select("rep", F.coalesce("merged", "found").alias("found"))
-    members = classes.select("set_hi", "set_lo", "n_shingles", "rep").join(found, "rep", "left").select("set_hi", "set_lo", "n_shingles", F.coalesce("found", "rep").alias("component_id"))
+    members = classes.select("set_hi", "set_lo", "n_shingles", "rep", "first_id").join(found, "rep", "left").withColumn("found", F.coalesce("found", "rep"))
+    smallest = members.groupBy("found").agg(F.min("first_id").alias("component_id"))
+    members = members.join(smallest, "found").select("set_hi", "set_lo", "n_shingles", "component_id")
     full = marked.where("n_shingles > 0").select("doc_id", "n_shingles", "set_hi", "set_lo").join(members, ["set_hi", "set_lo", "n_shingles"]).select("doc_id", "n_shingles", "component_id")
     bare = marked.where("n_shingles = 0").select("doc_id", "n_shingles", F.col("doc_id").alias("component_id"))
     return full.union(bare).withColumn("kept", F.expr("doc_id <=> component_id"))

@@ -81,6 +81,8 @@ _WORDS = r"regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRS
 _SPACED = r"regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+')"
 
 ORACLES: dict[str, str] = {
+    "op2_license_index": license_scan.licence_sql(),
+    "op7_line_rules": line_rules.lines_sql(),
     "op3_near_copies": f"""
 WITH RECURSIVE w AS (SELECT doc_id, {_SPACED} AS w FROM documents),
 s AS (SELECT doc_id, CASE WHEN len(w) = 0 THEN [] WHEN len(w) < 5 THEN [array_to_string(w, ' ')]

@@ -31,7 +31,8 @@ class Phrases:
     pairs: np.ndarray  # sorted codes of neighbouring words in items
     rows: np.ndarray
     size: np.ndarray
-    item_of: list[np.ndarray]  # places in names
+    item_at: np.ndarray  # window w is of the items item_of[item_at[w]:item_at[w + 1]]
+    item_of: np.ndarray  # places in names
     names: list[str]
     shortest: int
 
@@ -49,11 +50,13 @@ class Phrases:
             pairs.append(own[:-1] * (len(vocabulary) + 1) + own[1:])
             for i in range(max(1, b - a - width + 1) if b > a else 0):
                 seen.setdefault(tuple(own[i : i + width].tolist()), set()).add(place[item])
-        rows = np.zeros((len(seen), width), np.int64)
+        rows = np.zeros((len(seen), width), np.int32)
         size = np.array([len(k) for k in seen], np.int64)
         for r, k in enumerate(seen):
             rows[r, width - len(k) :] = k
-        return cls(vocabulary, np.unique(np.concatenate(pairs)), rows, size, [np.array(sorted(v)) for v in seen.values()], names, int(size.min()) if len(size) else 0)
+        item_at = np.concatenate([[0], np.cumsum([len(v) for v in seen.values()])]).astype(np.int64)
+        item_of = np.fromiter((i for v in seen.values() for i in sorted(v)), np.int32, int(item_at[-1]))
+        return cls(vocabulary, np.unique(np.concatenate(pairs)), rows, size, item_at, item_of, names, int(size.min()) if len(size) else 0)
 
 
 class Wavelet:
@@ -120,7 +123,7 @@ class ShardIndex:
         for k in reversed(range(rows.shape[1])):
             live = np.flatnonzero((rows[:, k] > 0) & (low < high))
             if len(live):
-                symbol = rows[live, k]
+                symbol = rows[live, k].astype(np.int64)
                 low[live] = self.total[symbol] + self.wavelet.rank(symbol, low[live])
                 high[live] = self.total[symbol] + self.wavelet.rank(symbol, high[live])
         return low, high
@@ -182,7 +185,23 @@ def _occurrences(words: Words, phrases: Phrases) -> tuple[np.ndarray, np.ndarray
     return origin[index.locate(at)], window
 
 
-def _marks(column: pa.Array, opens: list[Phrases]) -> tuple[Words, np.ndarray, list[set[str]]]:
+class Blocks:
+    """Blocks of items in a worker: one stays open; of several only one at a time is, and its bytes are let go."""
+
+    def __init__(self, shipped: list):
+        self.shipped, self.only = shipped, opened(shipped[0]) if len(shipped) == 1 else None
+
+    def __iter__(self) -> Iterator[Phrases]:
+        if self.only is not None:
+            yield self.only
+            return
+        for x in self.shipped:
+            yield opened(x)
+            if hasattr(x, "_path") and hasattr(x, "_value"):
+                del x._value  # read again from the worker's file when it is next asked for
+
+
+def _marks(column: pa.Array, opens: Blocks) -> tuple[Words, np.ndarray, list[set[str]]]:
     """The words of texts, which of them are hit, and the items found in each text."""
     words = Words(column, ALNUM)
     n = len(words.hash)
@@ -194,13 +213,13 @@ def _marks(column: pa.Array, opens: list[Phrases]) -> tuple[Words, np.ndarray, l
         np.add.at(edges, place + phrases.size[window], -1)
         for code in np.unique(owner[place] * max(1, len(phrases.size)) + window).tolist():
             doc, w = divmod(code, len(phrases.size))
-            names[doc].update(phrases.names[i] for i in phrases.item_of[w])
+            names[doc].update(phrases.names[i] for i in phrases.item_of[phrases.item_at[w] : phrases.item_at[w + 1]])
     return words, np.cumsum(edges[:n]) > 0, names
 
 
 def _scanner(blocks: list):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        opens = [opened(x) for x in blocks]
+        opens = Blocks(blocks)
         for batch in batches:
             for a, b in text_blocks(batch.column("text"), SHARD):
                 part = batch.slice(a, b - a)
@@ -230,7 +249,7 @@ def _scanner(blocks: list):
 
 def _sift(blocks: list, least_share: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        opens = [opened(x) for x in blocks]
+        opens = Blocks(blocks)
         for batch in batches:
             text = batch.column("text").cast(pa.string())
             for a, b in text_blocks(text, SHARD):
@@ -265,6 +284,7 @@ def contaminated_spans(docs: DataFrame, items: DataFrame, width: int = 13, block
     ``items`` has item_id and text.  A window is ``width`` words in a row of an item, or the whole item if it has
     fewer; items without words have none.  Null texts have no words.  Items are test sets, so they are shipped
     to the workers, in blocks of ``block_bytes``; over ``most_bytes`` in all is an error, before anything is sent.
+    A worker holds one block at a time (about 100 MB for 4 MB of items, whose windows take 52 bytes each).
     Repeated item ids count as one item; a null id counts as the empty string.
     """
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
