@@ -34,11 +34,25 @@ def stage_times(a: Cells, b: Cells, grid: TileGrid, placement: str, path: str) -
     return {"partition": cut, "compute": timed(lambda: sum_partials(multiply_tiles(group_tiles(read(f"{path}/left"), read(f"{path}/right"), placement, workers_of(a.spark))), placement != "random"))}
 
 
-def intermediate_counts(a: Cells, b: Cells, grid: TileGrid) -> DataFrame:
-    """(copied, partials): tagged input cells, and partial cells before the final sum."""
+#: Bytes of a tagged cell (piece, cell, value) and of a partial one on their way through an exchange.
+TAGGED_BYTES, PARTIAL_BYTES = 3 * 4 + 3 * 8, 2 * 4 + 3 * 8
+
+
+def intermediate_counts(a: Cells, b: Cells, grid: TileGrid, placement: str = "tile", workers: int | None = None) -> DataFrame:
+    """(copied, partials, moved, moved_bytes): tagged input cells, partial cells before the final sum, and what is sent
+    between workers.
+
+    A worker sums the partials that it made of a cell; under row and tile placement these are all, so none is sent.
+    Under random placement those go to the worker of the cell's tile that are not there already.
+    """
+    workers = workers or workers_of(a.spark)
     copied = tag_left(a, grid).agg(F.count(F.lit(1)).alias("n")).crossJoin(tag_right(b, grid).agg(F.count(F.lit(1)).alias("m"))).select((F.col("n") + F.col("m")).alias("copied"))
-    partials = multiply_tiles(group_tiles(tag_left(a, grid), tag_right(b, grid), "tile", workers_of(a.spark))).agg(F.count(F.lit(1)).alias("partials"))
-    return copied.crossJoin(partials)
+    parts = multiply_tiles(group_tiles(tag_left(a, grid), tag_right(b, grid), placement, workers))
+    if placement == "random":
+        own = parts.groupBy("pid", "alpha", "beta", "i", "j").agg(F.count(F.lit(1)).alias("n")).agg(F.coalesce(F.sum("n"), F.lit(0)).alias("partials"), F.count(F.when(F.col("pid") != shard("tile", workers), 1)).alias("moved"))
+    else:
+        own = parts.agg(F.count(F.lit(1)).alias("partials"), F.lit(0).cast("long").alias("moved"))
+    return copied.crossJoin(own).withColumn("moved_bytes", F.col("copied") * TAGGED_BYTES + F.col("moved") * PARTIAL_BYTES)
 
 
 def placement_balance(tags: DataFrame, placement: str, workers: int) -> DataFrame:
@@ -47,12 +61,11 @@ def placement_balance(tags: DataFrame, placement: str, workers: int) -> DataFram
 
 
 def local_fraction(a: Cells, b: Cells, grid: TileGrid, placement: str, workers: int) -> float:
-    """Share of partial cells that already lie where their sum is made (by a hash of alpha, beta)."""
+    """Share of partial cells that already lie where their sum is made (that of their tile)."""
     parts = multiply_tiles(group_tiles(tag_left(a, grid), tag_right(b, grid), placement, workers))
     if placement != "random":
         return 1.0
-    home = F.pmod(F.hash("alpha", "beta"), F.lit(workers)).cast("int")
-    return parts.agg(F.avg((F.col("pid") == home).cast("double"))).first()[0] or 0.0
+    return parts.agg(F.avg((F.col("pid") == shard("tile", workers)).cast("double"))).first()[0] or 0.0
 
 
 def density(a: Cells) -> float:

@@ -146,7 +146,10 @@ def dictionary(keys: DataFrame, name: str) -> DataFrame:
     them, so no task holds all keys."""
     from pyspark.sql import Window
 
+    from tilealg.operators.iterate import cut
+
     keys = keys.select(F.col(name).alias("key")).where("key is not null").distinct()
-    ranged = keys.repartitionByRange("key").withColumn("part", F.spark_partition_id()).persist()
+    # Written, as a range sample that is taken again after a loss could place keys otherwise.
+    ranged = cut(keys.repartitionByRange("key").withColumn("part", F.spark_partition_id()))
     before = ranged.groupBy("part").count().withColumn("first", F.coalesce(F.sum("count").over(Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)))
     return ranged.join(F.broadcast(before.select("part", "first")), "part").select("key", (F.row_number().over(Window.partitionBy("part").orderBy("key")) - 1 + F.col("first")).cast("long").alias("idx"))

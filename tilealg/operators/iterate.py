@@ -20,25 +20,50 @@ CUT_EVERY = 1
 
 
 def cut(df: DataFrame) -> DataFrame:
-    """The same rows, written to the checkpoint folder that the session names (a temporary one if none is named)."""
+    """The same rows, written to the checkpoint folder that the session names.
+
+    Where none is named, a session on one machine gets a temporary one; on a cluster that is an error, as executors
+    would not share it.
+    """
     spark = df.sparkSession
-    if not spark.sparkContext._jsc.sc().getCheckpointDir().isDefined():
-        spark.sparkContext.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="tilealg-"))
+    context = spark.sparkContext
+    if not context._jsc.sc().getCheckpointDir().isDefined():
+        folder = spark.conf.get("spark.checkpoint.dir", None)
+        if not folder and not context.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that all machines share")
+        context.setCheckpointDir(folder or tempfile.mkdtemp(prefix="tilealg-"))
     return df.checkpoint(eager=True)
 
 
+def forget(df: DataFrame) -> None:
+    """Deletes the files of a state that ``cut`` made and nothing reads any more."""
+    plan = df._jdf.queryExecution().analyzed()
+    if plan.getClass().getSimpleName() != "LogicalRDD" or not plan.rdd().getCheckpointFile().isDefined():
+        return
+    spark = df.sparkSession
+    path = spark._jvm.org.apache.hadoop.fs.Path(plan.rdd().getCheckpointFile().get())
+    path.getFileSystem(spark._jsparkSession.sessionState().newHadoopConf()).delete(path, True)
+
+
 def run(step: Callable[[DataFrame], DataFrame], state: DataFrame, rounds: int, distance: Callable[[DataFrame, DataFrame], float] | None = None, tol: float | None = None, trace: list | None = None, every: int = CUT_EVERY) -> DataFrame:
-    """Applies ``step`` so many times, or until ``distance`` of two states is within ``tol``."""
+    """Applies ``step`` so many times, or until ``distance`` of two states is within ``tol``.
+
+    A state's files are deleted once the next state has been written; the first state is the caller's.
+    """
+    written = []
     for r in range(rounds):
         after = step(state)
         if tol is not None or (r + 1) % every == 0:
             after = cut(after)
+            written.append(after)
         if distance is not None and (tol is not None or trace is not None):
             moved = distance(state, after)
             if trace is not None:
                 trace.append(moved)
             if tol is not None and moved <= tol:
                 return after
+        while len(written) > 1:
+            forget(written.pop(0))
         state = after
     return state
 

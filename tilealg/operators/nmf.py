@@ -16,6 +16,7 @@ from pyspark.sql import functions as F
 from tilealg.operators.cells import Cells, ratio
 from tilealg.operators.generate import random_factor
 from tilealg.operators.iterate import cut
+from tilealg.operators.product import tiled_product, workers_of
 
 
 def _sum_vectors(weighted: str, k: int):
@@ -28,17 +29,28 @@ def _rank(factor: DataFrame) -> int:
     return row[0] if row else 0
 
 
-def nmf_x(w: DataFrame, a: Cells) -> DataFrame:
+def nmf_x(w: DataFrame, a: Cells, k: int | None = None) -> DataFrame:
     """(i, vec): columns of W^T A, as rows by column of A.  The k-vectors are never cut."""
-    k = _rank(w)
+    k = k or _rank(w)
     joined = a.df.join(w.withColumnRenamed("i", "row"), a.df.i == F.col("row")).select(F.col("j").alias("i"), F.transform("vec", lambda x: x * F.col("v")).alias("xv"))
     summed = joined.groupBy("i").agg(*_sum_vectors("xv", k))
     return summed.select("i", F.array(*[f"x{r}" for r in range(k)]).alias("vec"))
 
 
-def gram(factor: DataFrame) -> np.ndarray:
+def nmf_x_tiled(w: DataFrame, a: Cells, k: int | None = None, **how) -> Cells:
+    """W^T A as a tiled product, k by columns of A, on the planner's ``tall`` grid: the long inner edge is cut, the
+    factor's short edge stays whole."""
+    from tilealg.plans.planner import preset
+
+    k = k or _rank(w)
+    left = w.select(F.posexplode("vec").alias("r", "v"), "i").select(F.col("r").cast("long").alias("i"), F.col("i").alias("j"), "v")
+    workers = workers_of(a.spark)
+    return tiled_product(Cells(left, k, a.rows), a, preset("tall", k, a.rows, a.cols, workers), "random", workers=workers, **how)
+
+
+def gram(factor: DataFrame, k: int | None = None) -> np.ndarray:
     """Factor^T factor: k x k sums on the driver.  A group for each row of it, as k^2 sums in one are too many to compile."""
-    k = _rank(factor)
+    k = k or _rank(factor)
     places = factor.select("vec", F.posexplode("vec").alias("r", "x"))
     sums = [F.sum(F.col("x") * F.element_at("vec", s + 1)) for s in range(k)]
     out = np.zeros((k, k))
@@ -74,13 +86,14 @@ def nmf_apply_local(h: DataFrame, x: DataFrame, y: DataFrame, eps: float = 1e-12
     return h.sparkSession.createDataFrame(rows, "i long, vec array<double>")
 
 
-def nmf_update_h(a: Cells, w: DataFrame, ht: DataFrame, eps: float = 1e-12) -> DataFrame:
-    return nmf_apply(ht, nmf_x(w, a), nmf_y(gram(w), ht), eps)
+def nmf_update_h(a: Cells, w: DataFrame, ht: DataFrame, eps: float = 1e-12, k: int | None = None) -> DataFrame:
+    k = k or _rank(w)
+    return nmf_apply(ht, nmf_x(w, a, k), nmf_y(gram(w, k), ht), eps)
 
 
-def nmf_update_w(a: Cells, w: DataFrame, ht: DataFrame, eps: float = 1e-12) -> DataFrame:
+def nmf_update_w(a: Cells, w: DataFrame, ht: DataFrame, eps: float = 1e-12, k: int | None = None) -> DataFrame:
     """The same with the roles of the factors changed."""
-    return nmf_update_h(a.t, ht, w, eps)
+    return nmf_update_h(a.t, ht, w, eps, k)
 
 
 def nmf_divergence(a: Cells, w: DataFrame, ht: DataFrame) -> float:
@@ -108,9 +121,9 @@ def nmf(a: Cells, k: int, iters: int, seed: int = 17, init: tuple[DataFrame, Dat
     for _ in range(iters):
         for which in order:
             if which == "H":
-                ht = cut(nmf_update_h(a, w, ht, eps))
+                ht = cut(nmf_update_h(a, w, ht, eps, k))
             else:
-                w = cut(nmf_update_w(a, w, ht, eps))
+                w = cut(nmf_update_w(a, w, ht, eps, k))
             if trace is not None:
                 trace.append(nmf_divergence(a, w, ht))
     return w, ht

@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from tilealg.operators.iterate import cut, l1, run
+from tilealg.operators.product import workers_of
 
 
 def transition(edges: DataFrame, weighted: bool = False, dedup: bool = True, self_loops: str = "keep") -> DataFrame:
@@ -31,31 +32,36 @@ def nodes_of(edges: DataFrame) -> DataFrame:
     return edges.select(F.col("src").alias("id")).union(edges.select(F.col("dst").alias("id"))).distinct()
 
 
-def pagerank(edges: DataFrame, nodes: DataFrame | None = None, d: float | None = 0.85, iters: int = 100, tol: float | None = None, dangling: str = "uniform", weighted: bool = False, dedup: bool = True, self_loops: str = "keep", trace: list | None = None) -> DataFrame:
+def pagerank(edges: DataFrame, nodes: DataFrame | None = None, d: float | None = 0.85, iters: int = 100, tol: float | None = None, dangling: str = "uniform", weighted: bool = False, dedup: bool = True, self_loops: str = "keep", trace: list | None = None, parts: int | None = None) -> DataFrame:
     """(id, r) after ``iters`` steps from the uniform vector.  d=None is the plain power method.
 
     dangling: pages without links give their rank to all pages (``uniform``: ranks sum to 1), to nobody (``drop``),
-    or keep it (``self``).  Ranks and links meet by a join on the source, so neither has to fit a machine.
+    or keep it (``self``).  Links are dealt over ``parts`` by their source once, pages and ranks by their id alike, so a
+    step only exchanges what pages send to each other, combined before it is sent, and one number for dangling pages.
     """
     if dangling not in ("uniform", "drop", "self"):
         raise ValueError("dangling is uniform, drop or self")
-    p = cut(transition(edges, weighted, dedup, self_loops))
+    spark = edges.sparkSession
+    parts = parts or workers_of(spark)
+    shares = transition(edges, weighted, dedup, self_loops)
+    p = cut(shares.select("src", "dst", "p").repartition(parts, "src"))
     ids = (nodes if nodes is not None else nodes_of(edges)).select("id").distinct()
-    nodes = cut(ids.join(p.select(F.col("src").alias("id")).distinct().withColumn("links", F.lit(True)), "id", "left"))
+    known = ids.join(p.select(F.col("src").alias("id")).distinct().withColumn("links", F.lit(True)), "id", "left")
+    nodes = cut(known.repartition(parts, "id"))
     n = nodes.count()
-    ranks = nodes.select(F.col("id").alias("i"), F.lit(1.0 / max(n, 1)).alias("v"))
+    ranks = nodes.select(F.col("id").alias("i"), F.lit(1.0 / max(n, 1)).alias("v"), "links")
 
     def step(r: DataFrame) -> DataFrame:
-        got = p.join(r, p.src == r.i).groupBy(F.col("dst").alias("id")).agg(F.sum(F.col("p") * F.col("v")).alias("got"))
-        told = nodes.join(r.withColumnRenamed("i", "id"), "id").select("id", "links", "v")
-        base = told.join(got, "id", "left").withColumn("got", F.coalesce("got", F.lit(0.0)))
+        sent = p.join(r, p.src == r.i).select(F.col("dst").alias("to"), (F.col("p") * F.col("v")).alias("got"))
+        got = sent.groupBy("to").agg(F.sum("got").alias("got")).repartition(parts, "to")
+        base = r.join(got, r.i == F.col("to"), "left").select("i", "v", "links", F.coalesce("got", F.lit(0.0)).alias("got"))
         if dangling == "self":
             base = base.withColumn("got", F.col("got") + F.when(F.col("links").isNull(), F.col("v")).otherwise(0.0))
         if dangling == "uniform":
-            lost = told.where("links is null").agg((F.coalesce(F.sum("v"), F.lit(0.0)) / n).alias("lost"))
+            lost = r.where("links is null").agg((F.coalesce(F.sum("v"), F.lit(0.0)) / n).alias("lost"))
             base = base.crossJoin(F.broadcast(lost)).withColumn("got", F.col("got") + F.col("lost"))
         new = F.col("got") if d is None else (1 - d) / n + d * F.col("got")
-        return base.select(F.col("id").alias("i"), new.alias("v"))
+        return base.select("i", new.alias("v"), "links")
 
     return run(step, ranks, iters, l1, tol, trace).select(F.col("i").alias("id"), F.col("v").alias("r"))
 
@@ -90,8 +96,8 @@ def loglog_slope(curve: DataFrame) -> float:
 
 
 def normal_quantile(p):
-    """Quantile of the normal distribution for a probability column, to about 1e-9: a rational start (public
-    approximation with the constants below) and no further step."""
+    """Quantile of the normal distribution for a probability column, to about 1e-9, by a published rational
+    approximation with the constants below."""
     # Coefficients of a published rational approximation (central part, then tails).
     a = (-3.969683028665376e1, 2.209460984245205e2, -2.759285104469687e2, 1.383577518672690e2, -3.066479806614716e1, 2.506628277459239)
     b = (-5.447609879822406e1, 1.615858368580409e2, -1.556989798598866e2, 6.680131188771972e1, -1.328068155288572e1, 1.0)

@@ -6,6 +6,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+from pyspark import Broadcast
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -18,15 +19,22 @@ shipped(__name__)
 PLACEMENTS = ("row", "tile", "random")
 
 
+#: Multipliers of a piece's three numbers; their products are mixed by exclusive or, as in spatial hashing.
+SCATTER = (73_856_093, 19_349_663, 83_492_791)
+
+
 def shard(placement: str, workers: int) -> Column:
     """The partition of a piece (alpha, beta, gamma); an integer column, so that it can be a key as well."""
+    if placement not in PLACEMENTS:
+        raise ValueError(f"placement must be one of {PLACEMENTS}")
     if placement == "row":
         return F.pmod(F.col("alpha"), F.lit(workers)).cast("int")
-    if placement == "tile":
-        return F.pmod(F.hash("alpha", "beta"), F.lit(workers)).cast("int")
-    if placement == "random":
-        return F.pmod(F.hash("alpha", "beta", "gamma"), F.lit(workers)).cast("int")
-    raise ValueError(f"placement must be one of {PLACEMENTS}")
+    mixed = None
+    for name, by in zip(("alpha", "beta", "gamma")[: 2 if placement == "tile" else 3], SCATTER, strict=False):
+        scattered = F.col(name).cast("long") * by
+        mixed = scattered if mixed is None else mixed.bitwiseXOR(scattered)
+    # The low bits of such products go with those of the numbers, so the high bits of a second product are taken.
+    return F.pmod(F.shiftright(mixed % (1 << 31) * 48_271, 8), F.lit(workers)).cast("int")
 
 
 def workers_of(spark) -> int:
@@ -65,10 +73,11 @@ def sum_partials(partials: DataFrame, local: bool) -> DataFrame:
     return partials.groupBy(keys).agg(F.sum("v").alias("v")).select("i", "j", "v")
 
 
-def tiled_product(a: Cells, b: Cells, grid: TileGrid | None = None, placement: str = "tile", combine: bool = True, staged: bool = False, path: str | None = None, workers: int | None = None) -> Cells:
+def tiled_product(a: Cells, b: Cells, grid: TileGrid | None = None, placement: str | None = None, combine: bool = True, staged: bool = False, path: str | None = None, workers: int | None = None) -> Cells:
     """A B.  Row and tile placement sum where they multiply: two exchanges in all; random placement needs a third.
 
-    staged: tagged operands are written under ``path`` and read again, as two jobs; else one plan.
+    staged: tagged operands are written under ``path`` and read again, as two jobs; else one plan.  Without a grid the
+    planner picks one, and a placement unless it is given; a grid without a placement goes by tile.
     """
     if a.cols != b.rows:
         raise ValueError(f"inner edges differ: {a.cols} and {b.rows}")
@@ -76,7 +85,9 @@ def tiled_product(a: Cells, b: Cells, grid: TileGrid | None = None, placement: s
     if grid is None:
         from tilealg.plans.planner import plan_product
 
-        grid = plan_product(a, b, workers).grid
+        plan = plan_product(a, b, workers, placements=(placement,) if placement else PLACEMENTS)
+        grid, placement = plan.grid, plan.placement
+    placement = placement or "tile"
     left, right = tag_left(a, grid), tag_right(b, grid)
     if staged:
         left, right = (_written(x, f"{path}/{name}") for x, name in ((left, "left"), (right, "right")))
@@ -93,11 +104,18 @@ def _written(df: DataFrame, path: str) -> DataFrame:
     return df.sparkSession.read.parquet(path)
 
 
-def tiled_product_blocks(a: Cells, b: Cells, grid: TileGrid, placement: str = "tile", workers: int | None = None) -> Cells:
-    """A B with dense block arithmetic: both operands travel in one exchange, and numpy makes each tile of the product
-    whole, piece by piece of the inner edge.  Values are doubles.  A tile's operands must fit a worker: pick m, n, k so."""
+def tiled_product_blocks(a: Cells, b: Cells, grid: TileGrid, placement: str = "tile", workers: int | None = None, most_bytes: int = 256 << 20) -> Cells:
+    """A B with dense block arithmetic: both operands travel in one exchange, and numpy makes each tile of the product in
+    strips of rows, piece by piece of the inner edge.  Values are doubles.
+
+    A dense tile (rows / m by columns / k) and a piece of the right operand (inner edge / n by columns / k) may take
+    ``most_bytes`` each; a grid that is too coarse for it is an error, before anything is sent.
+    """
     if placement == "random":
         raise ValueError("blocks of a tile meet in one place: row or tile placement")
+    wide, high, deep = -(-b.cols // grid.k), -(-a.rows // grid.m), -(-a.cols // grid.n)
+    if 8 * wide * max(high, deep) > most_bytes:
+        raise ValueError(f"tiles of {high} x {wide} with inner pieces of {deep} pass {most_bytes} bytes; cut the grid finer")
     workers = workers or workers_of(a.spark)
     cols = ["alpha", "beta", "gamma", "side", "x", "t", "v"]
     left = tag_left(a, grid).select("alpha", "beta", "gamma", F.lit(0).alias("side"), F.col("i").alias("x"), "t", F.col("v").cast("double").alias("v"))
@@ -106,21 +124,37 @@ def tiled_product_blocks(a: Cells, b: Cells, grid: TileGrid, placement: str = "t
     return Cells(both.groupBy("pid", "alpha", "beta").applyInArrow(_block_product, "i long, j long, v double"), a.rows, b.cols)
 
 
+#: Values of a tile that are worked on at once.
+STRIP = 1 << 21
+
+
 def _block_product(table: pa.Table) -> pa.Table:
     gamma, side, x, t, v = (table.column(c).to_numpy() for c in ("gamma", "side", "x", "t", "v"))
     rows, cols = np.unique(x[side == 0]), np.unique(x[side == 1])
-    out = np.zeros((len(rows), len(cols)))
-    hit = np.zeros((len(rows), len(cols)), bool)
+    # Sums of products of one sign can't cancel, so their zeros are cells without products.
+    mixed = (v < 0).any()
+    pieces = []
     for g in np.unique(gamma):
-        inner = np.unique(t[gamma == g])
-        p, q = (gamma == g) & (side == 0), (gamma == g) & (side == 1)
-        left, right = np.zeros((len(rows), len(inner))), np.zeros((len(inner), len(cols)))
-        np.add.at(left, (np.searchsorted(rows, x[p]), np.searchsorted(inner, t[p])), v[p])
+        p, q = np.flatnonzero((gamma == g) & (side == 0)), np.flatnonzero((gamma == g) & (side == 1))
+        inner = np.unique(t[np.concatenate([p, q])])
+        right = np.zeros((len(inner), len(cols)))
         np.add.at(right, (np.searchsorted(inner, t[q]), np.searchsorted(cols, x[q])), v[q])
-        out += left @ right
-        hit |= (left != 0).astype(np.float32) @ (right != 0).astype(np.float32) > 0
-    i, j = np.nonzero(hit)
-    return pa.table({"i": rows[i], "j": cols[j], "v": out[i, j]})
+        pieces.append((np.searchsorted(rows, x[p]), np.searchsorted(inner, t[p]), v[p], right))
+    out = []
+    step = max(1, STRIP // max(1, len(cols)))
+    for low in range(0, len(rows), step):
+        n = min(step, len(rows) - low)
+        tile, hit = np.zeros((n, len(cols))), np.zeros((n, len(cols)), bool)
+        for row, at, value, right in pieces:
+            own = (row >= low) & (row < low + n)
+            left = np.zeros((n, len(right)))
+            np.add.at(left, (row[own] - low, at[own]), value[own])
+            tile += left @ right
+            if mixed:
+                hit |= (left != 0).astype(np.float32) @ (right != 0).astype(np.float32) > 0
+        i, j = np.nonzero(hit if mixed else tile)
+        out.append(pa.table({"i": rows[i + low], "j": cols[j], "v": tile[i, j]}))
+    return pa.concat_tables(out) if out else pa.table({"i": pa.array([], pa.int64()), "j": pa.array([], pa.int64()), "v": pa.array([], pa.float64())})
 
 
 def cell_product(a: Cells, b: Cells) -> Cells:
@@ -130,13 +164,18 @@ def cell_product(a: Cells, b: Cells) -> Cells:
     return Cells(joined.groupBy("i", F.col("q").alias("j")).agg(F.sum(F.col("v") * F.col("w")).alias("v")), a.rows, b.cols)
 
 
-def broadcast_product(a: Cells, b: Cells, transpose_small: bool = False, most_cells: int = 10_000_000) -> Cells:
+#: Bytes of a cell in a hash table of rows that were broadcast (two keys, a value, row header, slot).
+SHIPPED_CELL = 64
+
+
+def broadcast_product(a: Cells, b: Cells, transpose_small: bool = False, most_bytes: int = 256 << 20) -> Cells:
     """A B (or A B^T) with the small operand on all workers, so that the large one isn't moved to be multiplied.
 
-    The small operand's size is checked first, by its shape or else its cells; above ``most_cells`` the product falls
-    back to an exchange of both.
+    The small operand's size is checked first, by its shape or else its cells; above ``most_bytes`` (at ``SHIPPED_CELL``
+    bytes a cell) the product falls back to an exchange of both.
     """
     small = b.t if transpose_small else b
+    most_cells = most_bytes // SHIPPED_CELL
     if small.rows * small.cols > most_cells and small.df.count() > most_cells:
         return cell_product(a, small)
     right = F.broadcast(small.df.select(F.col("i").alias("t"), F.col("j").alias("q"), F.col("v").alias("w")))
@@ -144,9 +183,20 @@ def broadcast_product(a: Cells, b: Cells, transpose_small: bool = False, most_ce
     return Cells(joined.groupBy("i", F.col("q").alias("j")).agg(F.sum(F.col("v") * F.col("w")).alias("v")), a.rows, small.cols)
 
 
-def broadcast_rows(rows: DataFrame, block: np.ndarray) -> DataFrame:
-    """(i, vec): every dense row (i, vec) times a block held by the driver; whole rows, so no exchange at all."""
-    shipped = rows.sparkSession.sparkContext.broadcast(np.ascontiguousarray(block, float))
+def ship_block(spark, block: np.ndarray, most_bytes: int = 256 << 20) -> Broadcast:
+    """A block on all workers: send it once, use it in many products, then ``destroy()`` it."""
+    block = np.ascontiguousarray(block, float)
+    if block.nbytes > most_bytes:
+        raise ValueError(f"a block of {block.nbytes} bytes; at most {most_bytes} are shipped")
+    return spark.sparkContext.broadcast(block)
+
+
+def broadcast_rows(rows: DataFrame, block: np.ndarray | Broadcast) -> DataFrame:
+    """(i, vec): every dense row (i, vec) times a block; whole rows, so no exchange at all.
+
+    The block is an array of the driver, which goes with this product, or one from ``ship_block``.
+    """
+    shipped = block if isinstance(block, Broadcast) else ship_block(rows.sparkSession, block)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         own = shipped.value
@@ -159,6 +209,6 @@ def broadcast_rows(rows: DataFrame, block: np.ndarray) -> DataFrame:
     return rows.select("i", "vec").mapInArrow(run, "i long, vec array<double>")
 
 
-def matvec(a: Cells, x: DataFrame, most_cells: int = 10_000_000) -> DataFrame:
+def matvec(a: Cells, x: DataFrame, most_bytes: int = 256 << 20) -> DataFrame:
     """(i, v) of A x for x as (i, v)."""
-    return broadcast_product(a, Cells(x.select("i", F.lit(0).cast("long").alias("j"), "v"), a.cols, 1), most_cells=most_cells).df.select("i", "v")
+    return broadcast_product(a, Cells(x.select("i", F.lit(0).cast("long").alias("j"), "v"), a.cols, 1), most_bytes=most_bytes).df.select("i", "v")

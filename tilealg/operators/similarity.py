@@ -6,20 +6,36 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from tilealg.operators.cells import Cells
-from tilealg.operators.product import broadcast_product, cell_product, tiled_product
+from tilealg.operators.grid import TileGrid
+from tilealg.operators.product import broadcast_product, cell_product, group_tiles, multiply_tiles, sum_partials, tiled_product, workers_of
 
 
 def row_dots(a: Cells, b: Cells, **how) -> Cells:
     return tiled_product(a, b.t, **how)
 
 
-def gram_rows(a: Cells, half: bool = True, **how) -> Cells:
-    """A A^T.  half: only the upper triangle is multiplied and then mirrored."""
+def gram_rows(a: Cells, half: bool = True, grid: TileGrid | None = None, placement: str = "tile", workers: int | None = None, **how) -> Cells:
+    """A A^T.  half: only tiles on and above the diagonal are multiplied, and the rest is their mirror.
+
+    The grid has as many row as column stripes, by default those of the planner's ``kernel`` preset.  A cell of row
+    stripe s goes to the tiles (s, s..) as a left and to (..s, s) as a right operand, so no index holds all pairs.
+    """
+    workers = workers or workers_of(a.spark)
+    if grid is None:
+        from tilealg.plans.planner import preset
+
+        grid = preset("kernel", a.rows, a.cols, a.rows, workers)
     if not half:
-        return tiled_product(a, a.t, **how)
-    left = a.df.select("i", F.col("j").alias("t"), "v")
-    right = a.df.select(F.col("i").alias("j"), F.col("j").alias("t"), F.col("v").alias("w"))
-    upper = left.join(right, "t").where("i <= j").groupBy("i", "j").agg(F.sum(F.col("v") * F.col("w")).alias("v"))
+        return tiled_product(a, a.t, grid, placement, workers=workers, **how)
+    if grid.m != grid.k or how:
+        raise ValueError("half a Gram takes a grid with as many row as column stripes, and no more options")
+    left = a.df.select(grid.alpha("i").alias("alpha"), F.explode(F.sequence(grid.alpha("i"), F.lit(grid.k - 1))).alias("beta"), grid.gamma("j").alias("gamma"), "i", F.col("j").alias("t"), "v")
+    right = a.df.select(F.explode(F.sequence(F.lit(0), grid.alpha("i"))).alias("alpha"), grid.alpha("i").alias("beta"), grid.gamma("j").alias("gamma"), F.col("j").alias("t"), F.col("i").alias("j"), F.col("v").alias("w"))
+    pairs = group_tiles(left, right, placement, workers).where("alpha < beta or i <= j")
+    if placement == "random":
+        upper = sum_partials(multiply_tiles(pairs), local=False)
+    else:
+        upper = sum_partials(multiply_tiles(pairs, combine=False), local=True)
     return Cells(upper.select(F.explode(F.when(F.col("i") == F.col("j"), F.array(F.struct("i", "j", "v"))).otherwise(F.array(F.struct("i", "j", "v"), F.struct(F.col("j").alias("i"), F.col("i").alias("j"), "v")))).alias("c")).select("c.*"), a.rows, a.rows)
 
 

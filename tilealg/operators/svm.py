@@ -13,8 +13,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from tilealg.operators.cells import Cells
-from tilealg.operators.iterate import cut
-from tilealg.operators.product import cell_product, matvec
+from tilealg.operators.iterate import cut, forget, run
+from tilealg.operators.product import broadcast_product, matvec
 from tilealg.operators.similarity import gram_rows
 
 
@@ -30,11 +30,12 @@ def linear_kernel(t: Cells, bias: float = 0.0, most_cells: int = 2_000_000_000,
     return k.with_df(grid.join(k.df, ["i", "j"], "left").select("i", "j", (F.coalesce("v", F.lit(0.0)) + bias * bias).alias("v")))
 
 
-def svm_gradient(k: Cells, y: DataFrame, alpha: DataFrame, form: str = "elementwise", most_rows: int = 10_000_000) -> DataFrame:
+def svm_gradient(k: Cells, y: DataFrame, alpha: DataFrame, form: str = "elementwise", most_rows: int = 4_000_000) -> DataFrame:
     """(i, v): 1 - y_i sum_j y_j alpha_j K_ij.  y and alpha are (i, v).
 
     elementwise: one join of kernel cells with the signed weights; vector: -y * (D K) + 1 as vector operations.
-    Weights of more than ``most_rows`` rows of the kernel are not broadcast; they and the cells are exchanged.
+    Weights of more than ``most_rows`` rows of the kernel (256 MB as a hash table) are not broadcast; they and the cells
+    are exchanged.
     """
     signed = y.withColumnRenamed("v", "y").join(alpha, "i").select("i", (F.col("y") * F.col("v")).alias("v"))
     if form == "elementwise":
@@ -88,24 +89,40 @@ def svm_fit(t: Cells, y: DataFrame, c: float = 1.0, bias: float = 1.0, eta: floa
     elif kernel_mode != "implicit":
         raise ValueError("kernel_mode is materialised or implicit")
     model = SvmModel(alpha, y, t, bias)
+    # Labels travel with the weights, so that a step joins its state once.
+    state = cut(y.select("i", F.col("v").alias("y"), F.lit(0.0).alias("v")))
     for _ in range(iters):
         began = time.monotonic()
         if kernel is not None:
-            slope = svm_gradient(kernel, y, alpha)
+            slope = svm_gradient(kernel, y, state.select("i", "v"))
+            after = state.join(slope.withColumnRenamed("v", "g"), "i")
         else:
-            signed = y.withColumnRenamed("v", "y").join(alpha, "i").select("i", (F.col("y") * F.col("v")).alias("v"))
+            signed = state.select("i", (F.col("y") * F.col("v")).alias("v"))
             through = matvec(t, matvec(t.t, signed)).withColumnRenamed("v", "w")
             level = signed.agg((F.coalesce(F.sum("v"), F.lit(0.0)) * bias * bias).alias("b"))
-            slope = y.join(through, "i", "left").crossJoin(F.broadcast(level)).select("i", (1 - F.col("v") * (F.coalesce("w", F.lit(0.0)) + F.col("b"))).alias("v"))
-        alpha = alpha.join(slope.withColumnRenamed("v", "g"), "i").select("i", boxed(F.col("v") + eta * F.col("g"), box, c).alias("v"))
-        alpha = cut(alpha)
+            after = state.join(through, "i", "left").crossJoin(F.broadcast(level)).withColumn("g", 1 - F.col("y") * (F.coalesce("w", F.lit(0.0)) + F.col("b")))
+        after = cut(after.select("i", "y", boxed(F.col("v") + eta * F.col("g"), box, c).alias("v")))
+        forget(state)
+        state = after
         model.iteration_seconds.append(time.monotonic() - began)
         if trace and kernel is not None:
-            model.objective.append(svm_dual_objective(kernel, y, alpha))
-    model.alpha = alpha
+            model.objective.append(svm_dual_objective(kernel, y, state.select("i", "v")))
+    model.alpha = state.select("i", "v")
     return model
 
 
+def kernel_step(t: Cells, rows: DataFrame, bias: float = 0.0, iters: int = 6) -> float:
+    """1 over the kernel's largest eigenvalue, by the power method through T (T^T x) from all ones; rows is (i)."""
+    x = cut(rows.select("i", F.lit(1.0).alias("v")))
+    for r in range(iters + 1):
+        through = matvec(t, matvec(t.t, x)).withColumnRenamed("v", "w")
+        total = x.agg(F.coalesce(F.sum("v"), F.lit(0.0)).alias("b"))
+        y = cut(x.join(through, "i", "left").crossJoin(F.broadcast(total)).select("i", F.col("v").alias("x"), (F.coalesce("w", F.lit(0.0)) + bias * bias * F.col("b")).alias("v")))
+        top, size, whole = y.agg(F.sum(F.col("x") * F.col("v")), F.sum(F.col("x") * F.col("x")), F.sum(F.abs("v"))).first()
+        x = y.select("i", (F.col("v") / (whole or 1.0)).alias("v"))
+    return size / top if top else 1.0
+
+
 def svm_predict(model: SvmModel, x: Cells) -> DataFrame:
     """(i, margin, label) for each row of X, through the feature weights; a margin of 0 counts as 1."""
     w = cut(model.primal())
@@ -115,20 +132,59 @@ def svm_predict(model: SvmModel, x: Cells) -> DataFrame:
     return ids.join(matvec(x, w), "i", "left").select("i", margin.alias("margin")).withColumn("label", F.when(F.col("margin") >= 0, 1).otherwise(-1))
 
 
-def svm_fit_ovr(t: Cells, classes: DataFrame, names: list, **how) -> dict:
-    """One model for each class against the rest; ``classes`` is (i, name)."""
-    return {n: svm_fit(t, classes.select("i", F.when(F.col("name") == n, 1.0).otherwise(-1.0).alias("v")), **how) for n in names}
+@dataclass
+class OneAgainstRest:
+    """Weights alpha (i, j, v) of every row and class, side by side; names[j] is class j."""
+
+    names: list
+    alpha: DataFrame
+    classes: DataFrame
+    train: Cells
+    bias: float
+
+    def signed(self) -> DataFrame:
+        """(i, j, v): y * alpha."""
+        return _signed(self.alpha, self.classes)
+
 
+def _signed(alpha: DataFrame, classes: DataFrame) -> DataFrame:
+    return alpha.join(classes, "i").select("i", "j", F.when(F.col("class") == F.col("j"), F.col("v")).otherwise(-F.col("v")).alias("v"))
 
-def svm_predict_ovr(models: dict, x: Cells) -> DataFrame:
-    """(i, name): the class with the largest margin, the first by name among equals."""
-    scored = None
-    for name in sorted(models):
-        own = svm_predict(models[name], x).select("i", F.lit(name).alias("name"), "margin")
-        scored = own if scored is None else scored.union(own)
-    return scored.groupBy("i").agg(F.max_by("name", F.struct("margin", F.lit(0))).alias("name"))
 
+def svm_fit_ovr(t: Cells, classes: DataFrame, names: list, c: float = 1.0, bias: float = 1.0, eta: float = 0.01, iters: int = 20, box: str = "soft", kernel_mode: str = "implicit") -> OneAgainstRest:
+    """All classes against their rests in one loop; ``classes`` is (i, name).
 
-def objective_of_kernel_product(t: Cells) -> Cells:
-    """The kernel as a plain product, to compare the halved one with."""
-    return cell_product(t, t.t)
+    alpha has a column for each class, so a step is one product with the kernel (or with T and T^T), which all classes
+    share.  Steps start from alpha = 0.
+    """
+    spark = t.spark
+    place = spark.createDataFrame([(n, j) for j, n in enumerate(names)], "name string, class long")
+    classes = cut(classes.join(F.broadcast(place), "name").select("i", "class"))
+    every = F.explode(F.sequence(F.lit(0).cast("long"), F.lit(len(names) - 1).cast("long"))).alias("j")
+    alpha = classes.select("i", every, F.lit(0.0).alias("v"))
+    kernel = Cells(cut(linear_kernel(t, bias).df), t.rows, t.rows) if kernel_mode == "materialised" else None
+
+    def step(alpha: DataFrame) -> DataFrame:
+        signed = _signed(alpha, classes)
+        d = Cells(signed, t.rows, len(names))
+        through = broadcast_product(kernel, d) if kernel is not None else broadcast_product(t, broadcast_product(t.t, d))
+        slope = alpha.join(through.df.withColumnRenamed("v", "w"), ["i", "j"], "left").join(classes, "i")
+        pull = F.coalesce("w", F.lit(0.0))
+        if kernel is None:
+            level = signed.groupBy("j").agg((F.sum("v") * bias * bias).alias("b"))
+            slope, pull = slope.join(F.broadcast(level), "j"), pull + F.col("b")
+        sign = F.when(F.col("class") == F.col("j"), 1.0).otherwise(-1.0)
+        return slope.select("i", "j", boxed(F.col("v") + eta * (1 - sign * pull), box, c).alias("v"))
+
+    return OneAgainstRest(names, run(step, alpha, iters), classes, t, bias)
+
+
+def svm_predict_ovr(model: OneAgainstRest, x: Cells) -> DataFrame:
+    """(i, name): the class with the largest margin, the first by name among equals."""
+    signed = model.signed()
+    weights = broadcast_product(model.train.t, Cells(signed, model.train.rows, len(model.names)))
+    level = signed.groupBy("j").agg((F.sum("v") * model.bias**2).alias("b"))
+    names = x.spark.createDataFrame([(j, str(n)) for j, n in enumerate(model.names)], "j long, name string")
+    grid = x.spark.range(x.rows).select(F.col("id").alias("i")).crossJoin(F.broadcast(names.join(level, "j")))
+    scored = grid.join(broadcast_product(x, Cells(cut(weights.df), x.cols, len(model.names))).df, ["i", "j"], "left").withColumn("margin", F.coalesce("v", F.lit(0.0)) + F.col("b"))
+    return scored.groupBy("i").agg(F.min_by("name", F.struct(-F.col("margin"), F.col("name"))).alias("name"))

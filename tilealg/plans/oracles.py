@@ -95,25 +95,14 @@ _PART_RANKS = ranks(NEXT) + ", pr AS (SELECT id, round(r, 12) AS r FROM ranks),
 _IN = "(SELECT dst AS id, CAST(count(DISTINCT src) AS BIGINT) AS in_links FROM {} GROUP BY dst)"
 
 
-def _quantile() -> str:
-    """Normal quantile of p, the approximation the query uses."""
-    a = (-3.969683028665376e1, 2.209460984245205e2, -2.759285104469687e2, 1.383577518672690e2, -3.066479806614716e1, 2.506628277459239)
-    b = (-5.447609879822406e1, 1.615858368580409e2, -1.556989798598866e2, 6.680131188771972e1, -1.328068155288572e1, 1.0)
-    c = (-7.784894002430293e-3, -3.223964580411365e-1, -2.400758277161838, -2.549732539343734, 4.374664141464968, 2.938163982698783)
-    d = (7.784695709041462e-3, 3.224671290700398e-1, 2.445134137142996, 3.754408661907416, 1.0)
+#: Normal quantile of p by halving the distribution function's power series: phi(z) (z + z^3 / 3 + z^5 / (3 5) + ...).
+_SERIES = "list_sum(list_transform(range(0, 70), lambda k: exp((2 * k + 1) * ln(greatest(mid, 1e-12)) - lo[k + 1])))"
+_ODD = "(SELECT list(s ORDER BY k) AS lo FROM (SELECT k, sum(ln(2 * k + 1)) OVER (ORDER BY k) AS s FROM range(0, 70) t(k)))"
 
-    def poly(k, x):
-        out = f"{k[0]!r}::DOUBLE"
-        for y in k[1:]:
-            out = f"({out} * {x} + {y!r}::DOUBLE)"
-        return out
 
-    q, t = "(p - 0.5)", "sqrt(-2 * ln(least(p, 1 - p)))"
-    far = f"{poly(c, t)} / {poly(d, t)}"
-    return f"CASE WHEN least(p, 1 - p) < 0.02425 THEN CASE WHEN p < 0.5 THEN {far} ELSE -({far}) END ELSE {poly(a, f'({q} * {q})')} * {q} / {poly(b, f'({q} * {q})')} END"
-
-
-LOGNORMAL = f"{_PART_RANKS}, lp AS (SELECT id, ln(r) AS ln_r, (n - place + 0.5) / CAST(n AS DOUBLE) AS p FROM pl WHERE r > 0), z AS (SELECT id, ln_r, {_quantile()} AS z FROM lp)"
+LOGNORMAL = f"""{_PART_RANKS.replace('WITH e AS', 'WITH RECURSIVE e AS', 1)}, lp AS (SELECT id, ln(r) AS ln_r, (n - place + 0.5) / CAST(n AS DOUBLE) AS p FROM pl WHERE r > 0), h(p, low, high, step) AS (SELECT DISTINCT greatest(p, 1 - p), 0.0::DOUBLE, 7.0::DOUBLE, 0 FROM lp UNION ALL
+SELECT p, CASE WHEN up THEN mid ELSE low END, CASE WHEN up THEN high ELSE mid END, step + 1 FROM (SELECT p, low, high, mid, step, 0.5 + exp(-mid * mid / 2) / sqrt(2 * pi()) * {_SERIES} < p AS up FROM (SELECT *, (low + high) / 2 AS mid FROM h WHERE step < 45), {_ODD})),
+z AS (SELECT id, ln_r, CASE WHEN lp.p < 0.5 THEN -(low + high) / 2 ELSE (low + high) / 2 END AS z FROM lp JOIN h ON h.p = greatest(lp.p, 1 - lp.p) AND step = 45)"""
 
 
 def _stripe(index: str, length: str, n: int) -> str:
@@ -130,7 +119,106 @@ def _margins(how: str) -> str:
     return f"SELECT coalesce(i, -1) AS i, coalesce(j, -1) AS j, CAST(sum(v) AS BIGINT) AS total, count(v) AS nnz FROM {UE} GROUP BY {how}"
 
 
+SVM_STEPS, SVM_POWER = 20, 4
+_TERMS = f"(SELECT i, j, v / sqrt(sum(v * v) OVER (PARTITION BY i)) AS v FROM {DT})"
+_EMBEDDED = "(SELECT vec_id AS i, CASE WHEN label = 0 THEN 1.0::DOUBLE ELSE -1.0::DOUBLE END AS y, vec_id % 5 = 0 AS is_test FROM embeddings)"
+
+
+def _labelled(yes: str) -> str:
+    return f"(SELECT doc_id AS i, CASE WHEN {yes} THEN 1.0::DOUBLE ELSE -1.0::DOUBLE END AS y, (row_number() OVER (ORDER BY doc_id) - 1) % 5 = 0 AS is_test FROM documents JOIN labels USING (doc_id))"
+
+
+def trained(terms: str, labels: str) -> str:
+    """Gradient steps written out: power method for the step, then the trainer through the features, then the test rows."""
+    out = f"WITH l AS MATERIALIZED (SELECT * FROM {labels}), t AS MATERIALIZED (SELECT * FROM {terms}), o AS MATERIALIZED (SELECT t.* FROM t JOIN l USING (i) WHERE NOT is_test), x0 AS (SELECT i, 1.0::DOUBLE AS v FROM l WHERE NOT is_test)"
+    through = lambda state, column: f"(SELECT i, sum(o.v * w.w) AS k FROM o JOIN (SELECT j, sum(o.v * {column}) AS w FROM o JOIN {state} s USING (i) GROUP BY j) w USING (j) GROUP BY i)"
+    for r in range(SVM_POWER + 1):
+        out += f", y{r} AS MATERIALIZED (SELECT x.i, x.v AS x, coalesce(k, 0) + (SELECT sum(v) FROM x{r}) AS v FROM x{r} x LEFT JOIN {through(f'x{r}', 's.v')} USING (i)), x{r + 1} AS MATERIALIZED (SELECT i, v / (SELECT sum(abs(v)) FROM y{r}) AS v FROM y{r})"
+    out += f", eta AS MATERIALIZED (SELECT sum(x * x) / sum(x * v) AS eta FROM y{SVM_POWER}), a0 AS (SELECT i, y, 0.0::DOUBLE AS v FROM l WHERE NOT is_test)"
+    for r in range(SVM_STEPS):
+        out += f", a{r + 1} AS MATERIALIZED (SELECT a.i, a.y, greatest(0, least(1, a.v + eta * (1 - a.y * (coalesce(k, 0) + (SELECT sum(y * v) FROM a{r}))))) AS v FROM a{r} a LEFT JOIN {through(f'a{r}', 's.y * s.v')} USING (i), eta)"
+    out += f""", w AS (SELECT j, sum(o.v * s.y * s.v) AS w FROM o JOIN a{SVM_STEPS} s USING (i) GROUP BY j), m AS (SELECT t.i, sum(t.v * w) AS m FROM t JOIN w USING (j) GROUP BY t.i),
+q AS (SELECT l.i, l.y, CASE WHEN coalesce(m, 0) + (SELECT sum(y * v) FROM a{SVM_STEPS}) >= 0 THEN 1 ELSE -1 END AS g FROM l LEFT JOIN m USING (i) WHERE is_test)
+SELECT count(*) AS rows, count(*) FILTER (y = g) AS right, round(avg((y = g)::INT), 9) AS accuracy, round((coalesce(avg((y = g)::INT) FILTER (y = 1), 0) + coalesce(avg((y = g)::INT) FILTER (y = -1), 0)) / 2, 9) AS balanced,
+  round(greatest(avg((y = 1)::INT), 1 - avg((y = 1)::INT)), 9) AS majority FROM q"""
+    return out
+
+
+def one_against_rest(steps: int = 10, eta: str = "0.001") -> str:
+    """All languages against their rests on four fifths of the documents."""
+    out = f"""WITH d AS (SELECT doc_id AS i, lang FROM documents WHERE lang IS NOT NULL), c AS (SELECT DISTINCT lang AS c FROM d), t AS MATERIALIZED (SELECT * FROM {_TERMS}),
+o AS MATERIALIZED (SELECT t.* FROM t JOIN d USING (i) WHERE i % 5 <> 0), a0 AS (SELECT i, c, CASE WHEN lang = c THEN 1.0::DOUBLE ELSE -1.0::DOUBLE END AS y, 0.0::DOUBLE AS v FROM d, c WHERE i % 5 <> 0)"""
+    for r in range(steps):
+        out += f""", a{r + 1} AS MATERIALIZED (SELECT a.i, a.c, a.y, greatest(0, least(1, a.v + {eta}::DOUBLE * (1 - a.y * (coalesce(k, 0) + b)))) AS v FROM a{r} a JOIN (SELECT c, sum(y * v) AS b FROM a{r} GROUP BY c) USING (c)
+LEFT JOIN (SELECT i, c, sum(o.v * w) AS k FROM o JOIN (SELECT j, c, sum(o.v * s.y * s.v) AS w FROM o JOIN a{r} s USING (i) GROUP BY j, c) USING (j) GROUP BY i, c) USING (i, c))"""
+    return out + f""", w AS (SELECT j, c, sum(o.v * s.y * s.v) AS w FROM o JOIN a{steps} s USING (i) GROUP BY j, c), b AS (SELECT c, sum(y * v) AS b FROM a{steps} GROUP BY c),
+m AS (SELECT d.i, c, lang, b + coalesce(k, 0) AS m FROM d CROSS JOIN b LEFT JOIN (SELECT t.i, c, sum(t.v * w) AS k FROM t JOIN w USING (j) GROUP BY t.i, c) USING (i, c) WHERE d.i % 5 = 0)
+SELECT count(*) AS rows, CAST(sum((c = lang)::INT) AS BIGINT) AS right FROM (SELECT i, c, lang, row_number() OVER (PARTITION BY i ORDER BY m DESC, c) AS q FROM m) WHERE q = 1"""
+
+
+def fitted(rounds: int = 3) -> str:
+    """Errors of H and W updates written out, from positive factors of rank 4."""
+    factor_of = lambda rows, seed: f"(SELECT r.i, s.j, ((r.i * 7919 + s.j * 104729 + {seed}) % 1009 + 1) / 1010.0::DOUBLE AS v FROM range((SELECT count(*) FROM {rows})) r(i), range(4) s(j))"
+    out = f"WITH a AS MATERIALIZED (SELECT * FROM {CP}), w0 AS MATERIALIZED (SELECT * FROM {factor_of('customer', 17)}), h0 AS MATERIALIZED (SELECT * FROM {factor_of('part', 31)})"
+    error = lambda w, h: f"""(SELECT (SELECT sum(v::DOUBLE * v) FROM a) - 2 * (SELECT sum(a.v * w.v * h.v) FROM a JOIN {w} w ON a.i = w.i JOIN {h} h ON a.j = h.i AND w.j = h.j)
+ + (SELECT sum(p.v * q.v) FROM (SELECT x.j AS r, y.j AS s, sum(x.v * y.v) AS v FROM {w} x JOIN {w} y USING (i) GROUP BY ALL) p JOIN (SELECT x.j AS r, y.j AS s, sum(x.v * y.v) AS v FROM {h} x JOIN {h} y USING (i) GROUP BY ALL) q USING (r, s)))"""
+
+    def update(new: str, own: str, other: str, here: str, there: str) -> str:
+        return f""", {new} AS MATERIALIZED (SELECT o.i, o.j, o.v * coalesce(x.v, 0) / y.v AS v FROM {own} o
+LEFT JOIN (SELECT a.{here} AS i, f.j, sum(a.v * f.v) AS v FROM a JOIN {other} f ON a.{there} = f.i GROUP BY a.{here}, f.j) x ON o.i = x.i AND o.j = x.j
+JOIN (SELECT o.i, g.r AS j, sum(o.v * g.v) AS v FROM {own} o JOIN (SELECT p.j AS r, q.j AS s, sum(p.v * q.v) AS v FROM {other} p JOIN {other} q USING (i) GROUP BY ALL) g ON o.j = g.s GROUP BY o.i, g.r) y ON o.i = y.i AND o.j = y.j)"""
+
+    errors = [error("w0", "h0")]
+    for r in range(rounds):
+        out += update(f"h{r + 1}", f"h{r}", f"w{r}", "j", "i")
+        errors.append(error(f"w{r}", f"h{r + 1}"))
+        out += update(f"w{r + 1}", f"w{r}", f"h{r + 1}", "i", "j")
+        errors.append(error(f"w{r + 1}", f"h{r + 1}"))
+    return out + " " + " UNION ALL ".join(f"SELECT {k}::BIGINT AS step, CAST(printf('%.7e', {e}) AS DOUBLE) AS error" for k, e in enumerate(errors))
+
+
+def _pid(placement: str) -> str:
+    if placement == "row":
+        return "alpha % 8"
+    mixed = "xor(alpha::BIGINT * 73856093, beta::BIGINT * 19349663)"
+    if placement == "random":
+        mixed = f"xor({mixed}, gamma::BIGINT * 83492791)"
+    return f"((({mixed} % 2147483648) * 48271) >> 8) % 8"
+
+
+def _balance(placement: str) -> str:
+    """Copies of the left operand on a 20 x 6 x 20 grid by worker."""
+    edge = "(SELECT count(*) FROM supplier)"
+    tags = f"(SELECT {_stripe('i', edge, 20)} AS alpha, {_stripe('j', '(SELECT count(*) FROM part)', 6)} AS gamma, unnest(range(least(20, {edge}))) AS beta FROM {SP})".replace(", 20 - 1)", f", least(20, {edge}) - 1)")
+    return f"SELECT '{placement}' AS placement, count(*) AS busy, CAST(max(n) AS BIGINT) AS most, CAST(sum(n) AS DOUBLE) / 8 AS mean FROM (SELECT {_pid(placement)} AS pid, count(*) AS n FROM {tags} GROUP BY pid)"
+
+
+def _moved(placement: str, m: int) -> str:
+    """Copies and partial cells on an m x 6 x m grid (held to the edges' lengths)."""
+    a, b, c = ("(SELECT count(*) FROM supplier)", "(SELECT count(*) FROM part)", "(SELECT count(*) FROM customer)")
+    stripe = lambda index, edge, n: f"least({index} // greatest(1, ({edge} + least({n}, {edge}) - 1) // least({n}, {edge})), least({n}, {edge}) - 1)"
+    copies = f"CAST(least({m}, {c}) * (SELECT count(*) FROM {SP}) + least({m}, {a}) * (SELECT count(*) FROM {CP}) AS BIGINT)"
+    parts = f"(SELECT {stripe('a.i', a, m)} AS alpha, {stripe('b.i', c, m)} AS beta, {stripe('a.j', b, 6)} AS gamma, a.i, b.i AS j FROM {SP} a JOIN {CP} b ON a.j = b.j GROUP BY ALL)"
+    moved = "0::BIGINT" if placement != "random" else f"(SELECT count(*) FROM (SELECT DISTINCT {_pid('random')} AS pid, {_pid('tile')} AS home, alpha, beta, i, j FROM {parts}) WHERE pid <> home)"
+    return f"SELECT placement, m, copied, partials, moved, copied * 36 + moved * 32 AS moved_bytes FROM (SELECT '{placement}' AS placement, {m}::BIGINT AS m, {copies} AS copied, (SELECT count(*) FROM {parts}) AS partials, {moved} AS moved)"
+
+
 SQL = {
+    "svm_language": trained(_TERMS, _labelled("lang = 'en'")),
+    "svm_quality": trained(_TERMS, _labelled("quality = 1")),
+    "svm_toxic": trained(_TERMS, _labelled("toxic = 1")),
+    "svm_embedding_label": trained(EMB, _EMBEDDED),
+    "svm_multiclass_language": one_against_rest(),
+    "nmf_fit": fitted(),
+    "nmf_x_tiled": X,
+    "placement_balance_by_placement": " UNION ALL ".join(map(_balance, ("row", "tile", "random"))),
+    "intermediate_size_by_placement": " UNION ALL ".join(_moved(p, m) for p, m in (("row", 20), ("tile", 20), ("random", 20), ("random", 40))),
+    "distinct_terms_approx": f"""WITH h AS (SELECT DISTINCT CAST('0x' || substr(md5(term), 1, 12) AS BIGINT) AS h FROM {TC} ORDER BY h LIMIT 1024)
+SELECT CASE WHEN count(*) < 1024 THEN count(*) ELSE CAST(floor(1023 * pow(2.0::DOUBLE, 48) / max(h)) AS BIGINT) END AS terms FROM h""",
+    "event_as_of_order": """WITH o AS (SELECT o_orderkey, o_custkey, CAST(date_diff('day', DATE '1970-01-01', CAST(o_orderdate AS DATE)) AS BIGINT) AS day FROM orders)
+SELECT a.o_orderkey, a.o_custkey, a.day - 1 AS day, (SELECT arg_max(b.o_orderkey, (b.day, b.o_orderkey)) FROM o b WHERE b.o_custkey = a.o_custkey AND b.day < a.day) AS last_order FROM o a""",
+    "events_in_spans": """SELECT s.event_id AS span, e.event_type, count(*) AS n FROM events s JOIN events e ON s.event_id % 50 = 0 AND e.ts >= s.ts AND e.ts < s.ts + INTERVAL 40 MINUTE GROUP BY ALL""",
+    "gram_pairs_udtf": f"SELECT a.j AS i, b.j, CAST(sum(a.v * b.v) AS BIGINT) AS v FROM {OP} a JOIN {OP} b ON a.i = b.i WHERE a.j <= b.j GROUP BY a.j, b.j",
     **dict.fromkeys(
         ("product_supplier_customer", "product_row_placement", "product_random_placement", "product_random_placement_fine", "product_tile_placement", "product_uncombined", "product_staged", "product_planned",
          "product_rows_only", "product_inner_only", "product_columns_only", "product_rows_columns", "product_cells", "tile_product_arrow", "sql_surface_product"), FLAGSHIP),
@@ -170,7 +258,7 @@ SELECT i, j FROM (SELECT i, c AS j, row_number() OVER (PARTITION BY i ORDER BY r
     "svm_language_gradient": f"{svm_slope('0')} SELECT i, round(g, 9) + 0.0 AS v FROM g",
     "svm_kernel_stats": f"""WITH ids AS (SELECT i, row_number() OVER (ORDER BY i) - 1 AS p FROM (SELECT DISTINCT doc_id AS i FROM labels WHERE doc_id IN (SELECT doc_id FROM documents))),
 t AS MATERIALIZED (SELECT p, j, v FROM {DT} JOIN ids USING (i)), k AS (SELECT greatest(a.p, b.p) AS reach FROM t a JOIN t b ON a.j = b.j GROUP BY a.p, b.p, greatest(a.p, b.p)),
-s AS (SELECT unnest([25, 50, 100, 200, 400])::BIGINT AS n), r AS (SELECT n, count(*) AS n_rows FROM s JOIN ids ON p < n GROUP BY n), c AS (SELECT n, count(*) AS nnz FROM s JOIN k ON reach < n GROUP BY n)
+m AS (SELECT count(*) AS n FROM ids), s AS (SELECT (25 * pow(2, q))::BIGINT AS n FROM range(40) t(q), m WHERE q = 0 OR 25 * pow(2, q - 1) < m.n), r AS (SELECT n, count(*) AS n_rows FROM s JOIN ids ON p < n GROUP BY n), c AS (SELECT n, count(*) AS nnz FROM s JOIN k ON reach < n GROUP BY n)
 SELECT n, n_rows, nnz, CAST(nnz AS DOUBLE) / (n_rows * n_rows) AS density, nnz * 24 AS bytes FROM r JOIN c USING (n)""",
     "nmf_x": X,
     "nmf_gram": GW,
@@ -191,7 +279,7 @@ cut AS (SELECT min(in_links) AS edge FROM (SELECT in_links FROM li ORDER BY in_l
 SELECT place, id, round(r, 10) AS r, coalesce(in_links, 0) AS in_links, coalesce(in_links, 0) >= edge AS in_cut FROM b LEFT JOIN li USING (id), cut WHERE place <= 10""",
     "rank_curve": f"{_PART_RANKS} SELECT place, id, round(ln(CAST(place AS DOUBLE)), 9) AS ln_place, round(ln(CASE WHEN r > 0 THEN r END), 7) AS ln_r FROM pl",
     "rank_curve_slope": f"{_PART_RANKS} SELECT round(regr_slope(ln(r), ln(CAST(place AS DOUBLE))), 6) AS slope, round(regr_r2(ln(r), ln(CAST(place AS DOUBLE))), 6) AS r2 FROM pl WHERE r > 0",
-    "lognormal_plot": f"{LOGNORMAL} SELECT id, round(ln_r, 7) AS ln_r, round(z, 7) + 0.0 AS z FROM z",
+    "lognormal_plot": f"{LOGNORMAL} SELECT id, round(ln_r, 7) AS ln_r, round(z, 5) + 0.0 AS z FROM z",
     "lognormal_straightness": f"{LOGNORMAL} SELECT round(corr(ln_r, z), 6) AS straightness FROM z",
     "tail_plateau": f"{ranks(PAGES)} SELECT round(r, 10) AS r, count(*) AS pages FROM ranks GROUP BY round(r, 10) ORDER BY r LIMIT 1",
     "rank_running_mass": f"{ranks(PATHS)}, pr AS (SELECT id, round(r, 12) AS r FROM ranks) SELECT id, round(sum(r) OVER (ORDER BY r DESC, id ROWS UNBOUNDED PRECEDING), 8) AS mass FROM pr",
@@ -225,7 +313,7 @@ t0 AS (SELECT 0.0::DOUBLE AS a, 0.0::DOUBLE AS b, 0.0::DOUBLE AS c)"""
     "linked_parts": f"SELECT p_partkey FROM part WHERE p_partkey IN (SELECT src FROM {NEXT})",
     "nodes_without_inlinks": f"SELECT DISTINCT src AS id FROM {PAGES} WHERE src NOT IN (SELECT dst FROM {PAGES})",
     "similar_pairs_triangular": f"""WITH n AS (SELECT i, sum(v * v) AS n FROM {SP} GROUP BY i), d AS (SELECT a.i, b.i AS j, sum(a.v * b.v) AS d FROM {SP} a JOIN {SP} b ON a.j = b.j WHERE a.i < b.i GROUP BY a.i, b.i),
-c AS (SELECT d.i, d.j, CAST(d AS DOUBLE) / sqrt(CAST(x.n * y.n AS DOUBLE)) AS v FROM d JOIN n x ON d.i = x.i JOIN n y ON d.j = y.i) SELECT i, j, round(v, 6) + 0.0 AS v FROM c WHERE v >= 0.5""",
+c AS (SELECT d.i, d.j, CAST(d AS DOUBLE) / sqrt(CAST(x.n * y.n AS DOUBLE)) AS v FROM d JOIN n x ON d.i = x.i JOIN n y ON d.j = y.i) SELECT i, j, round(v, 6) + 0.0 AS v FROM c WHERE v >= 0.04""",
     "degree_histogram_range": f"SELECT CASE WHEN in_links < 10 THEN 0 WHEN in_links < 20 THEN 1 WHEN in_links < 40 THEN 2 WHEN in_links < 80 THEN 3 ELSE 4 END::BIGINT AS bin, count(*) AS n FROM {_IN.format(NEXT)} GROUP BY bin",
     "degree_percentiles": f"SELECT quantile_cont(in_links, 0.5) AS p50, quantile_cont(in_links, 0.9) AS p90, max(in_links) AS top, arg_max(id, (in_links, id)) AS top_id, arg_min(id, (in_links, id)) AS low_id FROM {_IN.format(NEXT)}",
     "topk_parts_per_customer": f"SELECT i, j, v, place FROM (SELECT *, row_number() OVER (PARTITION BY i ORDER BY v DESC, j) AS place FROM {CP}) WHERE place <= 3",

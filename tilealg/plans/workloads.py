@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 from tilealg import measures
 from tilealg.functions import registered
 from tilealg.operators import cells as C
-from tilealg.operators import iterate, nmf, pagerank, similarity, svm
+from tilealg.operators import iterate, joins, nmf, pagerank, similarity, svm
 from tilealg.operators.cells import Cells
 from tilealg.operators.generate import random_matrix
 from tilealg.operators.grid import TileGrid
@@ -23,7 +23,7 @@ QUERIES = {}
 
 GEN = (96, 80, 64, 0.125)
 RANK_ITERS = 5
-SVM_ETA, SVM_C = 1e-5, 1.0
+SVM_ETA, SVM_C, SVM_STEPS, SVM_POWER = 1e-5, 1.0, 20, 4
 
 
 def query(f):
@@ -192,7 +192,7 @@ def placement_balance(spark, sf):
 
 @query
 def placement_balance_by_placement(spark, sf):
-    """All placements; hashes are Spark's own, so there is no SQL for it."""
+    """All placements on 8 workers."""
     a = T.supp_part(spark, sf)
     tags = tag_left(a, TileGrid.of(a.rows, a.cols, a.rows, 20, 6, 20))
     out = None
@@ -202,6 +202,18 @@ def placement_balance_by_placement(spark, sf):
     return out
 
 
+@query
+def intermediate_size_by_placement(spark, sf):
+    """Copies, partial cells and bytes on their way between 8 workers, for the coarse grid under each placement and the
+    fine one under random placement."""
+    a, b = T.supp_part(spark, sf), T.cust_part(spark, sf).t
+    out = None
+    for p, m in (("row", 20), ("tile", 20), ("random", 20), ("random", 40)):
+        own = measures.intermediate_counts(a, b, TileGrid.of(a.rows, a.cols, b.cols, m, 6, m), p, 8).select(F.lit(p).alias("placement"), F.lit(m).cast("long").alias("m"), "copied", "partials", "moved", "moved_bytes")
+        out = own if out is None else out.union(own)
+    return out
+
+
 @query
 def intermediate_size_by_grid(spark, sf):
     a, b = T.supp_part(spark, sf), T.cust_part(spark, sf).t
@@ -237,8 +249,9 @@ def _rounded(df: DataFrame, decimals: int = 6) -> DataFrame:
 
 @query
 def embedding_dots(spark, sf):
+    """Dense rows, so tiles are multiplied as blocks."""
     e = T.embed_cells(spark, sf)
-    return _rounded(similarity.row_dots(e, e, grid=TileGrid.of(e.rows, e.cols, e.rows, 2, 1, 2)).df)
+    return _rounded(tiled_product_blocks(e, e.t, TileGrid.of(e.rows, e.cols, e.rows, 4, 1, 4)).df)
 
 
 @query
@@ -301,31 +314,29 @@ def svm_language_gradient(spark, sf):
 
 @query
 def svm_kernel_stats(spark, sf):
-    """Rows, cells, density and bytes of the kernel of the first 25, 50, 100, ... labelled documents."""
+    """Rows, cells, density and bytes of the kernel of the first 25, 50, 100, ... labelled documents, up to all."""
     t, _ = T.doc_term(spark, sf)
     ids = T.load(spark, sf, "labels", "doc_id").distinct().join(T.load(spark, sf, "documents", "doc_id"), "doc_id", "left_semi")
     ranked = C.dictionary(ids, "doc_id").select(F.col("key").alias("i"), F.col("idx").alias("at"))
     own = t.df.join(ranked, "i").select(F.col("at").alias("i"), "j", "v")
     kernel = iterate.cut(similarity.gram_rows(Cells(own, t.rows, t.cols)).df.select(F.greatest("i", "j").alias("reach")))
-    sizes = [25 << q for q in range(5)]
+    sizes = [25]
+    while sizes[-1] < ids.count():
+        sizes.append(2 * sizes[-1])
     n = F.explode(F.array(*[F.lit(s).cast("long") for s in sizes])).alias("n")
     have = ranked.select(n, "at").where("at < n").groupBy("n").agg(F.count(F.lit(1)).alias("n_rows"))
     cells = kernel.select(n, "reach").where("reach < n").groupBy("n").agg(F.count(F.lit(1)).alias("nnz"))
     return have.join(cells, "n").select("n", "n_rows", "nnz", (F.col("nnz") / (F.col("n_rows") * F.col("n_rows"))).alias("density"), (F.col("nnz") * 24).alias("bytes"))
 
 
-def _trained(spark, sf, t: Cells, y: DataFrame, iters: int = 20) -> DataFrame:
-    """Accuracy on held-out rows; y is (i, y, is_test)."""
+def _trained(spark, sf, t: Cells, y: DataFrame, iters: int = SVM_STEPS) -> DataFrame:
+    """Accuracy on held-out rows; y is (i, y, is_test).  The fixed bias is 1, the step 1 over the largest eigenvalue."""
     y, t = iterate.cut(y), t.with_df(iterate.cut(t.df))
     train = y.where("not is_test").select("i", F.col("y").alias("v"))
     own = Cells(iterate.cut(t.df.join(train.select("i"), "i", "left_semi")), t.rows, t.cols)
-    # The largest row sum of |K|, without storing K: T (|T|^T 1) bounds it, plus the bias.
-    ones = train.select("i", F.lit(1.0).alias("v"))
-    mass = Cells(own.df.withColumn("v", F.abs("v")), own.rows, own.cols)
-    top = matvec(mass, matvec(mass.t, ones)).agg(F.max("v")).first()[0] or 0.0
-    model = svm.svm_fit(own, train, c=1.0, bias=0.0, eta=1.0 / max(top, 1e-9), iters=iters)
+    model = svm.svm_fit(own, train, c=1.0, bias=1.0, eta=svm.kernel_step(own, train, bias=1.0, iters=SVM_POWER), iters=iters)
     pred = svm.svm_predict(model, t).join(y.where("is_test").select("i", F.col("y").cast("int").alias("y")), "i")
-    return measures.accuracy(pred)
+    return measures.accuracy(pred).select("rows", "right", *[F.round(c, 9).alias(c) for c in ("accuracy", "balanced", "majority")])
 
 
 @query
@@ -359,8 +370,8 @@ def svm_multiclass_language(spark, sf):
     docs = T.load(spark, sf, "documents", "doc_id", "lang").where("lang is not null").select(F.col("doc_id").alias("i"), F.col("lang").alias("name"))
     train = docs.where("i % 5 <> 0")
     own = Cells(t.df.join(train.select("i"), "i", "left_semi"), t.rows, t.cols)
-    models = svm.svm_fit_ovr(own, train, sorted(r[0] for r in docs.select("name").distinct().collect()), eta=0.05, iters=10, bias=0.0)
-    pred = svm.svm_predict_ovr(models, t).withColumnRenamed("name", "guess").join(docs.where("i % 5 = 0"), "i")
+    model = svm.svm_fit_ovr(Cells(iterate.cut(own.df), t.rows, t.cols), train, sorted(r[0] for r in docs.select("name").distinct().collect()), eta=0.001, iters=10)
+    pred = svm.svm_predict_ovr(model, t).withColumnRenamed("name", "guess").join(docs.where("i % 5 = 0"), "i")
     return pred.agg(F.count(F.lit(1)).alias("rows"), F.sum((F.col("guess") == F.col("name")).cast("long")).alias("right"))
 
 
@@ -388,6 +399,13 @@ def nmf_x(spark, sf):
     return _flat(nmf.nmf_x(w, a), "long")
 
 
+@query
+def nmf_x_tiled(spark, sf):
+    """The same cells by a tiled product on the preset for a tall factor."""
+    a, w, _ = _nmf_parts(spark, sf)
+    return nmf.nmf_x_tiled(w, a, NMF_K).df.select(F.col("j").alias("i"), F.col("i").alias("j"), F.col("v").cast("long").alias("v"))
+
+
 @query
 def nmf_gram(spark, sf):
     _, w, _ = _nmf_parts(spark, sf)
@@ -426,8 +444,9 @@ def nmf_divergence_trace(spark, sf):
 def nmf_fit(spark, sf):
     """Errors over three rounds from the fixed start; never rising."""
     trace: list[float] = []
-    nmf.nmf(T.cust_part(spark, sf), 4, 3, trace=trace)
-    return spark.createDataFrame([(i, e) for i, e in enumerate(trace)], "step long, error double")
+    a = T.cust_part(spark, sf)
+    nmf.nmf(Cells(iterate.cut(a.df), a.rows, a.cols), 4, 3, trace=trace)
+    return spark.createDataFrame([(i, float(f"{e:.7e}")) for i, e in enumerate(trace)], "step long, error double")
 
 
 @query
@@ -504,7 +523,7 @@ def rank_curve_slope(spark, sf):
 
 @query
 def lognormal_plot(spark, sf):
-    return pagerank.lognormal_plot(_part_ranks(spark, sf)).select("id", F.round("ln_r", 7).alias("ln_r"), (F.round("z", 7) + 0.0).alias("z"))
+    return pagerank.lognormal_plot(_part_ranks(spark, sf)).select("id", F.round("ln_r", 7).alias("ln_r"), (F.round("z", 5) + 0.0).alias("z"))
 
 
 @query
@@ -682,9 +701,9 @@ def nodes_without_inlinks(spark, sf):
 
 @query
 def similar_pairs_triangular(spark, sf):
-    """Pairs i < j of suppliers that share enough: cosine of at least 0.5."""
+    """Pairs i < j of suppliers that share enough: cosine of at least 0.04."""
     a = T.supp_part(spark, sf)
-    return _rounded(similarity.row_cosines(a, a).df.where("i < j and v >= 0.5"))
+    return _rounded(similarity.row_cosines(a, a).df.where("i < j and v >= 0.04"))
 
 
 @query
@@ -777,7 +796,34 @@ def distinct_terms_exact(spark, sf):
 
 @query
 def distinct_terms_approx(spark, sf):
-    return T.term_counts(spark, sf).agg(F.approx_count_distinct("term").alias("terms"))
+    """By the 1,024th smallest of the terms' hashes (48 bits of MD5): with k smallest, (k - 1) / the k-th as a fraction."""
+    return registered.distinct_by_smallest(T.term_counts(spark, sf), "term").withColumnRenamed("n", "terms")
+
+
+@query
+def event_as_of_order(spark, sf):
+    """For every order the customer's last earlier order's date and key, by an as-of join of orders to orders."""
+    orders = T.load(spark, sf, "orders", "o_orderkey", "o_custkey", "o_orderdate").withColumn("day", F.datediff(F.to_date("o_orderdate"), F.lit("1970-01-01").cast("date")).cast("long"))
+    later = orders.select("o_orderkey", "o_custkey", (F.col("day") - 1).alias("day"))
+    before = orders.select("o_custkey", "day", F.col("o_orderkey").alias("last_order"))
+    return joins.asof_join(later, before, "o_custkey", "day", ["last_order"])
+
+
+@query
+def events_in_spans(spark, sf):
+    """Events of each kind in the 40 minutes from every 50th order-like event on, by an interval join."""
+    events = T.load(spark, sf, "events", "event_id", "event_type", "ts").withColumn("at", F.unix_micros(F.col("ts").cast("timestamp")))
+    minutes = 60_000_000
+    spans = events.where("event_id % 50 = 0").select(F.col("event_id").alias("span"), F.col("at").alias("low"), (F.col("at") + 40 * minutes).alias("high"))
+    return joins.interval_join(events.select("event_type", "at"), spans, "at", "low", "high", 40 * minutes).groupBy("span", "event_type").agg(F.count(F.lit(1)).alias("n"))
+
+
+@query
+def gram_pairs_udtf(spark, sf):
+    """Gram of the parts through a table function on rows of orders, on and above the diagonal."""
+    registered.register(spark)
+    C.to_rows(T.order_part(spark, sf)).selectExpr("i", "transform(idx, x -> cast(x as bigint)) idx", "val").createOrReplaceTempView("tilealg_rows")
+    return spark.sql("SELECT p.a AS i, p.b AS j, cast(sum(p.v) AS bigint) AS v FROM tilealg_rows, LATERAL gram_pairs(idx, val) p GROUP BY p.a, p.b")
 
 
 @query

@@ -10,6 +10,9 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from tilealg.workers import shipped
+
+shipped(__name__)
 
 def tumbling_counts(events: DataFrame, size: str = "1 hour", late: str = "2 hours") -> DataFrame:
     return events.withWatermark("ts", late).groupBy(F.window("ts", size).alias("w"), "event_type").agg(F.count(F.lit(1)).alias("n")).select(F.col("w.start").alias("start"), "event_type", "n")
@@ -28,6 +31,31 @@ def once(events: DataFrame, late: str = "2 hours") -> DataFrame:
     return events.withWatermark("ts", late).dropDuplicatesWithinWatermark(["event_id"])
 
 
+def link_gaps(events: DataFrame, late: str = "2 hours") -> DataFrame:
+    """(src, dst, gap_us): consecutive events of a user as links between kinds, with a state of one event for each user.
+
+    Events wait until the watermark has passed them, so they are linked in order of time and id; the last event stays.
+    """
+    waiting = events.withWatermark("ts", late).select("user_id", "event_id", "event_type", "ts")
+    return waiting.groupBy("user_id").applyInPandasWithState(_linked, "src string, dst string, gap_us long", "waiting array<struct<ts:long,id:long,kind:string>>", "append", "EventTimeTimeout")
+
+
+def _linked(key, frames, state):
+    import pandas as pd
+
+    kept = [tuple(r) for r in state.get[0]] if state.exists else []
+    for f in frames:
+        kept += list(zip(f["ts"].astype("datetime64[us]").astype("int64").tolist(), f["event_id"].tolist(), f["event_type"].tolist(), strict=True))
+    kept.sort()
+    mark = state.getCurrentWatermarkMs() * 1000
+    ready = [x for x in kept if x[0] <= mark]
+    yield pd.DataFrame([(a[2], b[2], b[0] - a[0]) for a, b in zip(ready, ready[1:], strict=False)], columns=["src", "dst", "gap_us"])
+    left = kept[max(len(ready) - 1, 0) :]
+    state.update((left,))
+    if len(left) > 1:
+        state.setTimeoutTimestamp(left[-1][0] // 1000 + 1)
+
+
 class RunningGram:
     """Gram of user rows over event kinds, brought up to date by micro-batches with ``foreachBatch``.
 
