@@ -334,9 +334,9 @@ def test_dual_objective_and_steps(spark):
     gap = max(0.0 if (a <= 0 and g < 0) or (a >= 0.4 and g > 0) else abs(g) for a, g in zip(alpha, slope, strict=True))
     assert abs(measures.kkt_gap(k, labels, state, 0.4) - gap) < 1e-9
     top = 1 / np.linalg.eigvalsh(full)[-1]
-    assert abs(svm.kernel_step(t, labels.select("i"), 1.0, 40) / top - 1) < 1e-3
-    assert abs(iterate.step_size(k, "power", 60) / top - 1) < 1e-3
-    model = svm.svm_fit(t, labels, eta=top, iters=8, kernel_mode="materialised", trace=True)
+    assert abs(svm.kernel_step(t, labels.select("i"), 1.0, 6) / top - 1) < 0.1
+    assert abs(iterate.step_size(k, "power", 6) / top - 1) < 0.1
+    model = svm.svm_fit(t, labels, eta=top, iters=3, kernel_mode="materialised", trace=True)
     assert measures.is_non_decreasing(model.objective)
 
 
