@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from tilealg.llm.bytewords import text_blocks
+from tilealg.llm.bytewords import opened, ship, text_blocks
 
 CODED = "doc_id long, ids array<int>, decoded binary"
 DIGESTS = "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string"
@@ -68,13 +68,12 @@ class PairTable:
 
 
 class Merges:
-    """Vocabulary of a rank file and the pairs that can be merged with it."""
+    """Vocabulary of a rank file (its bytes) and the pairs that can be merged with it."""
 
-    def __init__(self, path: str, pattern: str):
+    def __init__(self, lines: bytes, pattern: str):
         import regex
 
-        with open(path, "rb") as lines:
-            ranks = {base64.b64decode(a): int(b) for a, b in map(bytes.split, lines)}
+        ranks = {base64.b64decode(a): int(b) for a, b in map(bytes.split, lines.splitlines())}
         self.ranks, self.pattern = ranks, regex.compile(pattern)
         self.spelled = {i: token for token, i in ranks.items()}
         self.byte = np.array([ranks.get(bytes([b]), -1) for b in range(256)], np.int32)
@@ -164,9 +163,9 @@ class Merges:
         return [i for i, t in zip(ids, text, strict=True) if t is not None]
 
 
-def _texts(batches: Iterator[pa.RecordBatch], path: str, pattern: str, most_cached: int = 300_000):
+def _texts(batches: Iterator[pa.RecordBatch], shipped, pattern: str, most_cached: int = 300_000):
     """Blocks of rows with, for each text, its pieces; and the tokens of all pieces seen."""
-    merges = Merges(path, pattern)
+    merges = Merges(opened(shipped), pattern)
     known: dict[str, tuple] = {}
     for batch in batches:
         for a, b in text_blocks(batch.column("text")):
@@ -181,9 +180,9 @@ def _texts(batches: Iterator[pa.RecordBatch], path: str, pattern: str, most_cach
             yield part, cut, known, merges
 
 
-def _digester(path: str, pattern: str):
+def _digester(shipped, pattern: str):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for part, cut, known, merges in _texts(batches, path, pattern):
+        for part, cut, known, merges in _texts(batches, shipped, pattern):
             size, ids_hash, text_hash = [], [], []
             for pieces in cut:
                 own = [known[p] for p in pieces]
@@ -196,24 +195,30 @@ def _digester(path: str, pattern: str):
     return run
 
 
-def _coder(path: str, pattern: str):
+def _coder(shipped, pattern: str):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for part, cut, known, merges in _texts(batches, path, pattern):
+        for part, cut, known, merges in _texts(batches, shipped, pattern):
             ids = [[i for p in pieces for i in known[p][1]] for pieces in cut]
             yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array(ids, pa.list_(pa.int32())), pa.array([b"".join(map(merges.spelled.__getitem__, x)) for x in ids], pa.binary())], ["doc_id", "ids", "decoded"])
 
     return run
 
 
+def _shipped(docs: DataFrame, path: str):
+    """The rank file's bytes (about a megabyte), read where the path is known."""
+    with open(path, "rb") as lines:
+        return ship(docs.sparkSession.sparkContext, lines.read())
+
+
 def _narrow(docs: DataFrame) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
 
 
 def encoded(docs: DataFrame, path: str, pattern: str) -> DataFrame:
     """doc_id, ids, decoded (bytes made from the ids) for each row of ``docs``.  Null and empty texts have no ids."""
-    return _narrow(docs).mapInArrow(_coder(path, pattern), CODED)
+    return _narrow(docs).mapInArrow(_coder(_shipped(docs, path), pattern), CODED)
 
 
 def code_digests(docs: DataFrame, path: str, pattern: str) -> DataFrame:
     """n_tokens and hashes of the ids and of the bytes decoded from them, for each row of ``docs``."""
-    return _narrow(docs).mapInArrow(_digester(path, pattern), DIGESTS)
+    return _narrow(docs).mapInArrow(_digester(_shipped(docs, path), pattern), DIGESTS)
