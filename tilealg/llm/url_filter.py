@@ -1,9 +1,10 @@
 """URL filter: a blocked Bloom filter over canonical rules passes possible hits to an exact hash join.
 
 A rule is a host and a path prefix with a verdict; it fits its host, all subdomains of it, and all paths that start
-with its path.  A URL's probes are its host's suffixes (whole labels) crossed with its path's prefixes of the lengths
-that rules have.  The filter keeps one 64-bit block for each key, all of whose bits lie in it, so a probe reads one
-word.  Probes that pass go to a hash join with the rules, which removes false positives; the longest rule wins.
+with its path.  A URL's probes are its host's suffixes of as many labels as rules have, crossed with its path's prefixes of
+the lengths that rules have: as many as the rules call for, however long the URL is.  The filter keeps one 64-bit block
+for each key, all of whose bits lie in it, so a probe reads one word.  Probes that pass go to a hash join with the
+rules, which removes false positives; the longest rule wins.
 """
 
 from __future__ import annotations
@@ -78,11 +79,12 @@ def url_verdicts(pages: DataFrame, rules: DataFrame, unlisted: str = "allow") ->
     context = pages.sparkSession.sparkContext
     rules = rules.where("host is not null and path is not null and verdict is not null").groupBy("host", "path").agg(F.min("verdict").alias("verdict")).withColumn("key", F.concat("host", "path"))
     reach = sorted(r[0] for r in rules.select(F.length("path")).distinct().collect())
+    depth = sorted(r[0] for r in rules.select(F.size(F.split("host", r"\."))).distinct().collect())
     url = F.col("url").cast("string")
     host, path = host_and_path(url)
     pages = pages.select(F.col("page_id").cast("long").alias("page_id"), host.alias("host"), path.alias("path"))
     labels = F.split("host", r"\.")
-    suffixes = F.transform(F.sequence(F.lit(1), F.size(labels)), lambda i: F.concat_ws(".", F.slice(labels, i, F.size(labels))))
+    suffixes = F.filter(F.array(*[F.when(F.size(labels) >= n, F.array_join(F.slice(labels, -n, n), ".")) for n in depth] or [F.lit(None).cast("string")]), lambda h: h.isNotNull())
     prefixes = F.filter(F.array(*[F.when(F.length("path") >= n, F.substring("path", 1, n)) for n in reach] or [F.lit(None).cast("string")]), lambda p: p.isNotNull())
     probes = pages.withColumn("keys", F.flatten(F.transform(suffixes, lambda h: F.transform(prefixes, lambda p: F.concat(h, p)))))
     made = bloom(F.col("key"), rules)
