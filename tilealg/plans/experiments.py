@@ -86,18 +86,17 @@ def density_sweep(spark: SparkSession, m: int = 4096, densities=(2**-10, 2**-9,
 
 
 @experiment
-def placement_sweep(spark: SparkSession, m: int = 4096, density: float = 2**-7) -> Iterator[dict]:
-    """Placements and grids: seconds, cells between the stages, busy workers and partials that need not move."""
+def placement_sweep(spark: SparkSession, m: int | tuple[int, ...] = (2048, 4096, 8192), density: float = 2**-7) -> Iterator[dict]:
+    """Placements and grids at each size: seconds, cells and bytes between the stages, and partials that need not move."""
     _warm(spark)
-    a, b = _pair(spark, m, density)
-    counts = {}
-    for placement, shape in (("row", COARSE), ("random", COARSE), ("random", FINE), ("tile", COARSE)):
-        grid = _grid(m, shape)
-        if shape not in counts:
-            counts[shape] = measures.intermediate_counts(a, b, grid).first().asDict()
-        workers = int(spark.conf.get("spark.sql.shuffle.partitions"))
-        took = measures.timed(lambda p=placement, g=grid: tiled_product(a, b, g, p).df)
-        yield {"placement": placement, "grid": shape, "seconds": round(took, 2), **counts[shape], "stays": round(measures.local_fraction(a, b, grid, placement, workers), 3)}
+    workers = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    for size in (m,) if isinstance(m, int) else m:
+        a, b = _pair(spark, size, density)
+        for placement, shape in (("row", COARSE), ("random", COARSE), ("random", FINE), ("tile", COARSE)):
+            grid = _grid(size, shape)
+            counts = measures.intermediate_counts(a, b, grid, placement).first().asDict()
+            took = measures.timed(lambda p=placement, g=grid: tiled_product(a, b, g, p).df)  # noqa: B023
+            yield {"m": size, "placement": placement, "grid": shape, "seconds": round(took, 2), **counts, "stays": round(measures.local_fraction(a, b, grid, placement, workers), 3)}
 
 
 @experiment
