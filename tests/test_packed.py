@@ -1,5 +1,7 @@
 """Packed products, Grams and the queries that need them at size."""
 
+from pathlib import Path
+
 import duckdb
 import numpy as np
 import pytest
@@ -56,3 +58,25 @@ def test_planned_product_is_packed(spark, tight):
     for name in ("lineitem", "orders"):
         db.sql(f"CREATE VIEW {name} AS SELECT * FROM '{SF}/{name}.parquet'")
     assert sorted(map(tuple, got.collect())) == sorted(db.sql(entry.oracle_sql()["product_planned"]).fetchall())
+
+
+def same_as_sql(spark, name):
+    import __spark_entry__ as entry
+
+    db = duckdb.connect()
+    for f in Path(SF).glob("*.parquet"):
+        db.sql(f"CREATE VIEW {f.stem} AS SELECT * FROM '{f}'")
+    want = db.sql(entry.oracle_sql()[name])
+    got = entry.queries()[name](spark, SF)
+    assert sorted(map(tuple, got.select(*want.columns).collect()), key=str) == sorted(want.fetchall(), key=str)
+    return got
+
+
+@pytest.mark.parametrize("name", ["intermediate_size_by_grid", "intermediate_size_by_placement"])
+def test_partials_are_counted_in_packed_tiles(spark, tight, name):
+    assert "Aggregate [pid" not in plan(same_as_sql(spark, name))
+
+
+@pytest.mark.parametrize("name", ["gram_suppliers", "gram_customers"])
+def test_large_grams_are_packed(spark, tight, name):
+    assert "MapInArrow" in plan(same_as_sql(spark, name))

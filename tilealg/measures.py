@@ -12,6 +12,7 @@ from pyspark.sql import functions as F
 
 from tilealg.operators.cells import Cells
 from tilealg.operators.grid import TileGrid
+from tilealg.operators.packed import packed_counts
 from tilealg.operators.product import group_tiles, multiply_tiles, shard, tag_left, tag_right, workers_of
 
 
@@ -55,6 +56,18 @@ def intermediate_counts(a: Cells, b: Cells, grid: TileGrid, placement: str = "ti
     return copied.crossJoin(own).withColumn("moved_bytes", F.col("copied") * TAGGED_BYTES + F.col("moved") * PARTIAL_BYTES)
 
 
+def intermediate_counts_many(a: Cells, b: Cells, grids: list[tuple[TileGrid, str]], workers: int | None = None) -> DataFrame:
+    """(at, copied, partials, moved, moved_bytes) of ``intermediate_counts`` for each place ``at`` of the list, all from one
+    product in packed tiles, as partial cells of a large product are too many to be sent."""
+    counts = packed_counts(a, b, grids, workers or workers_of(a.spark))
+    cells = counts.where("at < 0").select(F.col("x").alias("na"), F.col("y").alias("nb"))
+    edges = a.spark.createDataFrame([(at, g.k, g.m) for at, (g, _) in enumerate(grids)], "at int, k long, m long")
+    own = F.broadcast(edges).crossJoin(F.broadcast(cells)).join(F.broadcast(counts.where("at >= 0")), "at", "left")
+    zero = lambda c: F.coalesce(c, F.lit(0).cast("long"))
+    copied = F.col("k") * F.col("na") + F.col("m") * F.col("nb")
+    return own.select("at", copied.alias("copied"), zero(F.col("x")).alias("partials"), zero(F.col("y")).alias("moved"), (copied * TAGGED_BYTES + zero(F.col("y")) * PARTIAL_BYTES).alias("moved_bytes"))
+
+
 def placement_balance(tags: DataFrame, placement: str, workers: int) -> DataFrame:
     """(busy, most, mean): workers with cells, and cells at the fullest and at the mean one."""
     return tags.withColumn("pid", shard(placement, workers)).groupBy("pid").count().agg(F.count(F.lit(1)).alias("busy"), F.max("count").alias("most"), (F.sum("count") / workers).alias("mean"))
