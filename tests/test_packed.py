@@ -80,3 +80,19 @@ def test_partials_are_counted_in_packed_tiles(spark, tight, name):
 @pytest.mark.parametrize("name", ["gram_suppliers", "gram_customers"])
 def test_large_grams_are_packed(spark, tight, name):
     assert "MapInArrow" in plan(same_as_sql(spark, name))
+
+
+CHANGED = (
+    "power_method_gram", "generator_cells", "product_generated", "nmf_gram", "nmf_y", "svm_language_gradient", "svm_language_alpha_materialised", "tile_product_arrow", "product_broadcast", "svm_kernel_stats",
+    "document_cosine_topk", "embedding_topk", "embedding_distances", "embedding_dots",
+)
+
+
+@pytest.mark.parametrize("name", CHANGED)
+def test_changed_queries_equal_sql(spark, tight, monkeypatch, name):
+    from tilealg.operators import svm
+
+    monkeypatch.setattr(svm, "MOST_KERNEL", 100)
+    got = same_as_sql(spark, name)
+    if name in ("generator_cells", "product_generated", "nmf_gram", "nmf_y"):
+        assert ("part.parquet" if name == "nmf_y" else "customer.parquet") in str(got.inputFiles())
