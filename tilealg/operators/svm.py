@@ -47,6 +47,14 @@ def svm_gradient(k: Cells, y: DataFrame, alpha: DataFrame, form: str = "elementw
     return y.join(dots, "i", "left").select("i", (1 - F.col("v") * F.coalesce("w", F.lit(0.0))).alias("v"))
 
 
+def svm_gradient_implicit(t: Cells, y: DataFrame, alpha: DataFrame, bias: float = 0.0) -> DataFrame:
+    """``svm_gradient`` for the kernel of T, through T (T^T D): work grows with the cells of T, and no kernel is made."""
+    signed = y.withColumnRenamed("v", "y").join(alpha, "i").select("i", (F.col("y") * F.col("v")).alias("v"))
+    through = matvec(t, matvec(t.t, signed)).withColumnRenamed("v", "w")
+    level = signed.agg((F.coalesce(F.sum("v"), F.lit(0.0)) * bias * bias).alias("b"))
+    return y.join(through, "i", "left").crossJoin(F.broadcast(level)).select("i", (1 - F.col("v") * (F.coalesce("w", F.lit(0.0)) + F.col("b"))).alias("v"))
+
+
 def svm_dual_objective(k: Cells, y: DataFrame, alpha: DataFrame) -> float:
     """Sum of alpha less half of the quadratic form."""
     slope = svm_gradient(k, y, alpha).withColumnRenamed("v", "g")
