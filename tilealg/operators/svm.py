@@ -7,6 +7,7 @@ Materialised mode keeps K = T T^T; implicit mode multiplies T (T^T D) and never
 from __future__ import annotations
 
 import time
+import warnings
 from dataclasses import dataclass, field
 
 from pyspark.sql import DataFrame
@@ -18,7 +19,11 @@ from tilealg.operators.product import broadcast_product, matvec
 from tilealg.operators.similarity import gram_rows
 
 
-def linear_kernel(t: Cells, bias: float = 0.0, most_cells: int = 2_000_000_000, **how) -> Cells:
+#: Cells of a kernel that is stored.
+MOST_KERNEL = 2_000_000_000
+
+
+def linear_kernel(t: Cells, bias: float = 0.0, most_cells: int = MOST_KERNEL, **how) -> Cells:
     """T T^T + bias^2; with a bias all cells are stored, and more than ``most_cells`` of them is an error."""
     k = gram_rows(t, half=True, **how)
     if not bias:
@@ -92,7 +97,10 @@ def svm_fit(t: Cells, y: DataFrame, c: float = 1.0, bias: float = 1.0, eta: floa
     y = cut(y.select("i", "v"))
     alpha = y.select("i", F.lit(0.0).alias("v"))
     kernel = None
-    if kernel_mode == "materialised":
+    if kernel_mode == "materialised" and bias and t.rows**2 > MOST_KERNEL:
+        # As linear_kernel advises: the steps are the same.
+        warnings.warn(f"a kernel of {t.rows} rows with a bias has no empty cells and isn't stored; steps go through the features", stacklevel=2)
+    elif kernel_mode == "materialised":
         kernel = Cells(cut(linear_kernel(t, bias).df), t.rows, t.rows)
     elif kernel_mode != "implicit":
         raise ValueError("kernel_mode is materialised or implicit")
