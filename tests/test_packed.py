@@ -96,3 +96,14 @@ def test_changed_queries_equal_sql(spark, tight, monkeypatch, name):
     got = same_as_sql(spark, name)
     if name in ("generator_cells", "product_generated", "nmf_gram", "nmf_y"):
         assert ("part.parquet" if name == "nmf_y" else "customer.parquet") in str(got.inputFiles())
+
+
+FLAGSHIPS = ("product_inner_only",)
+
+
+@pytest.mark.parametrize("name", FLAGSHIPS)
+def test_large_flagships_sum_lines_where_they_meet(spark, tight, name):
+    """One exchange of each operand's rows and one of the pieces, besides the two sides of the join of lines and orders."""
+    got = same_as_sql(spark, name)
+    physical = got._jdf.queryExecution().sparkPlan().toString()
+    assert "MapInArrow" in physical and "HashAggregate" not in physical and physical.count("Exchange ") == 2
