@@ -84,7 +84,7 @@ def test_large_grams_are_packed(spark, tight, name):
 
 CHANGED = (
     "power_method_gram", "generator_cells", "product_generated", "nmf_gram", "nmf_y", "svm_language_gradient", "svm_language_alpha_materialised", "tile_product_arrow", "product_broadcast", "svm_kernel_stats",
-    "document_cosine_topk", "embedding_topk", "embedding_distances", "embedding_dots",
+    "document_cosine_topk", "embedding_topk", "embedding_distances", "embedding_dots", "doc_term_gram",
 )
 
 
@@ -107,3 +107,36 @@ def test_large_flagships_sum_lines_where_they_meet(spark, tight, name):
     got = same_as_sql(spark, name)
     physical = got._jdf.queryExecution().sparkPlan().toString()
     assert "MapInArrow" in physical and "HashAggregate" not in physical and physical.count("Exchange ") == 2
+
+
+@pytest.mark.parametrize("least", [-1, 1])
+@pytest.mark.parametrize("block", [64 << 20, 600])
+def test_frequent_indices_are_multiplied_as_blocks(monkeypatch, block, least):
+    """Same cells with blocks, with some, and (as cells without a positive sum must stay) without."""
+    monkeypatch.setattr(packed, "STRIP", 40)
+    monkeypatch.setattr(packed, "BLOCK", block)
+    rng = np.random.default_rng(1)
+    share = np.array([0.9, 0.02, 1.0, 0.05, 0.0, 0.5])
+    a, b = (rng.integers(least, 5, s) * (rng.random(s) < p) for s, p in (((19, 6), share), ((6, 13), share[:, None])))
+    made, real = [], packed._dense
+    monkeypatch.setattr(packed, "_dense", lambda *x: made.append(real(*x)) or made[-1])
+    i, t = np.nonzero(a)
+    u, j = np.nonzero(b)
+    cells = {}
+    for x, y, v in packed._strips([(t, i, a[i, t])], [(u, j, b[u, j])], True):
+        cells |= {(int(p), int(q)): int(z) for p, q, z in zip(x, y, v, strict=True)}
+    hit = (a != 0).astype(int) @ (b != 0).astype(int)
+    assert cells == {(int(p), int(q)): int((a @ b)[p, q]) for p, q in zip(*np.nonzero(hit), strict=True)}
+    assert not made if least < 0 else made[0] is not None
+
+
+def test_words_are_counted_where_documents_are_read(spark, tmp_path):
+    """As ``term_counts``, also where two documents share an id (then by an exchange)."""
+    from tilealg.sources import tables
+
+    rows = [(1, "Aa bb aa\x00aa"), (2, None), (3, "É x-X")]
+    for more, plain in (([], True), ([(1, "bb cc")], False)):
+        spark.createDataFrame(rows + more, "doc_id long, text string").write.parquet(f"{tmp_path}/{plain}/documents.parquet")
+        got = tables.local_term_counts(spark, f"{tmp_path}/{plain}")
+        assert ("MapInArrow" in plan(got)) is plain
+        assert sorted(map(tuple, got.collect())) == sorted(map(tuple, tables.term_counts(spark, f"{tmp_path}/{plain}").collect()))
