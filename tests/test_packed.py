@@ -98,7 +98,7 @@ def test_changed_queries_equal_sql(spark, tight, monkeypatch, name):
         assert ("part.parquet" if name == "nmf_y" else "customer.parquet") in str(got.inputFiles())
 
 
-FLAGSHIPS = ("product_inner_only", "product_random_placement", "product_row_placement", "product_supplier_customer", "product_tile_placement")
+FLAGSHIPS = ("product_inner_only", "product_random_placement", "product_row_placement", "product_supplier_customer", "product_tile_placement", "product_random_placement_fine")
 
 
 @pytest.mark.parametrize("name", FLAGSHIPS)
