@@ -140,3 +140,40 @@ def test_words_are_counted_where_documents_are_read(spark, tmp_path):
         got = tables.local_term_counts(spark, f"{tmp_path}/{plain}")
         assert ("MapInArrow" in plan(got)) is plain
         assert sorted(map(tuple, got.collect())) == sorted(map(tuple, tables.term_counts(spark, f"{tmp_path}/{plain}").collect()))
+
+
+EVERYWHERE = ("product_random_placement",)
+
+
+@pytest.mark.parametrize("name", EVERYWHERE)
+@pytest.mark.parametrize("most", [packed.DEALT_CELLS, 2000])
+def test_stripes_of_large_flagships_follow_their_cells(spark, tight, monkeypatch, name, most):
+    """Not the 20 or 40 stripes of the query's grid, to each of which a cell may be copied: as many as hold the cells."""
+    monkeypatch.setattr(packed, "DEALT_CELLS", most)
+    monkeypatch.setattr(packed, "SUB_CELLS", 300)
+    made, real = [], packed.dealt
+    monkeypatch.setattr(packed, "dealt", lambda *x: made.append(real(*x)) or made[-1])
+    same_as_sql(spark, name)
+    (grid, how), lines = made[0], duckdb.sql(f"SELECT count(*) FROM '{SF}/lineitem.parquet'").fetchall()[0][0]
+    for parts, edge in ((grid.m, grid.a), (grid.k, grid.c)):
+        least = -(-min(lines, edge * grid.b) // most)
+        assert least <= parts <= 2 * least
+    assert how.subs > 1
+
+
+@pytest.mark.parametrize("placement", ["row", "tile", "random"])
+def test_tiles_of_large_products_are_spread(placement):
+    """Tiles go to partitions of their own; where only stripes of one number meet, to nearly all of them, a cell once."""
+    grid, how = packed.dealt(TileGrid.of(960, 960, 960, 20, 6, 20), 4 * packed.DEALT_CELLS, 4 * packed.DEALT_CELLS, placement, 96)
+    assert (grid.m, grid.k) == (4, 4) and len(set(how.home.ravel().tolist())) == 16
+    assert how.home.tolist() == np.arange(16).reshape(4, 4).tolist() or placement != "row"
+    t, side, x = (np.array(c) for c in zip(*[(j, s, j) for j in range(960) for s in (0, 1)], strict=True))
+    rows = [r for b in packed._pieces([t, side, x, x], (4, 4, 240, 240), placement, 96, False, how) for r in b.to_pylist()]
+    assert sum(r["n"] for r in rows) == 2 * 960 and len({r["pid"] for r in rows}) == 16
+    assert all(r["part"] == 0 if r["side"] else r["part"] > 0 for r in rows)
+
+
+def test_pieces_keep_their_numbers():
+    for x in (np.array([3, -1, 127], np.int8), np.array([-(2**62), 5]), np.array([0.5, -1e300]), np.array([2**20, -7], np.int32)):
+        raw = packed._raw(x)
+        assert packed._read(raw, len(x), x.dtype.kind).tolist() == x.tolist()
