@@ -142,7 +142,7 @@ def test_words_are_counted_where_documents_are_read(spark, tmp_path):
         assert sorted(map(tuple, got.collect())) == sorted(map(tuple, tables.term_counts(spark, f"{tmp_path}/{plain}").collect()))
 
 
-EVERYWHERE = ("product_random_placement", "product_row_placement", "product_supplier_customer", "product_tile_placement")
+EVERYWHERE = ("product_random_placement", "product_row_placement", "product_supplier_customer", "product_tile_placement", "product_random_placement_fine")
 
 
 @pytest.mark.parametrize("name", EVERYWHERE)
