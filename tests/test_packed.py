@@ -4,6 +4,7 @@ from pathlib import Path
 
 import duckdb
 import numpy as np
+import pyarrow as pa
 import pytest
 from test_engine import dense, sparse
 
@@ -177,3 +178,34 @@ def test_pieces_keep_their_numbers():
     for x in (np.array([3, -1, 127], np.int8), np.array([-(2**62), 5]), np.array([0.5, -1e300]), np.array([2**20, -7], np.int32)):
         raw = packed._raw(x)
         assert packed._read(raw, len(x), x.dtype.kind).tolist() == x.tolist()
+
+
+SENT = ("product_tile_placement",)
+
+
+@pytest.mark.parametrize("name", SENT)
+def test_large_flagships_pack_cells_before_they_meet(spark, tight, name):
+    """What is exchanged so that cells meet is blocks, not a row for each cell."""
+    physical = same_as_sql(spark, name)._jdf.queryExecution().sparkPlan().toString()
+    assert physical.count("MapInArrow") == 3 and "hashpartitioning(t#" not in physical
+
+
+@pytest.mark.parametrize("kind", ["counts", "whole", "parts"])
+def test_sent_cells_arrive_by_buckets(monkeypatch, kind):
+    """Every cell once, in the order of the inner index inside a bucket, no index in two; whole numbers in few bytes."""
+    monkeypatch.setattr(packed, "CHUNK", 2000)
+    rng = np.random.default_rng(2)
+    t, side, x = rng.integers(0, 900, 9000), rng.integers(0, 2, 9000).astype(np.int32), rng.integers(2**40, 2**40 + 500, 9000)
+    v = {"counts": rng.integers(1, 60, 9000), "whole": rng.integers(1, 60, 9000).astype(float), "parts": rng.random(9000)}[kind]
+    rows = [pa.RecordBatch.from_arrays([pa.array(c[low : low + 700]) for c in (t, side, x, v)], ["t", "side", "x", "v"]) for low in range(0, 9000, 700)]
+    sent = [r for b in packed._sent(iter(rows), 3, 4, kind != "parts") for r in b.to_pylist()]
+    assert {r["pid"] for r in sent} == {0, 1, 2} and {r["bucket"] for r in sent} == {0, 1, 2, 3}
+    assert kind == "parts" or sum(len(r[c]) for r in sent for c in ("ts", "xs", "vs")) < 9000 * 7
+    got, seen = [], []
+    for pid in range(3):
+        own = sorted((r for r in sent if r["pid"] == pid), key=lambda r: r["bucket"])
+        for cols in packed._received(iter([pa.RecordBatch.from_pylist(own[:5]), pa.RecordBatch.from_pylist(own[5:])]), kind == "counts"):
+            assert (np.diff(cols[0]) >= 0).all()
+            seen += set(cols[0].tolist())
+            got += zip(*(c.tolist() for c in cols), strict=True)
+    assert len(seen) == len(set(seen)) and sorted(got) == sorted(zip(t.tolist(), side.tolist(), x.tolist(), v.tolist(), strict=True))
