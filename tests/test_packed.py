@@ -180,7 +180,7 @@ def test_pieces_keep_their_numbers():
         assert packed._read(raw, len(x), x.dtype.kind).tolist() == x.tolist()
 
 
-SENT = ("product_tile_placement", "product_supplier_customer", "product_row_placement")
+SENT = ("product_tile_placement", "product_supplier_customer", "product_row_placement", "product_random_placement_fine", "product_random_placement")
 
 
 @pytest.mark.parametrize("name", SENT)
