@@ -209,3 +209,19 @@ def test_sent_cells_arrive_by_buckets(monkeypatch, kind):
             seen += set(cols[0].tolist())
             got += zip(*(c.tolist() for c in cols), strict=True)
     assert len(seen) == len(set(seen)) and sorted(got) == sorted(zip(t.tolist(), side.tolist(), x.tolist(), v.tolist(), strict=True))
+
+
+@pytest.mark.parametrize("squared", [True, False])
+def test_distances_are_made_whole_in_tiles(spark, squared):
+    """Rows without a common column and without a cell too; nothing stands between the tiles and the result."""
+    from tilealg.operators import similarity
+    from tilealg.operators.cells import Cells
+
+    rows = {0: {0: 1.0, 2: 2.0}, 1: {1: 3.0}, 3: {0: -1.0, 1: 0.5}}
+    a = Cells(spark.createDataFrame([(i, j, v) for i, r in rows.items() for j, v in r.items()], "i long, j long, v double"), 5, 3)
+    asked = spark.createDataFrame([(1,), (2,), (3,)], "i long")
+    got = similarity.row_distances(a, a, squared, rows=asked, decimals=6).df
+    assert got._jdf.queryExecution().optimizedPlan().getClass().getSimpleName() == "MapInArrow"
+    dense = np.array([[rows.get(i, {}).get(j, 0.0) for j in range(3)] for i in range(5)])
+    want = ((dense[:, None] - dense[None]) ** 2).sum(2) ** (1 if squared else 0.5)
+    assert {(r.i, r.j): r.v for r in got.collect()} == pytest.approx({(i, j): round(want[i, j], 6) for i in (1, 2, 3) for j in range(5)})
