@@ -225,3 +225,24 @@ def test_distances_are_made_whole_in_tiles(spark, squared):
     dense = np.array([[rows.get(i, {}).get(j, 0.0) for j in range(3)] for i in range(5)])
     want = ((dense[:, None] - dense[None]) ** 2).sum(2) ** (1 if squared else 0.5)
     assert {(r.i, r.j): r.v for r in got.collect()} == pytest.approx({(i, j): round(want[i, j], 6) for i in (1, 2, 3) for j in range(5)})
+
+
+@pytest.mark.parametrize("scale", [1, 1 << 20])
+def test_rows_that_meet_few_columns_are_multiplied_as_blocks(monkeypatch, scale):
+    """Same cells in four and in eight bytes; rows of two groups share no inner index, and strips may hold both."""
+    rng = np.random.default_rng(2)
+    a, b = np.zeros((50, 20), int), np.zeros((20, 70), int)
+    for g in (0, 1):
+        a[25 * g : 25 * g + 25, 10 * g : 10 * g + 10] = rng.integers(0, 3, (25, 10))
+        b[10 * g : 10 * g + 10, 35 * g : 35 * g + 35] = rng.integers(1, 5, (10, 35)) * scale
+    monkeypatch.setattr(packed, "FASTER", 0)
+    monkeypatch.setattr(packed, "TALL", 20)
+    made, real = [], packed._locally
+    monkeypatch.setattr(packed, "_locally", lambda *x: made.append(real(*x)) or made[-1])
+    i, t = np.nonzero(a)
+    u, j = np.nonzero(b)
+    cells = {}
+    for x, y, v in packed._strips([(t, i, a[i, t])], [(u, j, b[u, j])], True):
+        cells |= {(int(p), int(q)): int(z) for p, q, z in zip(x, y, v, strict=True)}
+    assert cells == {(int(p), int(q)): int((a @ b)[p, q]) for p, q in zip(*np.nonzero(a @ b), strict=True)}
+    assert len(made) == 3 and all(made) and made[0][1].dtype == (np.float32 if scale == 1 else np.float64)
