@@ -246,3 +246,34 @@ def test_rows_that_meet_few_columns_are_multiplied_as_blocks(monkeypatch, scale)
         cells |= {(int(p), int(q)): int(z) for p, q, z in zip(x, y, v, strict=True)}
     assert cells == {(int(p), int(q)): int((a @ b)[p, q]) for p, q in zip(*np.nonzero(a @ b), strict=True)}
     assert len(made) == 3 and all(made) and made[0][1].dtype == (np.float32 if scale == 1 else np.float64)
+
+
+@pytest.mark.parametrize("least", [1, -1])
+@pytest.mark.parametrize("block", [64 << 20, 0])
+def test_nearest_rows_are_found_from_whole_numbers(monkeypatch, least, block):
+    """With blocks and without, and with negative numbers; ties go to the smaller column, rows aren't their own neighbours."""
+    monkeypatch.setattr(packed, "STRIP", 30)
+    monkeypatch.setattr(packed, "BLOCK", block)
+    rng = np.random.default_rng(3)
+    a = rng.integers(least, 4, (30, 9)) * (rng.random((30, 9)) < np.linspace(0.05, 1, 9))
+    a[7], a[11], a[5] = a[3], a[3], 0
+    n2 = (a * a).sum(1)
+    i, t = np.nonzero(a)
+    live = np.flatnonzero(n2)
+    side = lambda ok: [(np.append(t[ok[i]], np.full(ok[live].sum(), 9)), np.append(i[ok[i]], live[ok[live]]), np.append(a[i, t][ok[i]], n2[live[ok[live]]]))]
+    found = {}
+    for x, y, v in packed._nearest(side(np.arange(30) % 3 == 0), side(np.ones(30, bool)), 9, 3, 9, True):
+        for p, q, z in zip(x.tolist(), y.tolist(), v.tolist(), strict=True):
+            found.setdefault(p, []).append((-z, q))
+    hit = (a != 0).astype(int) @ (a != 0).T.astype(int)
+    for p in range(0, 30, 3):
+        want = sorted((-round(float(a[p] @ a[q] / np.sqrt(float(n2[p] * n2[q]))), 9), q) for q in range(30) if q != p and hit[p, q])
+        assert [(pytest.approx(z), q) for z, q in want[:3]] == sorted(found.get(p, []))[:3]
+
+
+def test_cells_of_document_search_are_neither_written_nor_exchanged_as_rows(spark):
+    """Words are counted where documents are read, and counts travel in packed blocks."""
+    from tilealg.plans.workloads import QUERIES
+
+    text = QUERIES["document_cosine_topk"](spark, SF)._jdf.queryExecution().optimizedPlan().toString()
+    assert text.count("MapInArrow") > 2 and "LogicalRDD [i" not in text and "regexp_extract_all" not in text
