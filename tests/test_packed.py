@@ -277,3 +277,32 @@ def test_cells_of_document_search_are_neither_written_nor_exchanged_as_rows(spar
 
     text = QUERIES["document_cosine_topk"](spark, SF)._jdf.queryExecution().optimizedPlan().toString()
     assert text.count("MapInArrow") > 2 and "LogicalRDD [i" not in text and "regexp_extract_all" not in text
+
+
+@pytest.mark.parametrize("kind", ["positive", "mixed", "double"])
+@pytest.mark.parametrize("diagonal", [True, False])
+def test_gram_cells_are_counted_where_they_are_made(monkeypatch, kind, diagonal):
+    """By their larger index, with their mirrors; zeros that cancel stay cells."""
+    monkeypatch.setattr(packed, "STRIP", 30)
+    rng = np.random.default_rng(4)
+    a = rng.integers(-1 if kind == "mixed" else 1, 3, (24, 7)) * (rng.random((24, 7)) < np.linspace(0.02, 0.6, 7))
+    a = a * (1.5 if kind == "double" else 1)
+    i, t = np.nonzero(a)
+    up, low = i < (24 if diagonal else 12), i >= (0 if diagonal else 12)
+    side = lambda ok: [(t[ok], i[ok], a[i[ok], t[ok]])]
+    got = np.zeros(24, int)
+    for reach, own in packed._reached(side(up), side(low), kind != "double", diagonal):
+        np.add.at(got, reach, own)
+    hit = (a != 0).astype(int) @ (a != 0).T.astype(int) > 0
+    want = [sum((1 if p == q else 2) * int(hit[p, q]) for p in range(q + 1 if diagonal else 12)) if diagonal or q >= 12 else 0 for q in range(24)]
+    assert got.tolist() == want
+
+
+def test_kernel_cells_are_counted_in_tiles(spark, tight, monkeypatch):
+    """The query's kernel leaves its tiles as counts."""
+    from tilealg.operators import similarity
+
+    seen, real = [], similarity.gram_rows
+    monkeypatch.setattr(similarity, "gram_rows", lambda *x, **y: seen.append(real(*x, **y)) or seen[-1])
+    same_as_sql(spark, "svm_kernel_stats")
+    assert len(seen) == 1 and seen[0].columns == ["reach", "own"] and "MapInArrow" in plan(seen[0])
